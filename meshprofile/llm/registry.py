@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from meshprofile.llm import quality_rules
+from meshprofile.llm import quality_rules, simhash_dedup
 
-MODULES = (quality_rules,)
+MODULES = (quality_rules, simhash_dedup)
 
 
 def queries() -> dict:
