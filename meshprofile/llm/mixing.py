@@ -8,8 +8,9 @@ middle lies below the target, and its training position is the time t at which D
 position (a range sort over all sources) gives the training order.
 
 Supplies are prefix sums in two levels: hash ranges of about BUCKET rows, then rows within a range, so
-a source with a third of all rows is never sorted in one task. Documents of over a two-hundredth of
-their source's words or target come first in the supply: what a source takes is near its target.
+a source with a third of all rows is never sorted in one task. A source's large documents (over 1/LARGE
+of its words, so under LARGE of them) are fitted into the last, partial pass first, greedily by size;
+those that do not fit end the supply, so the last document taken is a small part of the source.
 
 Nulls and odd input: null text has size 0; the null source is a source of its own, ranked last; a null
 doc_id is placed by its text's hash; repeated rows each count; a source of no words has target 0, and
@@ -24,7 +25,7 @@ from pyspark.sql import functions as F
 
 from meshprofile.llm.common import table, words_of
 
-BUCKET = 20_000
+BUCKET, LARGE = 20_000, 200
 WEIGHTS = (5.0, 2.0, 1.0)
 SHARE, MOST = 1.5, 2.0
 #: Knots (time, relative weight) of the schedules, repeating like WEIGHTS: fading, level, rising.
@@ -47,6 +48,17 @@ def share_targets(sizes: list[int], weights: list[float], total: float, most: fl
     return targets
 
 
+def choose_large(large: list[tuple[str | None, int, int]], left: dict[str | None, float]) -> dict[str | None, list[int]]:
+    """Source -> hashes of its large documents that fit, largest first, into what its last pass still takes."""
+    out: dict[str | None, list[int]] = {}
+    left = dict(left)
+    for source, size, code in sorted(large, key=lambda r: (-r[1], r[2])):
+        if size <= left[source]:
+            left[source] -= size
+            out.setdefault(source, []).append(code)
+    return out
+
+
 def demand_pieces(knots: tuple[tuple[float, float], ...]) -> list[tuple[float, float, float, float, float]]:
     """Per linear piece of a schedule: demand share before it, its start, its weight there, its slope, its length; shares end at 1."""
     area = [(b[0] - a[0]) * (a[1] + b[1]) / 2 for a, b in zip(knots, knots[1:])]
@@ -77,21 +89,24 @@ def mix(docs: DataFrame, weights=WEIGHTS, schedules=SCHEDULES, share: float = SH
     totals = sorted(((r["source"], r["s"], r["n"]) for r in sized.groupBy("source").agg(F.sum("size").alias("s"), F.count(F.lit(1)).alias("n")).collect()), key=lambda r: (r[0] is None, r[0] or ""))
     own = [weights[i % len(weights)] for i in range(len(totals))]
     targets = share_targets([s for _, s, _ in totals], own, share * sum(s for _, s, _ in totals), most)
-    plan = [(k, int(s), float(t), max(1, -(-n // BUCKET)), i % len(schedules)) for i, ((k, s, n), t) in enumerate(zip(totals, targets))]
     spark = docs.sparkSession
+    plan = [(k, int(s), float(t), max(1, -(-n // BUCKET)), i % len(schedules)) for i, ((k, s, n), t) in enumerate(zip(totals, targets))]
     about = spark.createDataFrame(plan, "_mk string, source_size long, target double, _mb long, _mc int")
+    large = sized.select("source", "size", "_mh").join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk"))).where(F.col("size") * LARGE > F.col("source_size"))
+    first = choose_large([(r["source"], r["size"], r["_mh"]) for r in large.collect()], {k: t % s if s else 0.0 for k, s, t, *_ in plan})
+    about = spark.createDataFrame([(*p, first.get(p[0], [])) for p in plan], "_mk string, source_size long, target double, _mb long, _mc int, _mg array<long>")
     sized = sized.join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk")))
-    # documents of over a two-hundredth of their source (200 at most) open the supply, so the last one taken is a small part of a target
-    sized = sized.withColumn("_mr", F.expr("if(size * 200 > greatest(target, source_size), -1L, cast(floor((shiftrightunsigned(_mh, 11) / 9007199254740992D) * _mb) as long))"))
+    spread = "cast(floor((shiftrightunsigned(_mh, 11) / 9007199254740992D) * _mb) as long)"
+    sized = sized.withColumn("_mr", F.expr(f"if(size * {LARGE} <= source_size, {spread}, if(array_contains(_mg, _mh), -1L, _mb))"))
     ranges = sized.groupBy("_mk", "_mr").agg(F.sum("size").alias("_ms"))
     ranges = ranges.withColumn("_mo", F.expr("coalesce(sum(_ms) over (partition by _mk order by _mr rows between unbounded preceding and 1 preceding), 0)"))
     ranges = ranges.select(F.col("_mk").alias("_mk2"), F.col("_mr").alias("_mr2"), "_mo")
-    begun = sized.withColumn("_mi", F.expr("coalesce(sum(size) over (partition by _mk, _mr order by _mh, doc_id, size rows between unbounded preceding and 1 preceding), 0)"))
+    begun = sized.withColumn("_mi", F.expr("coalesce(sum(size) over (partition by _mk, _mr order by if(_mr = _mb, size, 0), _mh, doc_id, size rows between unbounded preceding and 1 preceding), 0)"))
     placed = begun.join(ranges, F.expr("_mk <=> _mk2 and _mr = _mr2")).withColumn("_mi", F.col("_mi") + F.col("_mo"))
     placed = placed.withColumn("_ma", F.expr(f"filter(transform(sequence(0, {int(most + 0.999)}), p -> p * source_size + _mi), c -> c + size / 2 < target)"))
     spot = "case _mc " + " ".join(f"when {i} then {position('(c / target)', demand_pieces(k))}" for i, k in enumerate(schedules)) + " end"
     return placed.withColumns({"copies": F.size("_ma").cast("long"), "positions": F.expr(f"transform(_ma, c -> {spot})")}).withColumn("taken", F.col("copies") * F.col("size")).drop(
-        "_mh", "_mk", "_mk2", "_mb", "_mc", "_mr", "_mr2", "_mo", "_mi", "_ma"
+        "_mh", "_mk", "_mk2", "_mb", "_mc", "_mr", "_mr2", "_mo", "_mi", "_ma", "_mg"
     )
 
 
