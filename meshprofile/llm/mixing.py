@@ -23,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from meshprofile.llm.common import table, words_of
+from meshprofile.llm.common import materialise, table, words_of
 
 BUCKET, LARGE = 20_000, 200
 WEIGHTS = (5.0, 2.0, 1.0)
@@ -86,19 +86,20 @@ def mix(docs: DataFrame, weights=WEIGHTS, schedules=SCHEDULES, share: float = SH
     added = [c for c in docs.columns if c in ADDED or c.startswith("_m")]
     sized = docs.drop(*added).withColumn("size", F.size(words_of(F.col("text"))).cast("long"))
     sized = sized.withColumn("_mh", F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.xxhash64("text").cast("string")), F.lit(seed)))
-    totals = sorted(((r["source"], r["s"], r["n"]) for r in sized.groupBy("source").agg(F.sum("size").alias("s"), F.count(F.lit(1)).alias("n")).collect()), key=lambda r: (r[0] is None, r[0] or ""))
+    slim = materialise(sized.select("source", "size", "_mh"), "mix-sizes")
+    totals = sorted(((r["source"], r["s"], r["n"]) for r in slim.groupBy("source").agg(F.sum("size").alias("s"), F.count(F.lit(1)).alias("n")).collect()), key=lambda r: (r[0] is None, r[0] or ""))
     own = [weights[i % len(weights)] for i in range(len(totals))]
     targets = share_targets([s for _, s, _ in totals], own, share * sum(s for _, s, _ in totals), most)
     spark = docs.sparkSession
     plan = [(k, int(s), float(t), max(1, -(-n // BUCKET)), i % len(schedules)) for i, ((k, s, n), t) in enumerate(zip(totals, targets))]
     about = spark.createDataFrame(plan, "_mk string, source_size long, target double, _mb long, _mc int")
-    large = sized.select("source", "size", "_mh").join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk"))).where(F.col("size") * LARGE > F.col("source_size"))
+    large = slim.join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk"))).where(F.col("size") * LARGE > F.col("source_size"))
     first = choose_large([(r["source"], r["size"], r["_mh"]) for r in large.collect()], {k: t % s if s else 0.0 for k, s, t, *_ in plan})
     about = spark.createDataFrame([(*p, first.get(p[0], [])) for p in plan], "_mk string, source_size long, target double, _mb long, _mc int, _mg array<long>")
-    sized = sized.join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk")))
     spread = "cast(floor((shiftrightunsigned(_mh, 11) / 9007199254740992D) * _mb) as long)"
-    sized = sized.withColumn("_mr", F.expr(f"if(size * {LARGE} <= source_size, {spread}, if(array_contains(_mg, _mh), -1L, _mb))"))
-    ranges = sized.groupBy("_mk", "_mr").agg(F.sum("size").alias("_ms"))
+    range_of = F.expr(f"if(size * {LARGE} <= source_size, {spread}, if(array_contains(_mg, _mh), -1L, _mb))")
+    slim, sized = (x.join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk"))).withColumn("_mr", range_of) for x in (slim, sized))
+    ranges = slim.groupBy("_mk", "_mr").agg(F.sum("size").alias("_ms"))
     ranges = ranges.withColumn("_mo", F.expr("coalesce(sum(_ms) over (partition by _mk order by _mr rows between unbounded preceding and 1 preceding), 0)"))
     ranges = ranges.select(F.col("_mk").alias("_mk2"), F.col("_mr").alias("_mr2"), "_mo")
     begun = sized.withColumn("_mi", F.expr("coalesce(sum(size) over (partition by _mk, _mr order by if(_mr = _mb, size, 0), _mh, doc_id, size rows between unbounded preceding and 1 preceding), 0)"))
