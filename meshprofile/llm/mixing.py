@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from meshprofile.llm.common import materialise, table, words_of
 
-BUCKET, LARGE = 20_000, 200
+BUCKET, LARGE = 4096, 200
 WEIGHTS = (5.0, 2.0, 1.0)
 SHARE, MOST = 1.5, 2.0
 #: Knots (time, relative weight) of the schedules, repeating like WEIGHTS: fading, level, rising.

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from meshprofile.llm import bpe, mixing, quality_rules, simhash_dedup
+from meshprofile.llm import bpe, mixing, quality_cnn, quality_rules, simhash_dedup, toxicity
 
-MODULES = (bpe, mixing, quality_rules, simhash_dedup)
+MODULES = (bpe, mixing, quality_cnn, quality_rules, simhash_dedup, toxicity)
 
 
 def queries() -> dict:
