@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from meshprofile.llm import bpe, embedding_dedup, mixing, quality_cnn, quality_rules, simhash_dedup, toxicity
+from meshprofile.llm import bpe, embedding_dedup, lm_scoring, mixing, quality_cnn, quality_rules, simhash_dedup, toxicity
 
-MODULES = (bpe, embedding_dedup, mixing, quality_cnn, quality_rules, simhash_dedup, toxicity)
+MODULES = (bpe, embedding_dedup, lm_scoring, mixing, quality_cnn, quality_rules, simhash_dedup, toxicity)
 
 
 def queries() -> dict:
