@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from meshprofile.llm import bpe, embedding_dedup, lm_scoring, mixing, quality_cnn, quality_rules, simhash_dedup, toxicity
+from meshprofile.llm import bpe, embedding_dedup, lm_scoring, mixing, packing, preferences, quality_cnn, quality_rules, simhash_dedup, toxicity
 
-MODULES = (bpe, embedding_dedup, lm_scoring, mixing, quality_cnn, quality_rules, simhash_dedup, toxicity)
+MODULES = (packing, lm_scoring, bpe, mixing, quality_rules, preferences, toxicity, quality_cnn, embedding_dedup, simhash_dedup)
 
 
 def queries() -> dict:
