@@ -41,7 +41,8 @@ def with_measures(docs: DataFrame, text: str = "text") -> DataFrame:
     def times(piece: str) -> Column:
         return (F.octet_length(raw) - F.octet_length(F.replace(raw, F.lit(piece), F.lit("")))) / len(piece)
 
-    df = docs.drop(*MEASURES, "base_failed", "_w", "_h", "_s", "_p", "_l").withColumn("_w", words_of(F.col(text)))
+    docs = docs.drop("_w", "_h", "_s", "_p", "_l")
+    df = docs.drop(*MEASURES, "base_failed").withColumn("_w", words_of(F.col(text)))
     df = df.withColumn("_l", F.filter(F.split(raw, "\n"), lambda x: F.btrim(x, F.lit(" \t\n\x0b\x0c\r")) != ""))
     windows = F.expr("transform(sequence(1, size(_w) - 7), i -> xxhash64(slice(_w, i, 8)))")
     df = df.withColumn("_h", F.when(F.size("_w") > 8, windows))
@@ -52,17 +53,18 @@ def with_measures(docs: DataFrame, text: str = "text") -> DataFrame:
         F.expr("sort_array(array_compact(transform(_s, (x, i) -> if((i > 0 and _s[greatest(i - 1, 0)].h = x.h) or (i < size(_s) - 1 and _s[least(i + 1, size(_s) - 1)].h = x.h), x.i, null))))"),
     )
     covered = F.expr("aggregate(_p, named_struct('n', 0L, 'e', 0), (a, p) -> named_struct('n', a.n + (p + 8 - greatest(p, a.e)), 'e', p + 8), a -> a.n)")
-    return df.withColumns(
-        {
-            "n_words": F.size("_w").cast("long"),
-            "word_chars": F.char_length(F.array_join("_w", "")).cast("long"),
-            "n_symbols": sum((times(c) for c in SYMBOLS), F.lit(0)).cast("long"),
-            "n_dup_lines": (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long"),
-            "n_repeat_words": F.coalesce(covered, F.lit(0)).cast("long"),
-            "n_shouts": times("!!").cast("long"),
-            "n_lines": F.size("_l").cast("long"),
-        }
-    ).withColumn("base_failed", F.expr("n_words < 20 or 100 * n_repeat_words > 30 * n_words")).drop("_w", "_h", "_s", "_p", "_l")
+    measures = {
+        "n_words": F.size("_w").cast("long"),
+        "word_chars": F.char_length(F.array_join("_w", "")).cast("long"),
+        "n_symbols": sum((times(c) for c in SYMBOLS), F.lit(0)).cast("long"),
+        "n_dup_lines": (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long"),
+        "n_repeat_words": F.coalesce(covered, F.lit(0)).cast("long"),
+        "n_shouts": times("!!").cast("long"),
+        "n_lines": F.size("_l").cast("long"),
+    }
+    # a generator of one row: later filters and sums use its columns, never their expressions again
+    out = df.select(*docs.drop(*MEASURES, "base_failed").columns, F.inline(F.array(F.struct(*[c.alias(k) for k, c in measures.items()]))))
+    return out.withColumn("base_failed", F.expr("n_words < 20 or 100 * n_repeat_words > 30 * n_words"))
 
 
 def stratum(lang: str = "lang") -> Column:
@@ -117,7 +119,8 @@ def apply_quality_rules(docs: DataFrame, labels: DataFrame, risk: float = RISK,
     to choose the cutoffs, then every text with the verdict in one pass."""
     ids = labels.where("quality = 1").select(F.col("doc_id").alias("_id"))
     known = docs.select("doc_id", "text", "lang").join(ids, F.col("doc_id") == F.col("_id"), "left_semi")
-    return with_verdict(with_measures(docs), choose_cutoffs(with_measures(known), labels, risk, delta))
+    known = materialise(with_measures(known).drop("text"), "quality-known")
+    return with_verdict(with_measures(docs), choose_cutoffs(known, labels, risk, delta))
 
 
 def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
