@@ -164,27 +164,31 @@ class AttentionLM:
         out["near"] = np.bincount(self.back.ravel(), (ds * self.mask).sum(0).ravel(), WINDOW)
         return {key: val.astype(np.float32) for key, val in out.items()}, float(ll.mean())
 
-    def arrays(self, codes: np.ndarray, ends: np.ndarray, starts: np.ndarray, owner: np.ndarray):
-        """Window matrices over texts of codes end to end (each with its end token)."""
-        at = starts[:, None] + np.arange(WINDOW)
-        inside = at < ends[owner + 1][:, None]
-        at = np.minimum(at, len(codes) - 1)
-        shifted = np.empty_like(codes)
+    @staticmethod
+    def earlier(codes: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The codes one and two places before each, BEGIN before a text's first."""
+        shifted, again = np.empty_like(codes), np.empty_like(codes)
         shifted[1:] = codes[:-1]
         shifted[ends[:-1]] = BEGIN
-        again = np.empty_like(codes)
         again[1:] = shifted[:-1]
         again[ends[:-1]] = BEGIN
-        return shifted[at], again[at], np.where(inside, codes[at], -1)
+        return shifted, again
+
+    @staticmethod
+    def arrays(codes: np.ndarray, before: tuple[np.ndarray, np.ndarray], ends: np.ndarray, starts: np.ndarray, owner: np.ndarray):
+        """Window matrices over texts of codes end to end (each with its end token)."""
+        at = starts[:, None] + np.arange(WINDOW)
+        inside = at < ends[owner + 1][:, None]
+        at = np.minimum(at, len(codes) - 1)
+        return before[0][at], before[1][at], np.where(inside, codes[at], -1)
 
     def log10_shares(self, codes: np.ndarray, ends: np.ndarray) -> np.ndarray:
         """Log10 probability of each text of codes end to end."""
         starts, owner, skip = windows_of(ends)
-        out = np.zeros(len(ends) - 1)
+        out, before = np.zeros(len(ends) - 1), self.earlier(codes, ends)
         for i in range(0, len(starts), BATCH):
             s = slice(i, i + BATCH)
-            x, before, y = self.arrays(codes, ends, starts[s], owner[s])
-            use, ll = self.forward(x, before, y, skip[s])
+            use, ll = self.forward(*self.arrays(codes, before, ends, starts[s], owner[s]), skip[s])
             first = owner[i]
             here = np.bincount(owner[s][use // WINDOW] - first, ll.astype(np.float64))
             out[first : first + len(here)] += here
@@ -211,10 +215,11 @@ def train(codes: np.ndarray, ends: np.ndarray, steps: int = 600, epochs: int = 6
         net.p["bm"][c, net.member[own]] = uni[own] - uni[own].mean()
     adam, rng = Adam(net.p, rate), np.random.default_rng(seed)
     starts, owner, _ = windows_of(ends, WINDOW)
+    before = net.earlier(codes, ends)
     steps = min(steps, -(-epochs * len(starts) // batch))
     for step in range(steps):
         adam.rate = rate * (1 - step / steps) + rate / 20
         pick = rng.integers(0, len(starts), batch)
-        adam.step(net.gradients(*net.arrays(codes, ends, starts[pick], owner[pick]))[0])
+        adam.step(net.gradients(*net.arrays(codes, before, ends, starts[pick], owner[pick]))[0])
     net.left_out = None
     return net

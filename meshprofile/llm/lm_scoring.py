@@ -30,7 +30,7 @@ from meshprofile.llm.bpe import encoder, model_path
 from meshprofile.llm.common import materialise, table, text_chunks
 from meshprofile.llm.learning import fold
 
-SAMPLE, LONGEST, CHUNK = 3000, 20_000, 8 << 20
+SAMPLE, LONGEST, CHUNK = 3000, 20_000, 3 << 20
 END = 50256  # the tokenizer file's end-of-text id
 STEPS = 2500
 
@@ -82,7 +82,7 @@ class Fitted:
         flat, ends = code_texts(index, ends, ids, offsets, END)
         self.path, self.size = path, encoder(path).size
         count = np.bincount(flat, minlength=self.size)
-        self.code = np.full(self.size, lm.RARE, np.int64)
+        self.code = np.full(self.size, lm.RARE, np.int32)
         self.code[np.argsort(-count, kind="stable")[: lm.HEAD]] = np.arange(lm.HEAD)
         self.net = lm.train(self.code[flat], ends, steps if len(texts) > 2 else 0)
 
