@@ -28,7 +28,7 @@ from pyspark.sql.types import ArrayType, IntegerType, LongType, StringType, Stru
 from meshprofile.llm.common import flat_bytes, table, text_chunks
 
 MODEL = "byte_bpe_50k.json"
-CACHE = 400_000
+CACHE = 100_000
 #: The pre-tokenisation pattern of byte-level BPE files that use the library's own.
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 

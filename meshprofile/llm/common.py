@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import sys
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -46,7 +48,14 @@ def words_of(text):
     return F.when(core == "", F.array().cast("array<string>")).otherwise(F.split(core, GAP))
 
 
-def text_chunks(batches: Iterator[pa.RecordBatch], column: str = "text", most: int = 4 << 20) -> Iterator[tuple[pa.RecordBatch, pa.Array]]:
+def give_back() -> None:
+    """Return freed memory of Arrow and malloc to the system: a worker serves many stages in turn."""
+    pa.default_memory_pool().release_unused()
+    if sys.platform == "linux":
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def text_chunks(batches: Iterator[pa.RecordBatch], column: str = "text", most: int = 2 << 20) -> Iterator[tuple[pa.RecordBatch, pa.Array]]:
     """Slices of the batches whose text is at most `most` bytes (one longer text stands alone), with null texts as empty ones."""
     for batch in batches:
         if not batch.num_rows:
@@ -57,8 +66,19 @@ def text_chunks(batches: Iterator[pa.RecordBatch], column: str = "text", most: i
         while at < batch.num_rows:
             base = ends[at - 1] if at else 0
             to = max(at + 1, int(np.searchsorted(ends, base + most, "right")))
-            yield batch.slice(at, to - at), texts.slice(at, to - at)
+            yield batch.slice(at, to - at), _rebased(texts.slice(at, to - at))
             at = to
+        give_back()
+
+
+def _rebased(texts: pa.Array) -> pa.Array:
+    """The same texts with offsets from zero: some Arrow kernels misread arrays whose bytes start later."""
+    offsets = np.frombuffer(texts.buffers()[1], np.int64, len(texts) + 1, texts.offset * 8)
+    data = texts.buffers()[2]
+    if data is None:
+        return texts
+    own = data.slice(int(offsets[0]), int(offsets[-1] - offsets[0]))
+    return pa.LargeStringArray.from_buffers(len(texts), pa.py_buffer(offsets - offsets[0]), own)
 
 
 def flat_bytes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:

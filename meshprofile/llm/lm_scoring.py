@@ -2,7 +2,7 @@
 
 Texts count as lower-case words. One pass turns chunks of documents (bounded in bytes, never across
 tasks) into word indices over the chunk's own distinct words, with their training counts and the
-chunk's subword bigram counts, kept as a table. Corpus counts come back to a chunk by joins on its
+chunk's subword bigram counts, kept as a table. Corpus counts come back to a chunk by one window over its
 distinct words, so what is shuffled is distinct words per chunk, not words. A second pass scores every
 document: the base from the counts of its words, the model by overlapping windows (see attention_lm).
 
@@ -27,10 +27,10 @@ from pyspark.sql import functions as F
 
 from meshprofile.llm import attention_lm as lm
 from meshprofile.llm.bpe import encoder, model_path
-from meshprofile.llm.common import materialise, table, text_chunks
+from meshprofile.llm.common import give_back, materialise, table, text_chunks
 from meshprofile.llm.learning import fold
 
-SAMPLE, LONGEST, CHUNK = 3000, 20_000, 3 << 20
+SAMPLE, LONGEST, CHUNK = 3000, 20_000, 4 << 20
 END = 50256  # the tokenizer file's end-of-text id
 STEPS = 2500
 
@@ -146,6 +146,7 @@ def _scores(fitted: Fitted, total: int, kinds: int, ends_seen: int):
                 rare = np.diff(np.r_[0, np.cumsum(fitted.log_rare[ids])][offsets])
                 score = fitted.net.log10_shares(flat, close) + np.diff(upto(rare[index])) + fitted.log_rare[END]
                 held = ~get("train").astype(bool)
+                give_back()
                 yield pa.record_batch([row.column("doc_ids").flatten(), pa.array(held), pa.array(n + 1), pa.array(known.astype(np.int64)), pa.array(base), pa.array(score)], names=[c.split()[0] for c in SCORE_SCHEMA.split(", ")])
 
     return run
@@ -163,9 +164,14 @@ def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> D
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of docs (doc_id, text, train)."""
     fitted = Fitted(training_texts(docs), path or model_path(), steps)
     chunks = materialise(docs.select("doc_id", "text", "train").mapInArrow(_chunks(fitted), CHUNK_SCHEMA), "lm-chunks")
+    # one shuffle by word gives each chunk's entries their corpus counts; a word has at most one row a chunk
     listed = chunks.select("chunk", F.posexplode("words").alias("at", "word"), "counts").select("chunk", "at", "word", F.col("counts")[F.col("at")].alias("n"))
-    totals = materialise(listed.where("n > 0").groupBy("word").agg(F.sum("n").alias("n")), "lm-words")
-    about = totals.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("v")).first()
+    summed = listed.select("chunk", "at", F.expr("sum(n) over (partition by word) as n"), F.expr("row_number() over (partition by word order by chunk) = 1 as first"))
+    # and one by chunk brings them back: at most one entry for each of its distinct words
+    back = summed.groupBy("chunk").agg(F.collect_list(F.struct("at", "n")).alias("known"), F.sum(F.when(F.col("first") & (F.col("n") > 0), 1).otherwise(0)).alias("new"))
+    back = materialise(back, "lm-counts")
+    kinds = back.agg(F.coalesce(F.sum("new"), F.lit(0))).first()[0]
+    total = chunks.select(F.expr("aggregate(counts, 0L, (a, x) -> a + x)").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     docs_seen = chunks.agg(F.coalesce(F.sum(F.size(F.filter("train", lambda x: x))), F.lit(0))).first()[0]
     ids = chunks.select(F.inline(F.arrays_zip("id_at", "id_n"))).groupBy("id_at").agg(F.sum("id_n")).collect()  # at most the tokenizer's size
     pairs = chunks.select(F.inline(F.arrays_zip("pair_at", "pair_n"))).groupBy("pair_at").agg(F.sum("pair_n")).toArrow()  # at most CODES ** 2
@@ -174,12 +180,10 @@ def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> D
         per_id[i] = n
     per_pair[pairs.column(0).to_numpy()] = pairs.column(1).to_numpy()
     fitted.set_counts(per_id, per_pair)
-    # counts return to each chunk: at most one entry for each of its distinct words
-    back = listed.select("chunk", "at", "word").join(totals, "word").groupBy("chunk").agg(F.collect_list(F.struct("at", F.col("n").alias("n"))).alias("known"))
-    known = chunks.select("chunk", "doc_ids", "train", "words", "codes", "ends").join(back, "chunk", "left")
+    known = chunks.select("chunk", "doc_ids", "train", "words", "codes", "ends").join(back.select("chunk", "known"), "chunk", "left")
     ready = known.select("doc_ids", "train", "words", "codes", "ends", F.coalesce(F.col("known.at"), F.array().cast("array<int>")).alias("at"), F.coalesce(F.col("known.n"), F.array().cast("array<long>")).alias("n"))
-    scored = ready.mapInArrow(_scores(fitted, about["n"] + docs_seen, about["v"] + (docs_seen > 0), docs_seen), SCORE_SCHEMA)
-    return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(about["n"] + docs_seen)).cast("long").alias("train_tokens"), "base_score", "score")
+    scored = ready.mapInArrow(_scores(fitted, total + docs_seen, kinds + (docs_seen > 0), docs_seen), SCORE_SCHEMA)
+    return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(total + docs_seen)).cast("long").alias("train_tokens"), "base_score", "score")
 
 
 def op2_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
