@@ -117,11 +117,12 @@ def _to_state(spark: SparkSession, x: np.ndarray, comps: list[int]) -> DataFrame
 def _array(state: DataFrame, s: Setting, outer: int, trace: bool) -> DataFrame:
     m, w = s.parties, array_literal(s.w.tolist())
     grid = state.groupBy("comp").agg(F.array(*[F.coalesce(F.sum(F.when(F.col("party") == i, F.col("x"))), F.lit(0.0)) for i in range(m)]).alias("x"))
-    masked = f"transform(x, (v, i) -> v + {masking.theta_sql(s.secret, outer, 'i', 'comp', 't', s.sigma, s.beta)})" if s.sigma else "x"
-    masked = masked.replace("(x,", "(acc.x,") if s.sigma else "acc.x"
+    noise = masking.theta_sql(s.secret, outer, "i", "comp", "t", s.sigma, s.beta)
+    said = f"transform(acc.x, (v, i) -> v + {noise})" if s.sigma else "acc.x"
     mixed = f"transform({w}, row -> aggregate(zip_with(row, shared, (p, q) -> p * q), 0D, (a, b) -> a + b))"
-    # one step: shared from acc.x, then the mix; `shared` is bound by a transform over a one-element array
-    step = f"transform(array({masked}), shared -> named_struct('x', {mixed}, 'log', {'concat(acc.log, array(named_struct(' + chr(39) + 't' + chr(39) + ', t, ' + chr(39) + 'shared' + chr(39) + ', shared, ' + chr(39) + 'state' + chr(39) + ', acc.x)))' if trace else 'acc.log'}))[0]"
+    entry = "concat(acc.log, array(named_struct('t', t, 'shared', shared, 'state', acc.x)))" if trace else "acc.log"
+    # a transform over one element binds `shared` for the mix and the log
+    step = f"transform(array({said}), shared -> named_struct('x', {mixed}, 'log', {entry}))[0]"
     log = "cast(array() as array<struct<t: int, shared: array<double>, state: array<double>>>)"
     done = f"aggregate(sequence(0, {s.rounds - 1}), named_struct('x', x, 'log', {log}), (acc, t) -> {step})" if s.rounds else f"named_struct('x', x, 'log', {log})"
     out = grid.withColumn("done", F.expr(done))

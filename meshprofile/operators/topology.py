@@ -79,7 +79,7 @@ def spectrum(w: np.ndarray) -> dict[str, float]:
     return {"lambda2": float(e[-2]) if len(e) > 1 else 0.0, "lambda_min": float(e[0]), "a": a, "rho_plain": radius(w), "rho_boosted": radius(boosted_matrix(w, a))}
 
 
-def spectrum_by_iteration(weights: DataFrame, rounds: int = 40) -> dict[str, float]:
+def spectrum_by_iteration(weights: DataFrame, rounds: int = 80) -> dict[str, float]:
     """lambda2 and lambda_min for graphs too large for the driver: power iteration by joins on the
     weights, the constant vector deflated; each vector is written before the next."""
 
