@@ -4,14 +4,18 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+from meshprofile.plans import methods
+
+ALL = methods.build()
+
 
 def entry(spark: SparkSession) -> DataFrame:
-    return spark.read.parquet("/root/testdata/sf0.001/events.parquet").groupBy("user_id").count()
+    return methods.q_entry(spark, "/root/testdata/sf0.001")
 
 
 def queries() -> dict:
-    return {}
+    return {k: fn for k, (fn, _) in ALL.items()}
 
 
 def oracle_sql() -> dict:
-    return {}
+    return {k: sql for k, (_, sql) in ALL.items() if sql}
