@@ -25,10 +25,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, IntegerType, LongType, StringType, StructField, StructType
 
-from meshprofile.llm.common import flat_bytes, table, text_chunks
+from meshprofile.llm.common import bounded_batches, flat_bytes, table, text_chunks
 
 MODEL = "byte_bpe_50k.json"
-CACHE = 100_000
+CACHE = 50_000
 #: The pre-tokenisation pattern of byte-level BPE files that use the library's own.
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
@@ -159,6 +159,7 @@ def encoder(path: str) -> ForcedBoundaryBPE:
 def encode_column(text, path: str | None = None):
     """Column: array<int> of the ids of a text."""
     path = path or model_path()
+    bounded_batches()
 
     @F.arrow_udf(ArrayType(IntegerType()))
     def ids(texts: pa.Array) -> pa.Array:
@@ -176,6 +177,7 @@ def encode_column(text, path: str | None = None):
 def decode_column(ids, path: str | None = None):
     """Column: the text of an array of ids; null for null."""
     path = path or model_path()
+    bounded_batches()
 
     @F.arrow_udf(StringType())
     def text(rows: pa.Array) -> pa.Array:
@@ -190,6 +192,7 @@ DIGEST = StructType([StructField("n_tokens", LongType()), StructField("ids_sha25
 def digest_column(text, path: str | None = None):
     """Column: struct of the number of ids and the SHA-256 of the ids and of the text decoded from them; ids stay in the worker."""
     path = path or model_path()
+    bounded_batches()
 
     @F.arrow_udf(DIGEST)
     def digest(texts: pa.Array) -> pa.Array:

@@ -48,6 +48,13 @@ def words_of(text):
     return F.when(core == "", F.array().cast("array<string>")).otherwise(F.split(core, GAP))
 
 
+def bounded_batches(most: int = 4 << 20) -> None:
+    """Hold the session's Arrow batches to so many bytes: rows of texts differ a thousandfold in size."""
+    spark = SparkSession.active()
+    if not 0 < int(str(spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch")).rstrip("b")) <= most:
+        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(most))
+
+
 def give_back() -> None:
     """Return freed memory of Arrow and malloc to the system: a worker serves many stages in turn."""
     pa.default_memory_pool().release_unused()
@@ -55,7 +62,7 @@ def give_back() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
-def text_chunks(batches: Iterator[pa.RecordBatch], column: str = "text", most: int = 2 << 20) -> Iterator[tuple[pa.RecordBatch, pa.Array]]:
+def text_chunks(batches: Iterator[pa.RecordBatch], column: str = "text", most: int = 1 << 20) -> Iterator[tuple[pa.RecordBatch, pa.Array]]:
     """Slices of the batches whose text is at most `most` bytes (one longer text stands alone), with null texts as empty ones."""
     for batch in batches:
         if not batch.num_rows:

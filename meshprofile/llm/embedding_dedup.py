@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, IntegerType
 
-from meshprofile.llm.common import Forest, components, materialise, table
+from meshprofile.llm.common import Forest, bounded_batches, components, materialise, table
 
 COSINE, TARGET, SAMPLE, TILE, CELL_ROWS, MOST_CODES = 0.98, 0.999, 20_000, 2048, 512, 128
 
@@ -175,6 +175,7 @@ def embedding_links(vectors: DataFrame, cosine: float = COSINE, target: float =
     codes = int(np.clip(round((total["n"] / max(1, total["k"]) / CELL_ROWS) ** 0.5), 2, MOST_CODES))
     index = MultiIndex(sample, codes, cosine, target)
     cells = len(index.halves[0]) * len(index.halves[1])
+    bounded_batches()
     listed = materialise(vectors.withColumn("visits", visits_column(index, "vector")).withColumn("home", F.col("visits")[0]), "multi-index")
     slim = listed.select("label", F.explode("visits").alias("cell"))
     hot = slim.groupBy("label", "cell").count().where(F.col("count") > TILE).select("label", "cell", F.ceil(F.col("count") / TILE).cast("int").alias("tiles"))

@@ -27,10 +27,10 @@ from pyspark.sql import functions as F
 
 from meshprofile.llm import attention_lm as lm
 from meshprofile.llm.bpe import encoder, model_path
-from meshprofile.llm.common import give_back, materialise, table, text_chunks
+from meshprofile.llm.common import bounded_batches, give_back, materialise, table, text_chunks
 from meshprofile.llm.learning import fold
 
-SAMPLE, LONGEST, CHUNK = 3000, 20_000, 4 << 20
+SAMPLE, LONGEST, CHUNK = 3000, 20_000, 6 << 20
 END = 50256  # the tokenizer file's end-of-text id
 STEPS = 2500
 
@@ -95,13 +95,26 @@ class Fitted:
         self.log_rare = np.where(rare, np.log10(own / own[rare].sum()), 0.0)
 
 
+def gathered(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.RecordBatch]:
+    """Batches put together up to about `most` bytes, so that chunks are full."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        if held and sum(b.nbytes for b in held) + batch.nbytes > most:
+            yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+            held = []
+        if batch.num_rows:
+            held.append(batch)
+    if held:
+        yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+
+
 CHUNK_SCHEMA = "chunk string, doc_ids array<long>, train array<boolean>, words array<string>, counts array<long>, codes binary, ends array<long>, id_at array<int>, id_n array<long>, pair_at array<int>, pair_n array<long>"
 
 
 def _chunks(fitted: Fitted):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, task = 0, TaskContext.get().partitionId()
-        for batch, texts in text_chunks(batches, most=CHUNK):
+        for batch, texts in text_chunks(gathered(batches, CHUNK), most=CHUNK):
             train = batch.column("train").to_numpy(zero_copy_only=False)
             words, index, ends = word_indices(texts)
             n = np.diff(ends)
@@ -162,6 +175,7 @@ def training_texts(docs: DataFrame, sample: int = SAMPLE, longest: int = LONGEST
 
 def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of docs (doc_id, text, train)."""
+    bounded_batches()
     fitted = Fitted(training_texts(docs), path or model_path(), steps)
     chunks = materialise(docs.select("doc_id", "text", "train").mapInArrow(_chunks(fitted), CHUNK_SCHEMA), "lm-chunks")
     # one shuffle by word gives each chunk's entries their corpus counts; a word has at most one row a chunk

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from meshprofile.llm.bpe import encoder, model_path
-from meshprofile.llm.common import table, text_chunks
+from meshprofile.llm.common import bounded_batches, table, text_chunks
 
 LENGTH, GROUP, END = 2048, 1 << 21, 50256
 PACKED = "pack_id string, n_tokens int, doc_ids array<long>, offsets array<long>, cu_seqlens array<int>, input_ids binary, position_ids binary"
@@ -119,6 +119,7 @@ def _pack(path: str, length: int, end: int):
 
 def pack_documents(docs: DataFrame, length: int = LENGTH, path: str | None = None, end: int = END) -> DataFrame:
     """Packed rows (PACKED) of docs (doc_id, text); pack_id tells task and row."""
+    bounded_batches()
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_pack(path or model_path(), length, end), PACKED)
 
 

@@ -18,10 +18,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType
 
-from meshprofile.llm.common import flat_bytes, table, text_chunks
+from meshprofile.llm.common import bounded_batches, flat_bytes, table, text_chunks
 from meshprofile.llm.learning import Adam, fold, labelled_sample, sigmoid
 
-CHUNK, SPAN, STEP, BYTE_DIM, FILTERS, BATCH = 256, 8, 2, 4, 16, 4096
+CHUNK, SPAN, STEP, BYTE_DIM, FILTERS, BATCH = 256, 8, 2, 4, 16, 1024
 PAD = 256
 
 
@@ -120,10 +120,11 @@ def train(texts: list[str], y: np.ndarray, epochs: int = 8, batch: int = 64, rat
 def score_column(net: Network | None, text: str = "text") -> Column:
     if net is None:
         return F.lit(1.0)
+    bounded_batches()
 
     @F.arrow_udf(DoubleType())
     def score(texts: pa.Array) -> pa.Array:
-        parts = [net.score(t) for _, t in text_chunks(iter([pa.record_batch([texts], names=["text"])]), most=1 << 20)]
+        parts = [net.score(t) for _, t in text_chunks(iter([pa.record_batch([texts], names=["text"])]))]
         return pa.array(np.concatenate(parts) if parts else np.zeros(0))
 
     return score(F.col(text))

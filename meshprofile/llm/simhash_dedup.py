@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType
 
-from meshprofile.llm.common import Forest, components, flat_bytes, materialise, table, text_chunks
+from meshprofile.llm.common import Forest, bounded_batches, components, flat_bytes, materialise, table, text_chunks
 
 BITS, BLOCKS, FAR, SHINGLE, SEED = 64, 4, 3, 3, 42
 TILE, RUN, PAIRS = 4096, 8, 1 << 20
@@ -178,6 +178,7 @@ def fingerprint_components(fps: DataFrame) -> DataFrame:
 
 def simhash_groups(docs: DataFrame) -> DataFrame:
     """(doc_id, fp, component_id) of every row of docs."""
+    bounded_batches()
     prints = materialise(docs.select("doc_id", fingerprint_udf("text").alias("fp")), "fingerprints")
     least = prints.groupBy("fp").agg(F.min("doc_id").alias("least"))
     label = fingerprint_components(least.select("fp")).select(F.col("node").alias("fp"), "component")

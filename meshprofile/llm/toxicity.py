@@ -20,10 +20,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType
 
-from meshprofile.llm.common import flat_bytes, table, text_chunks
+from meshprofile.llm.common import bounded_batches, flat_bytes, table, text_chunks
 from meshprofile.llm.learning import Adam, fold, labelled_sample, sigmoid
 
-WINDOW, STRIDE, BATCH = 64, 48, 2048
+WINDOW, STRIDE, BATCH = 64, 48, 512
 HIDDEN, WORD_DIM, CHAR_DIM, CHARS = 8, 8, 8, 4096
 FREQUENT, TELLING = 1000, 1000
 PUNCTUATION = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
@@ -204,10 +204,11 @@ def train(texts: list[str], y: np.ndarray, epochs: int = 6, batch: int = 128, st
 def score_column(net: Network | None, text: str = "text") -> Column:
     if net is None:
         return F.lit(0.0)
+    bounded_batches()
 
     @F.arrow_udf(DoubleType())
     def score(texts: pa.Array) -> pa.Array:
-        parts = [net.score(t) for _, t in text_chunks(iter([pa.record_batch([texts], names=["text"])]), most=2 << 20)]
+        parts = [net.score(t) for _, t in text_chunks(iter([pa.record_batch([texts], names=["text"])]))]
         return pa.array(np.concatenate(parts) if parts else np.zeros(0))
 
     return score(F.col(text))
