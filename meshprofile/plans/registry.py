@@ -4,9 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from meshprofile.plans import methods
+from meshprofile.plans import methods, relational
+from meshprofile.streaming import streams
 
-ALL = methods.build()
+ALL = methods.build() | relational.Q | streams.Q
 
 
 def entry(spark: SparkSession) -> DataFrame:
