@@ -14,7 +14,7 @@ import numpy as np
 
 from meshprofile.llm.learning import Adam, sigmoid
 
-HEAD, CLASSES, WINDOW, CONTEXT, DIM, KEYS, BATCH = 1023, 32, 32, 8, 32, 8, 512
+HEAD, CLASSES, WINDOW, CONTEXT, DIM, VALUES, KEYS, BATCH = 1023, 32, 32, 8, 32, 16, 8, 256
 RARE, BEGIN, CODES = HEAD, HEAD + 1, HEAD + 2
 MEMBERS = (HEAD + 1) // CLASSES
 
@@ -61,7 +61,7 @@ class AttentionLM:
         self.p = {
             "q": rng.normal(0, 0.5, (CODES, KEYS)),
             "k": rng.normal(0, 0.5, (CODES, KEYS)),
-            "v": rng.normal(0, 0.3, (CODES, DIM)),
+            "v": rng.normal(0, 0.3, (CODES, VALUES)),
             "one": rng.normal(0, 0.5, (CODES, DIM)),
             "two": rng.normal(0, 0.3, (CODES, DIM)),
             "near": np.linspace(1, -1, WINDOW),
@@ -92,22 +92,23 @@ class AttentionLM:
         predicts; y: what it predicts, -1 beyond the end; skip: leading places not to be scored.
         Gives the places scored (flat) and the natural log of their shares."""
         p = self.p
-        q, k, v = p["q"][x], p["k"][x], p["v"][x]
+        q, k, v = (p[c].take(x, 0) for c in "qkv")
         a = q @ k.transpose(0, 2, 1)
         a += np.where(self.mask > 0, p["near"][self.back], np.float32(-1e4))
         np.minimum(a, 60, out=a)
         np.exp(a, out=a)
         a /= a.sum(2, keepdims=True)
-        context = a @ v
+        context = (a @ v).reshape(-1, VALUES)
         use = np.flatnonzero(((y >= 0) & (np.arange(WINDOW) >= skip[:, None])).ravel())
-        x1, y1 = x.ravel()[use], y.ravel()[use]
-        h = context.reshape(-1, DIM)[use]
-        h += p["one"][x1]
-        h += p["two"][before.ravel()[use]]
-        np.tanh(h, out=h)
-        cls = self.code_class[y1]
+        # places in the order of what they predict: a class is then one product
+        cls = self.code_class.take(y.ravel().take(use))
         order = np.argsort(cls.astype(np.uint8), kind="stable")
-        use, x1, y1, h, cls = use[order], x1[order], y1[order], h[order], cls[order]
+        use, cls = use.take(order), cls.take(order)
+        x1, y1 = x.ravel().take(use), y.ravel().take(use)
+        h = p["one"].take(x1, 0)
+        h += p["two"].take(before.ravel().take(use), 0)
+        h[:, :VALUES] += context.take(use, 0)
+        np.tanh(h, out=h)
         lc = h @ p["wc"]
         lc += p["bc"]
         np.exp(np.minimum(lc, 60, out=lc), out=lc)
@@ -124,7 +125,7 @@ class AttentionLM:
         total = lm.sum(1)
         m = self.member[y1]
         share *= lm[row, m] / total
-        g = sigmoid(p["gate"])[x1]
+        g = sigmoid(p["gate"]).take(x1)
         mixed = g * share
         mixed += (1 - g) * (self.left_out if keep else self.bigram)[x1, y1]
         if not keep:
@@ -152,9 +153,9 @@ class AttentionLM:
         out["one"], out["two"] = np.zeros_like(p["one"]), np.zeros_like(p["two"])
         np.add.at(out["one"], x1, dh)
         np.add.at(out["two"], before.ravel()[use], dh)
-        dc = np.zeros((x.size, DIM), np.float32)
-        dc[use] = dh
-        dc = dc.reshape(*x.shape, DIM)
+        dc = np.zeros((x.size, VALUES), np.float32)
+        dc[use] = dh[:, :VALUES]
+        dc = dc.reshape(*x.shape, VALUES)
         out["v"], out["q"], out["k"] = np.zeros_like(p["v"]), np.zeros_like(p["q"]), np.zeros_like(p["k"])
         np.add.at(out["v"], x, a.transpose(0, 2, 1) @ dc)
         da = dc @ v.transpose(0, 2, 1)

@@ -75,6 +75,7 @@ class ForcedBoundaryBPE:
         cut[:, 0x80:0xC0] = False
         self.cut = cut.ravel()
         self.known: dict[bytes, tuple[int, ...]] = {}
+        self.most_known = CACHE
         self.specials = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
 
     def fragments(self, raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
@@ -95,7 +96,7 @@ class ForcedBoundaryBPE:
         got = self.known.get(piece)
         if got is None:
             got = tuple(self.piece.encode_ordinary(piece.decode()))
-            if len(self.known) >= CACHE:
+            if len(self.known) >= self.most_known:
                 self.known.clear()
             if len(piece) <= 64:
                 self.known[piece] = got

@@ -30,7 +30,7 @@ from meshprofile.llm.bpe import encoder, model_path
 from meshprofile.llm.common import bounded_batches, give_back, materialise, table, text_chunks
 from meshprofile.llm.learning import fold
 
-SAMPLE, LONGEST, CHUNK = 3000, 20_000, 6 << 20
+SAMPLE, LONGEST, CHUNK = 3000, 20_000, 9 << 20
 END = 50256  # the tokenizer file's end-of-text id
 STEPS = 2500
 
@@ -108,12 +108,15 @@ def gathered(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.Record
         yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
 
 
-CHUNK_SCHEMA = "chunk string, doc_ids array<long>, train array<boolean>, words array<string>, counts array<long>, codes binary, ends array<long>, id_at array<int>, id_n array<long>, pair_at array<int>, pair_n array<long>"
+CHUNK_SCHEMA = "chunk long, doc_ids array<long>, train array<boolean>, words array<string>, counts array<long>, codes binary, ends array<long>, subwords binary, sizes binary, id_at array<int>, id_n array<long>, pair_at array<int>, pair_n array<long>"
+#: A chunk's word number and its corpus count travel as one long: number below 2 ** PLACE.
+PLACE = 21
 
 
 def _chunks(fitted: Fitted):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, task = 0, TaskContext.get().partitionId()
+        encoder(fitted.path).most_known = 200_000  # words of a chunk differ: keep more of them
         for batch, texts in text_chunks(gathered(batches, CHUNK), most=CHUNK):
             train = batch.column("train").to_numpy(zero_copy_only=False)
             words, index, ends = word_indices(texts)
@@ -128,8 +131,10 @@ def _chunks(fitted: Fitted):
                 flat, close = code_texts(index[np.repeat(train, n)], np.r_[0, np.cumsum(n[own])], fitted.code[ids], offsets, fitted.code[END])
                 pairs = lm.bigram_counts(flat, close)
             ia, pa_ = np.flatnonzero(per_id), np.flatnonzero(pairs)
-            one = [[f"{task}-{at}"], [batch.column("doc_id").to_pylist()], [train.tolist()], [words], [counts], [index.tobytes()], [ends], [ia.astype(np.int32)], [per_id[ia]], [pa_.astype(np.int32)], [pairs[pa_]]]
-            kinds = [pa.string(), pa.list_(pa.int64()), pa.list_(pa.bool_()), pa.list_(pa.string()), pa.list_(pa.int64()), pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int64())]
+            kind = np.uint16 if fitted.size <= 1 << 16 else np.uint32
+            sizes = np.diff(offsets).astype(np.int32)
+            one = [[(task << 20) + at], [batch.column("doc_id").to_pylist()], [train.tolist()], [words], [counts], [index.tobytes()], [ends], [ids.astype(kind).tobytes()], [sizes.tobytes()], [ia.astype(np.int32)], [per_id[ia]], [pa_.astype(np.int32)], [pairs[pa_]]]
+            kinds = [pa.int64(), pa.list_(pa.int64()), pa.list_(pa.bool_()), pa.list_(pa.string()), pa.list_(pa.int64()), pa.binary(), pa.list_(pa.int64()), pa.binary(), pa.binary(), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int64())]
             cols = [pa.ListArray.from_arrays(pa.array([0, len(words)], pa.int32()), words.cast(pa.string())) if i == 3 else pa.array(v, k) for i, (v, k) in enumerate(zip(one, kinds))]
             yield pa.record_batch(cols, names=[c.split()[0] for c in CHUNK_SCHEMA.split(", ")])
             at += 1
@@ -143,24 +148,26 @@ SCORE_SCHEMA = "doc_id long, held_out boolean, n_tokens long, n_known long, base
 def _scores(fitted: Fitted, total: int, kinds: int, ends_seen: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         floor = total + 0.5 * (kinds + 1)
+        kind = np.uint16 if fitted.size <= 1 << 16 else np.uint32
         for batch in batches:
             for i in range(batch.num_rows):
                 row = batch.slice(i, 1)
                 get = lambda c: row.column(c).flatten().to_numpy(zero_copy_only=False)  # noqa: B023, E731
-                words, ends, index = row.column("words").flatten(), get("ends"), np.frombuffer(row.column("codes")[0].as_py(), np.int32)
-                count = np.zeros(len(words), np.int64)
-                count[get("at")] = get("n")
+                ends, index, sizes = get("ends"), np.frombuffer(row.column("codes")[0].as_py(), np.int32), np.frombuffer(row.column("sizes")[0].as_py(), np.int32)
+                ids, offsets = np.frombuffer(row.column("subwords")[0].as_py(), kind), np.r_[0, np.cumsum(sizes)]
+                known = get("known")
+                count = np.zeros(len(sizes), np.int64)
+                count[known & ((1 << PLACE) - 1)] = known >> PLACE
                 n = np.diff(ends)
                 upto = lambda x: np.r_[0, np.cumsum(x)][ends]  # noqa: B023, E731
                 base = np.diff(upto(np.log10((count + 0.5) / floor)[index])) + np.log10((ends_seen + 0.5) / floor)
-                known = np.diff(upto((count > 0)[index])) + (ends_seen > 0)
-                ids, offsets = subwords_of(words, fitted.path)
+                n_known = np.diff(upto((count > 0)[index])) + (ends_seen > 0)
                 flat, close = code_texts(index, ends, fitted.code[ids], offsets, fitted.code[END])
                 rare = np.diff(np.r_[0, np.cumsum(fitted.log_rare[ids])][offsets])
                 score = fitted.net.log10_shares(flat, close) + np.diff(upto(rare[index])) + fitted.log_rare[END]
                 held = ~get("train").astype(bool)
                 give_back()
-                yield pa.record_batch([row.column("doc_ids").flatten(), pa.array(held), pa.array(n + 1), pa.array(known.astype(np.int64)), pa.array(base), pa.array(score)], names=[c.split()[0] for c in SCORE_SCHEMA.split(", ")])
+                yield pa.record_batch([row.column("doc_ids").flatten(), pa.array(held), pa.array(n + 1), pa.array(n_known.astype(np.int64)), pa.array(base), pa.array(score)], names=[c.split()[0] for c in SCORE_SCHEMA.split(", ")])
 
     return run
 
@@ -180,9 +187,11 @@ def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> D
     chunks = materialise(docs.select("doc_id", "text", "train").mapInArrow(_chunks(fitted), CHUNK_SCHEMA), "lm-chunks")
     # one shuffle by word gives each chunk's entries their corpus counts; a word has at most one row a chunk
     listed = chunks.select("chunk", F.posexplode("words").alias("at", "word"), "counts").select("chunk", "at", "word", F.col("counts")[F.col("at")].alias("n"))
-    summed = listed.select("chunk", "at", F.expr("sum(n) over (partition by word) as n"), F.expr("row_number() over (partition by word order by chunk) = 1 as first"))
+    entry = F.expr(f"shiftleft(sum(n) over (partition by word), {PLACE}) + at")
+    summed = listed.select("chunk", entry.alias("entry"), F.expr("row_number() over (partition by word order by chunk) = 1 as first"))
     # and one by chunk brings them back: at most one entry for each of its distinct words
-    back = summed.groupBy("chunk").agg(F.collect_list(F.struct("at", "n")).alias("known"), F.sum(F.when(F.col("first") & (F.col("n") > 0), 1).otherwise(0)).alias("new"))
+    fresh = F.sum(F.when(F.col("first") & (F.shiftright("entry", PLACE) > 0), 1).otherwise(0))
+    back = summed.groupBy("chunk").agg(F.collect_list("entry").alias("known"), fresh.alias("new"))
     back = materialise(back, "lm-counts")
     kinds = back.agg(F.coalesce(F.sum("new"), F.lit(0))).first()[0]
     total = chunks.select(F.expr("aggregate(counts, 0L, (a, x) -> a + x)").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
@@ -194,8 +203,8 @@ def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> D
         per_id[i] = n
     per_pair[pairs.column(0).to_numpy()] = pairs.column(1).to_numpy()
     fitted.set_counts(per_id, per_pair)
-    known = chunks.select("chunk", "doc_ids", "train", "words", "codes", "ends").join(back.select("chunk", "known"), "chunk", "left")
-    ready = known.select("doc_ids", "train", "words", "codes", "ends", F.coalesce(F.col("known.at"), F.array().cast("array<int>")).alias("at"), F.coalesce(F.col("known.n"), F.array().cast("array<long>")).alias("n"))
+    both = chunks.select("chunk", "doc_ids", "train", "codes", "ends", "subwords", "sizes").join(back.select("chunk", "known"), "chunk", "left")
+    ready = both.select("doc_ids", "train", "codes", "ends", "subwords", "sizes", F.coalesce("known", F.array().cast("array<long>")).alias("known"))
     scored = ready.mapInArrow(_scores(fitted, total + docs_seen, kinds + (docs_seen > 0), docs_seen), SCORE_SCHEMA)
     return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(total + docs_seen)).cast("long").alias("train_tokens"), "base_score", "score")
 
