@@ -100,14 +100,14 @@ def visits_column(index: MultiIndex, vector: str):
     return visits(F.col(vector))
 
 
-def links_of(vec: np.ndarray, ids: np.ndarray, listed: np.ndarray, tile: np.ndarray, home: np.ndarray, turned: np.ndarray, cell: int, cosine: float) -> tuple[np.ndarray, np.ndarray]:
-    """Links of each row of one task and its root. listed: rows the cell lists in this task; turned: whether
-    the visitor's own cell is visited by the listed row (decided per pair by `home`)."""
+def links_of(vec: np.ndarray, ids: np.ndarray, listed: np.ndarray, tile: np.ndarray, home: np.ndarray, turned: np.ndarray, cell: int, apart: bool, cosine: float) -> tuple[np.ndarray, np.ndarray]:
+    """Links of each row of one task and its root. listed: rows the cell lists in this task; turned: the
+    cells each row visits; apart: visitors come from another tile, so listed rows do not meet each other here."""
     unit = vec / np.linalg.norm(vec, axis=1, keepdims=True)
     forest, count = Forest(len(ids)), np.zeros(len(ids), np.int64)
-    d = np.flatnonzero(listed)
-    for at in range(0, len(ids), 512):
-        q = np.arange(at, min(at + 512, len(ids)))
+    d, visitors = np.flatnonzero(listed), np.flatnonzero(~listed) if apart else np.arange(len(ids))
+    for at in range(0, len(visitors), 512):
+        q = visitors[at : at + 512]
         hit = unit[q] @ unit[d].T >= cosine
         own = home[q][:, None] == cell
         # both listed here: each pair once; a visitor from another cell: here if that cell's task does not see the pair
@@ -144,7 +144,7 @@ def _tasks(cosine: float, cells: int):
                 lists = part.column("visits").combine_chunks()
                 seen = np.zeros((b - a, cells), bool)
                 seen[np.repeat(np.arange(b - a), np.diff(lists.offsets.to_numpy())), lists.flatten().to_numpy()] = True
-                n, root = links_of(vectors_of(part.column("vector").combine_chunks()), ids, listed, tile, home, seen, int(key[1][a]), cosine)
+                n, root = links_of(vectors_of(part.column("vector").combine_chunks()), ids, listed, tile, home, seen, int(key[1][a]), bool(key[2][a] != key[3][a]), cosine)
                 got = np.flatnonzero(n)
                 yield pa.record_batch([pa.array(ids[got]), pa.array(n[got]), pa.array(ids[root[got]])], names=["a", "n", "b"])
 
