@@ -420,13 +420,24 @@ def q_sse(spark: SparkSession, d: str) -> DataFrame:
 SQL_SSE = f"with {duck.planted(SLOTS)}, m as (select archetype, slot, avg(y) as mu from p group by all) select round(sum((y - mu) ^ 2), 4) as sse from p join m using (archetype, slot)"
 
 
-def spread_rows(df: DataFrame, k: int, pool: int = 200) -> np.ndarray:
-    """Start centroids far apart among `pool` rows first by hash; simulations only, as it publishes rows."""
+def spread_rows(df: DataFrame, k: int, pool: int = 300, tries: int = 20) -> np.ndarray:
+    """Start centroids: the best of several seeded k-means runs on `pool` rows first by hash (at each, new
+    centroids are drawn by distance from those there are). Simulations only, as it publishes rows."""
     rows = cluster.sample_rows(df, pool)
-    out = [rows[0]]
-    while len(out) < k:
-        out.append(rows[np.min([((rows - c) ** 2).sum(1) for c in out], axis=0).argmax()])
-    return np.array(out)
+    best, least = rows[:k], np.inf
+    for seed in range(tries):
+        rng = np.random.default_rng(seed)
+        mu = rows[[rng.integers(len(rows))]]
+        while len(mu) < k:
+            d2 = ((rows[:, None] - mu) ** 2).sum(2).min(1)
+            mu = np.vstack([mu, rows[rng.choice(len(rows), p=d2 / d2.sum())]])
+        for _ in range(10):
+            near = ((rows[:, None] - mu) ** 2).sum(2).argmin(1)
+            mu = np.array([rows[near == c].mean(0) if (near == c).any() else mu[c] for c in range(k)])
+        f = ((rows[:, None] - mu) ** 2).sum(2).min(1).sum()
+        if f < least:
+            best, least = mu, f
+    return best
 
 
 def q_sse_by_k(spark: SparkSession, d: str) -> DataFrame:
@@ -435,7 +446,7 @@ def q_sse_by_k(spark: SparkSession, d: str) -> DataFrame:
     rows = []
     for scope, part, s in (("union", df, setting()), ("party 0", df.where("party = 0"), None)):
         ks = list(range(1, 10))
-        best, values = cluster.select_k(part, ks, lambda k, part=part: spread_rows(part, k), s, iterations=6, stop="objective", tol=1e-3)
+        best, values = cluster.select_k(part, ks, lambda k, part=part: spread_rows(part, k), s, "second_diff", iterations=6, stop="objective", tol=1e-3)
         rows += [(scope, k, float(v), best) for k, v in zip(ks, values)]
     df.unpersist()
     return spark.createDataFrame(rows, "scope string, k int, sse double, chosen int")
