@@ -184,6 +184,7 @@ def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> D
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of docs (doc_id, text, train)."""
     bounded_batches()
     fitted = Fitted(training_texts(docs), path or model_path(), steps)
+    give_back()
     chunks = materialise(docs.select("doc_id", "text", "train").mapInArrow(_chunks(fitted), CHUNK_SCHEMA), "lm-chunks")
     # one shuffle by word gives each chunk's entries their corpus counts; a word has at most one row a chunk
     listed = chunks.select("chunk", F.posexplode("words").alias("at", "word"), "counts").select("chunk", "at", "word", F.col("counts")[F.col("at")].alias("n"))

@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType
 
-from meshprofile.llm.common import bounded_batches, flat_bytes, table, text_chunks
+from meshprofile.llm.common import bounded_batches, flat_bytes, give_back, table, text_chunks
 from meshprofile.llm.learning import Adam, fold, labelled_sample, sigmoid
 
 CHUNK, SPAN, STEP, BYTE_DIM, FILTERS, BATCH = 256, 8, 2, 4, 16, 1024
@@ -131,7 +131,9 @@ def score_column(net: Network | None, text: str = "text") -> Column:
 
 
 def fit_quality(docs: DataFrame, labels: DataFrame) -> Network | None:
-    return train(*labelled_sample(docs, labels, "quality"))
+    net = train(*labelled_sample(docs, labels, "quality"))
+    give_back()
+    return net
 
 
 def op8_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -20,10 +20,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType
 
-from meshprofile.llm.common import bounded_batches, flat_bytes, table, text_chunks
+from meshprofile.llm.common import bounded_batches, flat_bytes, give_back, table, text_chunks
 from meshprofile.llm.learning import Adam, fold, labelled_sample, sigmoid
 
-WINDOW, STRIDE, BATCH = 64, 48, 512
+WINDOW, STRIDE, BATCH, SLICE = 64, 48, 512, 1 << 15
 HIDDEN, WORD_DIM, CHAR_DIM, CHARS = 8, 8, 8, 4096
 FREQUENT, TELLING = 1000, 1000
 PUNCTUATION = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
@@ -58,7 +58,13 @@ def window_table(texts: pa.Array) -> tuple[pa.Array, np.ndarray, np.ndarray]:
     at = start[:, None] + np.arange(WINDOW)
     inside = at < n[owner][:, None]
     spots = np.where(inside, first[owner][:, None] + at, 0)
-    return coded.dictionary, np.where(inside, code[spots] if len(code) else -1, -1), owner
+    return coded.dictionary, np.where(inside, code[spots] if len(code) else -1, -1).astype(np.int32), owner
+
+
+def own_words(words: pa.Array, windows: np.ndarray) -> tuple[pa.Array, np.ndarray]:
+    """The words that some windows use, and the windows in terms of those."""
+    used, local = np.unique(windows, return_inverse=True)
+    return words.take(pa.array(used[used >= 0])), local.reshape(windows.shape) - (used[0] < 0)
 
 
 class Network:
@@ -149,7 +155,8 @@ class Network:
         return g, rows
 
     def window_logits(self, words: pa.Array, windows: np.ndarray) -> np.ndarray:
-        gates = self.projected(self.inputs(words)[0])
+        parts = [self.inputs(words.slice(i, SLICE))[0] @ self.p["w"] + self.p["b"] for i in range(0, len(words), SLICE)]
+        gates = np.vstack([*parts, np.zeros((1, 6 * HIDDEN), np.float32)])
         return np.concatenate([self.run(gates, windows[i : i + BATCH])[0] for i in range(0, len(windows), BATCH)])
 
     def score(self, texts: pa.Array) -> np.ndarray:
@@ -164,9 +171,11 @@ def train(texts: list[str], y: np.ndarray, epochs: int = 6, batch: int = 128, st
     if not len(texts) or y.min() == y.max():
         return None
     words, windows, owner = window_table(pa.array(texts, pa.large_string()))
-    docs = np.unique(np.stack([np.repeat(owner, WINDOW), windows.ravel()], 1)[windows.ravel() >= 0], axis=0)
-    df = np.bincount(docs[:, 1], minlength=len(words))
-    pos = np.bincount(docs[y[docs[:, 0]] > 0, 1], minlength=len(words))
+    key = np.unique((owner[:, None] * (len(words) + 1) + windows)[windows >= 0])
+    doc, word = key // (len(words) + 1), key % (len(words) + 1)
+    df = np.bincount(word, minlength=len(words))
+    pos = np.bincount(word[y[doc] > 0], minlength=len(words))
+    del key, doc, word
     share = y.mean()
     telling = (pos - df * share) / np.sqrt(df * share * (1 - share) + 1)
     pick = np.unique(np.r_[np.argsort(-df, kind="stable")[:FREQUENT], np.argsort(-telling, kind="stable")[:TELLING]])
@@ -177,16 +186,14 @@ def train(texts: list[str], y: np.ndarray, epochs: int = 6, batch: int = 128, st
     n = np.diff(np.r_[first, len(owner)])
     batch = max(16, min(batch, len(texts) // 16))
     for epoch in range(max(epochs, -(-steps * batch // len(texts)))):
-        logits = net.window_logits(words, windows) if epoch else rng.random(len(owner))
+        logits = np.concatenate([net.window_logits(*own_words(words, windows[i : i + 2048])) for i in range(0, len(windows), 2048)]) if epoch else rng.random(len(owner))
         order = np.lexsort((-logits, owner))
         chosen = np.r_[order[first], first[y < 1] + (rng.random((y < 1).sum()) * n[y < 1]).astype(int)]
         chosen = rng.permutation(np.unique(chosen))
         for i in range(0, len(chosen), batch):
             part = windows[chosen[i : i + batch]]
-            used, local = np.unique(part, return_inverse=True)
-            local = local.reshape(part.shape) - (used[0] < 0)
-            used = used[used >= 0]
-            x, (index, code, start, size) = net.inputs(words.take(pa.array(used)))
+            used, local = own_words(words, part)
+            x, (index, code, start, size) = net.inputs(used)
             logit, kept = net.run(net.projected(x), local, keep=True)
             d = ((sigmoid(logit) - y[owner[chosen[i : i + batch]]]) / len(part)).astype(np.float32)
             g, rows = net.back(local, kept, d)
@@ -215,7 +222,9 @@ def score_column(net: Network | None, text: str = "text") -> Column:
 
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame) -> Network | None:
-    return train(*labelled_sample(docs, labels, "toxic"))
+    net = train(*labelled_sample(docs, labels, "toxic"))
+    give_back()
+    return net
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, threshold: float = 0.5) -> DataFrame:
