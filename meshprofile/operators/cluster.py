@@ -89,6 +89,8 @@ def fit(profiles: DataFrame, family, start: Model, setting: cs.Setting | None =
         for p in range(parties):
             report.party_seconds[p] = report.party_seconds.get(p, 0.0) + float(x[p, 0] if comps and comps[0] == -1 else 0.0)
         x, comps = x[:, 1:], comps[1:]
+        if setting and engine == "driver":
+            setting.prepare(outer, comps)
         began = time.perf_counter()
         if setting is None:
             views = x

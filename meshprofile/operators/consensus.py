@@ -44,6 +44,7 @@ class Setting:
     allow_exposed: bool = True
     w: np.ndarray = field(init=False)
     rho: float = field(init=False)
+    lookup: dict = field(init=False, default_factory=dict, repr=False)
 
     def __post_init__(self) -> None:
         if self.kind not in KINDS:
@@ -62,9 +63,18 @@ class Setting:
         if self.parties == 1:
             self.rounds = 0
 
+    def delta(self, outer: int, comps: list[int], t: int) -> np.ndarray:
+        if (outer, t) in self.lookup and self.lookup[outer, t].shape[1] == len(comps):
+            return self.lookup[outer, t]
+        return masking.delta_array(self.secret, outer, self.parties, comps, t, self.sigma, self.beta)
+
     def theta(self, outer: int, comps: list[int], t: int) -> np.ndarray:
-        at = (self.secret, outer, self.parties, comps)
-        return masking.delta_array(*at, t, self.sigma, self.beta) - masking.delta_array(*at, t - 1, self.sigma, self.beta)
+        return self.delta(outer, comps, t) - self.delta(outer, comps, t - 1)
+
+    def prepare(self, outer: int, comps: list[int]) -> None:
+        """A preset table of one exchange's draws, so that rounds only look them up; replaces the last one."""
+        self.lookup = {}
+        self.lookup = {(outer, t): self.delta(outer, comps, t) for t in range(-1, self.rounds)}
 
 
 def run_numpy(x: np.ndarray, s: Setting, outer: int = 0, comps: list[int] | None = None, rounds: int | None = None, trace: list | None = None) -> np.ndarray:

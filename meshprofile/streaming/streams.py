@@ -63,6 +63,21 @@ def dedup(spark: SparkSession, d: str) -> DataFrame:
     return finish(twice.dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"), "append")
 
 
+def late(spark: SparkSession, d: str) -> DataFrame:
+    """Files in time order, then one of rows long past the watermark, then a row that closes all windows:
+    append mode emits each window once and the late rows are dropped."""
+    base = f"{shared_folder(spark)}/late-{uuid.uuid4().hex}"
+    e = table(spark, d, "events")
+    old = e.where("ts < timestamp_ntz '2024-01-02'").withColumn("event_id", F.col("event_id") + 1_000_000_000)
+    last = e.limit(1).withColumn("ts", F.lit("2030-01-01").cast("timestamp_ntz"))
+    days = [e.where(f"ts >= timestamp_ntz '2024-01-{a:02d}' and ts < timestamp_ntz '2024-{b}'") for a, b in ((1, "01-11"), (11, "01-21"), (21, "03-01"))]
+    for i, part in enumerate([*days, old, last]):
+        part.coalesce(1).write.parquet(f"{base}/{i}")
+    files = spark.readStream.schema(SCHEMA).option("recursiveFileLookup", True).option("maxFilesPerTrigger", 1).parquet(base)
+    got = windowed(files.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour"), F.window("ts", "30 minutes"))
+    return finish(got, "append")
+
+
 def with_parties(spark: SparkSession, d: str) -> DataFrame:
     """Stream joined with the static party directory."""
     c = table(spark, d, "customer").select(F.col("c_custkey").cast("long").alias("user_id"), F.col("c_nationkey").cast("long").alias("party"))
@@ -130,6 +145,7 @@ Q: dict[str, tuple] = {
         """select user_id, floor(epoch(min(ts)))::bigint as start, count(*) as n from (select *, sum(new) over (partition by user_id order by ts) as s from
 (select *, case when ts - lag(ts) over (partition by user_id order by ts) < interval 6 hour then 0 else 1 end as new from events)) group by user_id, s""",
     ),
+    "stream_watermark_late": (late, f"select floor(epoch({BIN}))::bigint as start, count(*) as n, round(sum(value), 4) as v from events group by all"),
     "stream_dedup": (dedup, "select event_id, user_id from events"),
     "stream_join_static": (with_parties, "select c_nationkey::bigint as party, count(*) as n from events join customer on c_custkey = user_id group by all"),
     "stream_join_stream": (
