@@ -35,9 +35,23 @@ def shared_dir(spark: SparkSession) -> str:
     return got.rstrip("/")
 
 
+_written: list[str] = []
+
+
+def clear_shared(spark: SparkSession) -> int:
+    """Delete the tables that this driver has written to the shared folder; call it once results that read
+    them are stored. Gives their number."""
+    n = len(_written)
+    while _written:
+        path = spark._jvm.org.apache.hadoop.fs.Path(_written.pop())
+        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    return n
+
+
 def materialise(df: DataFrame, name: str) -> DataFrame:
     """Write df to the shared folder and read it back: lineage is cut, lost executors cost nothing."""
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    _written.append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 

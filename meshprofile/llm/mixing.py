@@ -85,7 +85,8 @@ def mix(docs: DataFrame, weights=WEIGHTS, schedules=SCHEDULES, share: float = SH
     The sources' totals, one row each, are collected to share targets: their number must fit the driver."""
     added = [c for c in docs.columns if c in ADDED or c.startswith("_m")]
     sized = docs.drop(*added).withColumn("size", F.size(words_of(F.col("text"))).cast("long"))
-    sized = sized.withColumn("_mh", F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.xxhash64("text").cast("string")), F.lit(seed)))
+    code = F.sha2(F.concat_ws(":", F.lit(seed), F.coalesce(F.col("doc_id").cast("string"), F.sha2("text", 256), F.lit(""))), 256)
+    sized = sized.withColumn("_mh", F.conv(F.substring(code, 1, 15), 16, 10).cast("long"))  # 60 bits that any SQL can recompute
     slim = materialise(sized.select("source", "size", "_mh"), "mix-sizes")
     totals = sorted(((r["source"], r["s"], r["n"]) for r in slim.groupBy("source").agg(F.sum("size").alias("s"), F.count(F.lit(1)).alias("n")).collect()), key=lambda r: (r[0] is None, r[0] or ""))
     own = [weights[i % len(weights)] for i in range(len(totals))]
@@ -96,7 +97,7 @@ def mix(docs: DataFrame, weights=WEIGHTS, schedules=SCHEDULES, share: float = SH
     large = slim.join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk"))).where(F.col("size") * LARGE > F.col("source_size"))
     first = choose_large([(r["source"], r["size"], r["_mh"]) for r in large.collect()], {k: t % s if s else 0.0 for k, s, t, *_ in plan})
     about = spark.createDataFrame([(*p, first.get(p[0], [])) for p in plan], "_mk string, source_size long, target double, _mb long, _mc int, _mg array<long>")
-    spread = "cast(floor((shiftrightunsigned(_mh, 11) / 9007199254740992D) * _mb) as long)"
+    spread = "cast(floor(_mh / 1152921504606846976D * _mb) as long)"
     range_of = F.expr(f"if(size * {LARGE} <= source_size, {spread}, if(array_contains(_mg, _mh), -1L, _mb))")
     slim, sized = (x.join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk"))).withColumn("_mr", range_of) for x in (slim, sized))
     ranges = slim.groupBy("_mk", "_mr").agg(F.sum("size").alias("_ms"))
@@ -119,8 +120,44 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
 
 def op4_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "source")
-    return mix(docs).select("doc_id", "size", "source_size", "target", "taken", "copies", "positions")
+    return mix(docs).select("doc_id", "size", "source_size", "target", "taken", "copies", F.round(F.get("positions", F.lit(0)), 6).alias("first_position"))
+
+
+def _oracle(rounds: int = 12) -> str:
+    """The same rows in SQL: resharing unrolled, large documents fitted by recursion."""
+    weigh = " ".join(f"when {i} then {w!r}" for i, w in enumerate(WEIGHTS))
+    steps = [f"r0 as (select source, size, w, null::double as target, {SHARE!r} * (select sum(size) from s) as remains from s where size > 0)"]
+    for k in range(rounds):
+        steps.append(f"o{k} as (select *, target is null as free, remains * w / sum(case when target is null then w end) over () as part from r{k})")
+        steps.append(f"f{k} as (select *, free and part > {MOST!r} * size as over, max(free and part > {MOST!r} * size) over () as any_over from o{k})")
+        steps.append(
+            f"r{k + 1} as (select source, size, w, case when over then {MOST!r} * size when free and not any_over then part else target end as target, remains - coalesce(sum(case when over then {MOST!r} * size end) over (), 0) as remains from f{k})"
+        )
+    curve = " ".join(f"when {i} then {_position_sql(k)}" for i, k in enumerate(SCHEDULES))
+    return f"""
+with recursive d as (select doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) as size,
+  ('0x' || substr(sha256('11:' || coalesce(doc_id::varchar, sha256(text), '')), 1, 15))::bigint as h from documents),
+s as (select source, sum(size)::bigint as size, count(*) as n, case ((row_number() over (order by source nulls last)) - 1) % {len(WEIGHTS)} {weigh} end as w,
+  ((row_number() over (order by source nulls last)) - 1) % {len(SCHEDULES)} as c from d group by source),
+{", ".join(steps)},
+plan as (select s.source, s.size as source_size, s.c, coalesce(r.target, 0)::double as target, greatest(1, (s.n + {BUCKET - 1}) // {BUCKET}) as ranges from s left join r{rounds} r on r.source is not distinct from s.source),
+big as (select d.source, d.size, d.h, row_number() over (partition by d.source order by d.size desc, d.h) as i from d join plan p on p.source is not distinct from d.source where d.size * {LARGE} > p.source_size),
+fit as (select source, 0::bigint as i, case when source_size > 0 then target - floor(target / source_size) * source_size else 0 end as remains, null::bigint as h, false as fits from plan
+  union all select b.source, b.i, case when b.size <= f.remains then f.remains - b.size else f.remains end, b.h, b.size <= f.remains from fit f join big b on b.source is not distinct from f.source and b.i = f.i + 1),
+e as (select d.*, p.*exclude(source), case when d.size * {LARGE} <= p.source_size then floor(h / 1152921504606846976.0::double * ranges)::bigint
+  when exists (select 1 from fit f where f.fits and f.h = d.h and f.source is not distinct from d.source) then -1 else ranges end as r from d join plan p on p.source is not distinct from d.source),
+o as (select *, coalesce(sum(size) over (partition by source order by r, case when r = ranges then size else 0 end, h, doc_id, size rows between unbounded preceding and 1 preceding), 0)::double as c0 from e),
+t as (select *, (case when c0 + size / 2.0::double < target then 1 else 0 end + case when source_size + c0 + size / 2.0::double < target then 1 else 0 end)::bigint as copies from o)
+select doc_id, size::bigint as size, source_size::bigint as source_size, target, copies * size::bigint as taken, copies, case when copies > 0 then round(case c {curve} end, 6) end as first_position from t
+"""
+
+
+def _position_sql(knots: tuple[tuple[float, float], ...]) -> str:
+    """Only schedules of one piece: time t with weight * t + slope * t * t / 2 = share."""
+    (_, _, weight, slope, _), *rest = demand_pieces(knots)
+    assert not rest
+    return f"2 * (c0 / target) / ({weight!r} + sqrt(greatest({weight!r} * {weight!r} + 2 * {slope!r} * (c0 / target), 0)) + 1e-300)"
 
 
 QUERIES = {"op4_mix_sources": op4_mix_sources}
-ORACLES = {}
+ORACLES = {"op4_mix_sources": _oracle()}

@@ -126,3 +126,14 @@ def test_simhash(docs, none):
     assert kept.columns == [c for c in docs.columns if c != "_fp"] or kept.columns == docs.columns
     assert sorted((r.doc_id or 0) for r in kept.collect()) == [0, 1, 2, 4, 5]
     assert simhash_dedup.simhash_groups(none).count() == 0
+
+
+def test_shared_tables_can_be_cleared(spark):
+    import os
+
+    from meshprofile.llm import common
+
+    common.clear_shared(spark)
+    kept = common.materialise(spark.range(3), "kept")
+    assert kept.count() == 3 and common.clear_shared(spark) == 1
+    assert not any(n.startswith("kept-") for n in os.listdir(common.shared_dir(spark).removeprefix("file:")))
