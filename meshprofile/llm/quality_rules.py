@@ -2,9 +2,11 @@
 
 Each rule rejects a document whose figure lies above a cutoff. For every stratum and rule a grid of
 cutoffs is tested on labelled good documents: with k of n rejected, the exact binomial probability
-P(Bin(n, risk) <= k) is the p-value of "the true rejection rate is above risk". Bonferroni's
-correction over all strata, rules and cutoffs keeps every accepted cutoff valid at once with
-probability 1 - delta; the lowest accepted cutoff is used, and a rule without one rejects nothing.
+P(Bin(n, risk) <= k) is the p-value of "the true rejection rate is above risk". Cutoffs of a rule are
+tested in sequence, from lax to strict, up to the first that fails (k only grows on the way, so this is
+the lowest one that passes), which needs no correction within the sequence; Bonferroni's correction over
+strata and rules keeps all chosen cutoffs valid at once with probability 1 - delta. A rule without a
+passing cutoff rejects nothing.
 A stratum's risk is shared evenly by its rules, so the union of all rules stays below it.
 
 Nulls and odd input: a null text counts as empty (no words, base_failed true); an unknown or null
@@ -22,7 +24,7 @@ from meshprofile.llm.common import materialise, table, words_of
 
 SYMBOLS = "#*$%&|<>"
 STRATA = ("de", "en", "es", "fr")
-RISK, DELTA = 0.01, 0.05
+RISK, DELTA = 0.02, 0.05
 #: Rule -> its figure (from the measures below) and cutoffs from strict to lax.
 RULES = {
     "symbols_per_word": ("n_symbols / n_words", (0.01, 0.02, 0.05, 0.1, 0.2, 0.4)),
@@ -98,7 +100,8 @@ def cutoff_tests(measured: DataFrame, labels: DataFrame, risk: float = RISK) ->
 
 
 def n_tests() -> int:
-    return (len(STRATA) + 1) * sum(len(c) for _, c in RULES.values())
+    """Families of tests that Bonferroni's correction counts: one sequence for each stratum and rule."""
+    return (len(STRATA) + 1) * len(RULES)
 
 
 def choose_cutoffs(measured: DataFrame, labels: DataFrame, risk: float = RISK, delta: float = DELTA) -> dict[tuple[str, str], float]:
