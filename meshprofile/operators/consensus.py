@@ -161,26 +161,32 @@ def _block(state: DataFrame, s: Setting, outer: int, trace: bool) -> DataFrame:
     return state.withColumn("_b", F.floor(F.col("comp") / size)).groupBy("_b").applyInArrow(lambda rows: work(rows), schema)
 
 
-def _edge(state: DataFrame, s: Setting, outer: int, trace: bool, keep_every: int = 5) -> DataFrame:
-    spark = state.sparkSession
-    w = spark.createDataFrame([(i, j, float(s.w[i, j])) for i in range(s.parties) for j in range(s.parties) if s.w[i, j]], "party int, dst int, w double")
-    everyone = state.select("comp").distinct().crossJoin(spark.range(s.parties).select(F.col("id").cast("int").alias("party")))
+def mix_by_join(state: DataFrame, weights: DataFrame, rounds: int, secret: str = "s", outer: int = 0, sigma: float = 0.0, beta: float = masking.BETA, trace: bool = False, keep_every: int = 5) -> DataFrame:
+    """Rounds as joins of the state with weights (src, dst, w): for more parties than a driver's matrix
+    holds, or for the log of what was said. The state is written out every few rounds."""
+    parties = weights.select(F.col("src").cast("int").alias("party")).distinct()
+    everyone = state.select("comp").distinct().crossJoin(parties)  # components are as many as a model's numbers
     x = everyone.join(state, ["party", "comp"], "left").select("party", "comp", F.coalesce("x", F.lit(0.0)).alias("x"))
-    log = []
-    for t in range(s.rounds):
-        said = masking.mask(x, t, s.secret, outer, s.sigma, s.beta) if s.sigma else x.withColumn("shared", F.col("x"))
+    w, log = weights.select(F.col("src").cast("int").alias("party"), F.col("dst").cast("int").alias("dst"), "w"), []
+    for t in range(rounds):
+        said = masking.mask(x, t, secret, outer, sigma, beta) if sigma else x.withColumn("shared", F.col("x"))
         if trace:
             said = settle(said, "messages")
             log.append(said.select(F.lit(t).alias("t"), "party", "comp", "shared", F.col("x").alias("state")))
         x = said.join(w, "party").groupBy(F.col("dst").alias("party"), "comp").agg(F.sum(F.col("w") * F.col("shared")).alias("x"))
         if t % keep_every == keep_every - 1:
             x = settle(x, "consensus")
-    if trace:
-        out = log[0]
-        for more in log[1:]:
-            out = out.unionByName(more)
-        return out
-    return x
+    if not trace:
+        return x
+    out = log[0]
+    for more in log[1:]:
+        out = out.unionByName(more)
+    return out
+
+
+def _edge(state: DataFrame, s: Setting, outer: int, trace: bool) -> DataFrame:
+    rows = [(i, j, float(s.w[j, i])) for i in range(s.parties) for j in range(s.parties) if s.w[j, i]]
+    return mix_by_join(state, state.sparkSession.createDataFrame(rows, "src int, dst int, w double"), s.rounds, s.secret, outer, s.sigma, s.beta, trace)
 
 
 def _closed(state: DataFrame, s: Setting, outer: int) -> DataFrame:

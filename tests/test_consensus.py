@@ -121,3 +121,12 @@ def test_sums_are_kept_on_random_graphs(n, extra, seed):
     x = np.random.default_rng(seed).normal(size=(n, 2))
     s = C.Setting(pairs, n, "boosted", stop="fixed", rounds=3)
     assert np.allclose(C.run_numpy(x, s).sum(0), x.sum(0))
+
+
+def test_mixing_by_join_needs_no_matrix(spark):
+    from meshprofile.operators import topology as T
+
+    weights = T.boost(T.mixing(G.edges_df(spark, G.main_graph())), 0.2965)
+    got, _ = C.dense(C.mix_by_join(C._to_state(spark, X, [0, 1, 2, 3]), weights, 6), 10)
+    want = C.run_numpy(X, C.Setting(G.main_graph(), 10, "boosted", a=0.2965, stop="fixed", rounds=6))
+    assert np.abs(got - want).max() < 1e-9
