@@ -1,6 +1,6 @@
 """A small causal self-attention language model on subword ids, trained in numpy.
 
-Codes: the most frequent subword ids of a sample, one code for all others (an id among those then has
+Codes: the most frequent subword ids of the corpus, one code for all others (an id among those then has
 its smoothed share of the corpus), one for the beginning. A position predicts the next code from the
 last two codes and from masked attention over its window (relative-position bias); the output is a
 two-level softmax, classes then members, so a token costs two short softmaxes. The prediction is mixed
@@ -51,6 +51,16 @@ def windows_of(ends: np.ndarray, step: int = WINDOW - CONTEXT) -> tuple[np.ndarr
     return ends[owner] + k * step, owner, np.where(k > 0, CONTEXT, 0)
 
 
+def add_rows(to: np.ndarray, index: np.ndarray, rows: np.ndarray) -> None:
+    """Add each of `rows` to the row of `to` that `index` names."""
+    index, rows = index.ravel(), rows.reshape(-1, to.shape[1])
+    if len(index):
+        order = np.argsort(index.astype(np.uint16), kind="stable")
+        index = index.take(order)
+        first = np.flatnonzero(np.r_[True, index[1:] != index[:-1]])
+        to[index[first]] += np.add.reduceat(rows.take(order, 0), first)
+
+
 class AttentionLM:
     def __init__(self, code_class: np.ndarray, seed: int = 9):
         rng = np.random.default_rng(seed)
@@ -151,17 +161,17 @@ class AttentionLM:
             dh[s] += pm[s] @ p["wm"][c].T
         dh *= 1 - h * h
         out["one"], out["two"] = np.zeros_like(p["one"]), np.zeros_like(p["two"])
-        np.add.at(out["one"], x1, dh)
-        np.add.at(out["two"], before.ravel()[use], dh)
+        add_rows(out["one"], x1, dh)
+        add_rows(out["two"], before.ravel()[use], dh)
         dc = np.zeros((x.size, VALUES), np.float32)
         dc[use] = dh[:, :VALUES]
         dc = dc.reshape(*x.shape, VALUES)
         out["v"], out["q"], out["k"] = np.zeros_like(p["v"]), np.zeros_like(p["q"]), np.zeros_like(p["k"])
-        np.add.at(out["v"], x, a.transpose(0, 2, 1) @ dc)
+        add_rows(out["v"], x, a.transpose(0, 2, 1) @ dc)
         da = dc @ v.transpose(0, 2, 1)
         ds = a * (da - (a * da).sum(2, keepdims=True))
-        np.add.at(out["q"], x, ds @ k)
-        np.add.at(out["k"], x, ds.transpose(0, 2, 1) @ q)
+        add_rows(out["q"], x, ds @ k)
+        add_rows(out["k"], x, ds.transpose(0, 2, 1) @ q)
         out["near"] = np.bincount(self.back.ravel(), (ds * self.mask).sum(0).ravel(), WINDOW)
         return {key: val.astype(np.float32) for key, val in out.items()}, float(ll.mean())
 
@@ -204,12 +214,43 @@ def bigram_counts(codes: np.ndarray, ends: np.ndarray) -> np.ndarray:
     return np.bincount(shifted.astype(np.int64) * (HEAD + 1) + codes, minlength=CODES * (HEAD + 1))
 
 
-def train(codes: np.ndarray, ends: np.ndarray, steps: int = 600, epochs: int = 6, batch: int = 64, rate: float = 0.02, seed: int = 9) -> AttentionLM:
-    """Network and gate learn beside bigram shares that leave the predicted pair itself out of their counts."""
-    whole = bigram_counts(codes, ends).reshape(CODES, HEAD + 1)
+class Learner:
+    """Goes once over all windows of the texts it is given, from the parameters it starts with; what
+    learners reach is averaged by the windows they saw. Needs net.left_out."""
+
+    def __init__(self, net: AttentionLM, rate: float = 0.002, batch: int = 256, seed: int = 9):
+        self.net, self.batch, self.rng, self.seen = net, batch, np.random.default_rng(seed), 0
+        net.p = {k: v.copy() for k, v in net.p.items()}
+        self.adam = Adam(net.p, rate)
+
+    def learn(self, codes: np.ndarray, ends: np.ndarray) -> None:
+        starts, owner, _ = windows_of(ends, WINDOW)
+        before, order = self.net.earlier(codes, ends), self.rng.permutation(len(starts))
+        for i in range(0, len(order), self.batch):
+            pick = order[i : i + self.batch]
+            self.adam.step(self.net.gradients(*self.net.arrays(codes, before, ends, starts[pick], owner[pick]))[0])
+        self.seen += len(starts)
+
+    def packed(self) -> np.ndarray:
+        return pack(self.net.p)
+
+
+def pack(p: dict[str, np.ndarray]) -> np.ndarray:
+    return np.concatenate([p[k].ravel() for k in sorted(p)])
+
+
+def unpack(flat: np.ndarray, like: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
+    cuts = np.cumsum([like[k].size for k in sorted(like)])[:-1]
+    return {k: v.reshape(like[k].shape).astype(np.float32) for k, v in zip(sorted(like), np.split(flat, cuts))}
+
+
+def train(codes: np.ndarray, ends: np.ndarray, steps: int = 600, epochs: int = 6, batch: int = 64, rate: float = 0.02, seed: int = 9, whole: np.ndarray | None = None) -> AttentionLM:
+    """Network and gate learn beside bigram shares that leave the predicted pair itself out of their counts
+    (`whole`, those of the texts if not given)."""
+    whole = bigram_counts(codes, ends).reshape(CODES, HEAD + 1) if whole is None else whole
     net = AttentionLM(classes_of(whole), seed)
     net.set_bigrams(whole)
-    uni = np.log(np.bincount(codes, minlength=HEAD + 1) + 0.5)
+    uni = np.log(whole.sum(0) + 0.5)
     for c in range(CLASSES):
         own = np.flatnonzero(net.code_class == c)
         net.p["bc"][c] = np.log(np.exp(uni[own]).sum()) - np.log(np.exp(uni).sum()) + 3
@@ -222,5 +263,4 @@ def train(codes: np.ndarray, ends: np.ndarray, steps: int = 600, epochs: int = 6
         adam.rate = rate * (1 - step / steps) + rate / 20
         pick = rng.integers(0, len(starts), batch)
         adam.step(net.gradients(*net.arrays(codes, before, ends, starts[pick], owner[pick]))[0])
-    net.left_out = None
     return net

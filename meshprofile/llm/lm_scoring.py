@@ -6,8 +6,9 @@ chunk's subword bigram counts, kept as a table. Corpus counts come back to a chu
 distinct words, so what is shuffled is distinct words per chunk, not words. A second pass scores every
 document: the base from the counts of its words, the model by overlapping windows (see attention_lm).
 
-The network is fitted on at most SAMPLE training documents (of at most LONGEST characters); word
-counts, subword counts and bigram counts cover all training documents.
+Word counts, subword counts (which choose the codes) and bigram counts cover all training documents. The
+network starts from a fit on the driver to at most SAMPLE of them; from there each task goes over every
+window of the training texts of its chunks, long ones included, and the averaged result is the model.
 
 Nulls and odd input: a null text is empty and has only its end; a null doc_id is not held out and
 trains; repeated rows count and score each; an empty table gives an empty result; extra columns are
@@ -74,26 +75,36 @@ def code_texts(index: np.ndarray, ends: np.ndarray, values: np.ndarray, offsets:
 
 
 class Fitted:
-    """The network with its choice of codes."""
+    """The network with its choice of codes: ids are the corpus counts of every id."""
 
-    def __init__(self, texts: list[str], path: str, steps: int = STEPS):
-        words, index, ends = word_indices(pa.array(texts, pa.large_string()))
-        ids, offsets = subwords_of(words, path)
-        flat, ends = code_texts(index, ends, ids, offsets, END)
+    def __init__(self, ids: np.ndarray, path: str):
         self.path, self.size = path, encoder(path).size
-        count = np.bincount(flat, minlength=self.size)
         self.code = np.full(self.size, lm.RARE, np.int32)
-        self.code[np.argsort(-count, kind="stable")[: lm.HEAD]] = np.arange(lm.HEAD)
-        self.net = lm.train(self.code[flat], ends, steps if len(texts) > 2 else 0)
-
-    def set_counts(self, ids: np.ndarray, bigrams: np.ndarray) -> None:
-        """Corpus counts: of every id, and of code pairs."""
-        self.net.set_bigrams(bigrams.reshape(lm.CODES, lm.HEAD + 1))
-        self.net.left_out = None
+        self.code[np.argsort(-ids, kind="stable")[: lm.HEAD]] = np.arange(lm.HEAD)
         rare = self.code == lm.RARE
         own = np.where(rare, ids + 0.5, 1.0)
         self.log_rare = np.where(rare, np.log10(own / own[rare].sum()), 0.0)
 
+    def start(self, texts: list[str], bigrams: np.ndarray, steps: int = STEPS) -> None:
+        """First fit, to a sample of texts beside the corpus counts of code pairs."""
+        words, index, ends = word_indices(pa.array(texts, pa.large_string()))
+        ids, offsets = subwords_of(words, self.path)
+        flat, ends = code_texts(index, ends, self.code[ids], offsets, self.code[END])
+        self.net = lm.train(flat, ends, steps if len(texts) > 2 else 0, whole=bigrams.reshape(lm.CODES, lm.HEAD + 1))
+
+    def training_codes(self, row: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
+        """Codes of a chunk's training texts end to end, and n + 1 offsets."""
+        ends, index, ids, offsets = opened(row, self.size)
+        keep, n = row.column("train").flatten().to_numpy(zero_copy_only=False).astype(bool), np.diff(ends)
+        return code_texts(index[np.repeat(keep, n)], np.r_[0, np.cumsum(n[keep])], self.code[ids], offsets, self.code[END])
+
+
+def opened(row: pa.RecordBatch, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of a chunk: its texts' offsets, the index of every word, subword ids of the words and their offsets."""
+    index, sizes = (np.frombuffer(row.column(c)[0].as_py(), np.int32) for c in ("codes", "sizes"))
+    ids = np.frombuffer(row.column("subwords")[0].as_py(), np.uint16 if size <= 1 << 16 else np.uint32)
+    return row.column("ends").flatten().to_numpy(), index, ids, np.r_[0, np.cumsum(sizes)]
+
 
 def gathered(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.RecordBatch]:
     """Batches put together up to about `most` bytes, so that chunks are full."""
@@ -108,33 +119,28 @@ def gathered(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.Record
         yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
 
 
-CHUNK_SCHEMA = "chunk long, doc_ids array<long>, train array<boolean>, words array<string>, counts array<long>, codes binary, ends array<long>, subwords binary, sizes binary, id_at array<int>, id_n array<long>, pair_at array<int>, pair_n array<long>"
+CHUNK_SCHEMA = "chunk long, doc_ids array<long>, train array<boolean>, words array<string>, counts array<long>, codes binary, ends array<long>, subwords binary, sizes binary, id_at array<int>, id_n array<long>"
 #: A chunk's word number and its corpus count travel as one long: number below 2 ** PLACE.
 PLACE = 21
 
 
-def _chunks(fitted: Fitted):
+def _chunks(path: str, size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, task = 0, TaskContext.get().partitionId()
-        encoder(fitted.path).most_known = 200_000  # words of a chunk differ: keep more of them
+        encoder(path).most_known = 200_000  # words of a chunk differ: keep more of them
         for batch, texts in text_chunks(gathered(batches, CHUNK), most=CHUNK):
             train = batch.column("train").to_numpy(zero_copy_only=False)
             words, index, ends = word_indices(texts)
             n = np.diff(ends)
             counts = np.bincount(index[np.repeat(train, n)], minlength=len(words))
-            ids, offsets = subwords_of(words, fitted.path)
-            per_id = np.bincount(ids, np.repeat(counts, np.diff(offsets)), fitted.size).astype(np.int64)
+            ids, offsets = subwords_of(words, path)
+            per_id = np.bincount(ids, np.repeat(counts, np.diff(offsets)), size).astype(np.int64)
             per_id[END] += train.sum()
-            own = np.flatnonzero(train)
-            pairs = np.zeros(0, np.int64)
-            if len(own):
-                flat, close = code_texts(index[np.repeat(train, n)], np.r_[0, np.cumsum(n[own])], fitted.code[ids], offsets, fitted.code[END])
-                pairs = lm.bigram_counts(flat, close)
-            ia, pa_ = np.flatnonzero(per_id), np.flatnonzero(pairs)
-            kind = np.uint16 if fitted.size <= 1 << 16 else np.uint32
+            ia = np.flatnonzero(per_id)
+            kind = np.uint16 if size <= 1 << 16 else np.uint32
             sizes = np.diff(offsets).astype(np.int32)
-            one = [[(task << 20) + at], [batch.column("doc_id").to_pylist()], [train.tolist()], [words], [counts], [index.tobytes()], [ends], [ids.astype(kind).tobytes()], [sizes.tobytes()], [ia.astype(np.int32)], [per_id[ia]], [pa_.astype(np.int32)], [pairs[pa_]]]
-            kinds = [pa.int64(), pa.list_(pa.int64()), pa.list_(pa.bool_()), pa.list_(pa.string()), pa.list_(pa.int64()), pa.binary(), pa.list_(pa.int64()), pa.binary(), pa.binary(), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int64())]
+            one = [[(task << 20) + at], [batch.column("doc_id").to_pylist()], [train.tolist()], [words], [counts], [index.tobytes()], [ends], [ids.astype(kind).tobytes()], [sizes.tobytes()], [ia.astype(np.int32)], [per_id[ia]]]
+            kinds = [pa.int64(), pa.list_(pa.int64()), pa.list_(pa.bool_()), pa.list_(pa.string()), pa.list_(pa.int64()), pa.binary(), pa.list_(pa.int64()), pa.binary(), pa.binary(), pa.list_(pa.int32()), pa.list_(pa.int64())]
             cols = [pa.ListArray.from_arrays(pa.array([0, len(words)], pa.int32()), words.cast(pa.string())) if i == 3 else pa.array(v, k) for i, (v, k) in enumerate(zip(one, kinds))]
             yield pa.record_batch(cols, names=[c.split()[0] for c in CHUNK_SCHEMA.split(", ")])
             at += 1
@@ -142,21 +148,83 @@ def _chunks(fitted: Fitted):
     return run
 
 
+PAIR_SCHEMA = "pair_at int, pair_n long"
+
+
+def _pairs(fitted: Fitted):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(lm.CODES * (lm.HEAD + 1), np.int64)
+        for batch in batches:
+            for i in range(batch.num_rows):
+                total += lm.bigram_counts(*fitted.training_codes(batch.slice(i, 1)))
+                give_back()
+        at = np.flatnonzero(total)
+        yield pa.record_batch([pa.array(at.astype(np.int32)), pa.array(total[at])], names=["pair_at", "pair_n"])
+
+    return run
+
+
+#: Learned parameters are summed in so many slots before the driver gets them.
+SLOTS = 16
+MODEL_SCHEMA = "slot int, seen double, params binary"
+
+
+def _learn(fitted: Fitted):
+    """One row a task: the windows it saw and, times their number, the parameters it reached."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        task = TaskContext.get().partitionId()
+        learner = lm.Learner(fitted.net, seed=task)
+        for batch in batches:
+            for i in range(batch.num_rows):
+                codes, ends = fitted.training_codes(batch.slice(i, 1))
+                if len(codes):
+                    learner.learn(codes, ends)
+                give_back()
+        if learner.seen:
+            yield _model_row(task % SLOTS, learner.seen, learner.seen * learner.packed().astype(np.float64))
+
+    return run
+
+
+def _model_row(slot: int, seen: float, params: np.ndarray) -> pa.RecordBatch:
+    return pa.record_batch([pa.array([slot], pa.int32()), pa.array([float(seen)]), pa.array([params.tobytes()], pa.binary())], names=["slot", "seen", "params"])
+
+
+def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    seen, params = 0.0, None
+    for batch in batches:
+        for s, p in zip(batch.column("seen").to_pylist(), batch.column("params").to_pylist()):
+            p = np.frombuffer(p, np.float64)
+            seen, params = seen + s, p.copy() if params is None else params + p
+    if params is not None:
+        yield _model_row(0, seen, params)
+
+
+def learn(fitted: Fitted, chunks: DataFrame) -> int:
+    """Train over all training texts of the chunks; gives the number of windows seen."""
+    rows = chunks.select("train", "codes", "ends", "subwords", "sizes").mapInArrow(_learn(fitted), MODEL_SCHEMA)
+    rows = rows.repartition(SLOTS, "slot").mapInArrow(_summed, MODEL_SCHEMA).collect()  # at most SLOTS rows
+    seen = sum(r["seen"] for r in rows)
+    if seen:
+        fitted.net.p = lm.unpack(sum(np.frombuffer(r["params"], np.float64) for r in rows) / seen, fitted.net.p)
+    fitted.net.left_out = None
+    return int(seen)
+
+
 SCORE_SCHEMA = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
 
 
 def _scores(fitted: Fitted, total: int, kinds: int, ends_seen: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         floor = total + 0.5 * (kinds + 1)
-        kind = np.uint16 if fitted.size <= 1 << 16 else np.uint32
         for batch in batches:
             for i in range(batch.num_rows):
                 row = batch.slice(i, 1)
                 get = lambda c: row.column(c).flatten().to_numpy(zero_copy_only=False)  # noqa: B023, E731
-                ends, index, sizes = get("ends"), np.frombuffer(row.column("codes")[0].as_py(), np.int32), np.frombuffer(row.column("sizes")[0].as_py(), np.int32)
-                ids, offsets = np.frombuffer(row.column("subwords")[0].as_py(), kind), np.r_[0, np.cumsum(sizes)]
+                ends, index, ids, offsets = opened(row, fitted.size)
                 known = get("known")
-                count = np.zeros(len(sizes), np.int64)
+                count = np.zeros(len(offsets) - 1, np.int64)
                 count[known & ((1 << PLACE) - 1)] = known >> PLACE
                 n = np.diff(ends)
                 upto = lambda x: np.r_[0, np.cumsum(x)][ends]  # noqa: B023, E731
@@ -173,7 +241,7 @@ def _scores(fitted: Fitted, total: int, kinds: int, ends_seen: int):
 
 
 def training_texts(docs: DataFrame, sample: int = SAMPLE, longest: int = LONGEST) -> list[str]:
-    """Texts of the first `sample` training ids by hash, none longer than `longest`: a bounded number of bytes."""
+    """Texts to start from: of the first `sample` training ids by hash, none longer than `longest`, a bounded number of bytes."""
     ids = docs.where("train and doc_id is not null").select("doc_id").distinct().orderBy(F.xxhash64("doc_id", F.lit(4))).limit(sample).collect()
     small = docs.sparkSession.createDataFrame([(r[0],) for r in ids], "_id long")
     rows = docs.where((F.length("text") <= longest) & F.col("train")).join(F.broadcast(small), F.col("doc_id") == F.col("_id")).select("doc_id", "text").collect()
@@ -183,9 +251,19 @@ def training_texts(docs: DataFrame, sample: int = SAMPLE, longest: int = LONGEST
 def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of docs (doc_id, text, train)."""
     bounded_batches()
-    fitted = Fitted(training_texts(docs), path or model_path(), steps)
+    path = path or model_path()
+    size = encoder(path).size
+    chunks = materialise(docs.select("doc_id", "text", "train").mapInArrow(_chunks(path, size), CHUNK_SCHEMA), "lm-chunks")
+    per_id, per_pair = np.zeros(size, np.int64), np.zeros(lm.CODES * (lm.HEAD + 1), np.int64)
+    for i, n in chunks.select(F.inline(F.arrays_zip("id_at", "id_n"))).groupBy("id_at").agg(F.sum("id_n")).collect():  # at most the tokenizer's size
+        per_id[i] = n
+    fitted = Fitted(per_id, path)
+    pairs = chunks.select("train", "codes", "ends", "subwords", "sizes").mapInArrow(_pairs(fitted), PAIR_SCHEMA)
+    pairs = pairs.groupBy("pair_at").agg(F.sum("pair_n")).toArrow()  # at most CODES ** 2
+    per_pair[pairs.column(0).to_numpy()] = pairs.column(1).to_numpy()
+    fitted.start(training_texts(docs), per_pair, steps)
+    learn(fitted, chunks)
     give_back()
-    chunks = materialise(docs.select("doc_id", "text", "train").mapInArrow(_chunks(fitted), CHUNK_SCHEMA), "lm-chunks")
     # one shuffle by word gives each chunk's entries their corpus counts; a word has at most one row a chunk
     listed = chunks.select("chunk", F.posexplode("words").alias("at", "word"), "counts").select("chunk", "at", "word", F.col("counts")[F.col("at")].alias("n"))
     entry = F.expr(f"shiftleft(sum(n) over (partition by word), {PLACE}) + at")
@@ -197,13 +275,6 @@ def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> D
     kinds = back.agg(F.coalesce(F.sum("new"), F.lit(0))).first()[0]
     total = chunks.select(F.expr("aggregate(counts, 0L, (a, x) -> a + x)").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     docs_seen = chunks.agg(F.coalesce(F.sum(F.size(F.filter("train", lambda x: x))), F.lit(0))).first()[0]
-    ids = chunks.select(F.inline(F.arrays_zip("id_at", "id_n"))).groupBy("id_at").agg(F.sum("id_n")).collect()  # at most the tokenizer's size
-    pairs = chunks.select(F.inline(F.arrays_zip("pair_at", "pair_n"))).groupBy("pair_at").agg(F.sum("pair_n")).toArrow()  # at most CODES ** 2
-    per_id, per_pair = np.zeros(fitted.size, np.int64), np.zeros(lm.CODES * (lm.HEAD + 1), np.int64)
-    for i, n in ids:
-        per_id[i] = n
-    per_pair[pairs.column(0).to_numpy()] = pairs.column(1).to_numpy()
-    fitted.set_counts(per_id, per_pair)
     both = chunks.select("chunk", "doc_ids", "train", "codes", "ends", "subwords", "sizes").join(back.select("chunk", "known"), "chunk", "left")
     ready = both.select("doc_ids", "train", "codes", "ends", "subwords", "sizes", F.coalesce("known", F.array().cast("array<long>")).alias("known"))
     scored = ready.mapInArrow(_scores(fitted, total + docs_seen, kinds + (docs_seen > 0), docs_seen), SCORE_SCHEMA)

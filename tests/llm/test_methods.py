@@ -218,3 +218,17 @@ def test_pipeline_stages(spark, sf):
         if name == "mixing":
             assert out.count() == registry.queries()["op4_mix_sources"](spark, sf).selectExpr("sum(copies)").first()[0]
     assert P.STAGES[4][1](spark, docs, sf).columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+
+
+def test_lm_learns_from_every_training_text(spark, monkeypatch):
+    """Codes and windows come from the whole corpus: texts beyond the first sample and very long ones too."""
+    seen = {}
+    monkeypatch.setattr(lm_scoring, "learn", lambda fitted, chunks, f=lm_scoring.learn: seen.update(n=f(fitted, chunks), code=fitted.code))
+    late = "zebra quartz " * 3000  # longer than LONGEST characters: no part of the sample
+    rows = [(i, "the cat sat on the mat", True) for i in range(40)] + [(99, late, True), (100, late, False)]
+    lm_scoring.lm_scores(spark.createDataFrame(rows, "doc_id long, text string, train boolean"), steps=3).count()
+    words, _, _ = lm_scoring.word_indices(pa.array([late], pa.large_string()))
+    ids, _ = lm_scoring.subwords_of(words, bpe.model_path())
+    assert (seen["code"][ids] != attention_lm.RARE).all()
+    own = 3000 * len(ids) + 1
+    assert seen["n"] == 40 + -(-own // attention_lm.WINDOW)
