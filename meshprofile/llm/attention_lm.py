@@ -14,7 +14,7 @@ import numpy as np
 
 from meshprofile.llm.learning import Adam, sigmoid
 
-HEAD, CLASSES, WINDOW, CONTEXT, DIM, VALUES, KEYS, BATCH = 1023, 32, 32, 8, 32, 16, 8, 256
+HEAD, CLASSES, WINDOW, CONTEXT, DIM, KEYS, BATCH = 1023, 32, 32, 8, 32, 8, 256
 RARE, BEGIN, CODES = HEAD, HEAD + 1, HEAD + 2
 MEMBERS = (HEAD + 1) // CLASSES
 
@@ -71,7 +71,7 @@ class AttentionLM:
         self.p = {
             "q": rng.normal(0, 0.5, (CODES, KEYS)),
             "k": rng.normal(0, 0.5, (CODES, KEYS)),
-            "v": rng.normal(0, 0.3, (CODES, VALUES)),
+            "v": rng.normal(0, 0.3, (CODES, DIM)),
             "one": rng.normal(0, 0.5, (CODES, DIM)),
             "two": rng.normal(0, 0.3, (CODES, DIM)),
             "near": np.linspace(1, -1, WINDOW),
@@ -108,7 +108,7 @@ class AttentionLM:
         np.minimum(a, 60, out=a)
         np.exp(a, out=a)
         a /= a.sum(2, keepdims=True)
-        context = (a @ v).reshape(-1, VALUES)
+        context = (a @ v).reshape(-1, DIM)
         use = np.flatnonzero(((y >= 0) & (np.arange(WINDOW) >= skip[:, None])).ravel())
         # places in the order of what they predict: a class is then one product
         cls = self.code_class.take(y.ravel().take(use))
@@ -117,7 +117,7 @@ class AttentionLM:
         x1, y1 = x.ravel().take(use), y.ravel().take(use)
         h = p["one"].take(x1, 0)
         h += p["two"].take(before.ravel().take(use), 0)
-        h[:, :VALUES] += context.take(use, 0)
+        h += context.take(use, 0)
         np.tanh(h, out=h)
         lc = h @ p["wc"]
         lc += p["bc"]
@@ -163,9 +163,9 @@ class AttentionLM:
         out["one"], out["two"] = np.zeros_like(p["one"]), np.zeros_like(p["two"])
         add_rows(out["one"], x1, dh)
         add_rows(out["two"], before.ravel()[use], dh)
-        dc = np.zeros((x.size, VALUES), np.float32)
-        dc[use] = dh[:, :VALUES]
-        dc = dc.reshape(*x.shape, VALUES)
+        dc = np.zeros((x.size, DIM), np.float32)
+        dc[use] = dh
+        dc = dc.reshape(*x.shape, DIM)
         out["v"], out["q"], out["k"] = np.zeros_like(p["v"]), np.zeros_like(p["q"]), np.zeros_like(p["k"])
         add_rows(out["v"], x, a.transpose(0, 2, 1) @ dc)
         da = dc @ v.transpose(0, 2, 1)

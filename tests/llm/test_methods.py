@@ -232,3 +232,12 @@ def test_lm_learns_from_every_training_text(spark, monkeypatch):
     assert (seen["code"][ids] != attention_lm.RARE).all()
     own = 3000 * len(ids) + 1
     assert seen["n"] == 40 + -(-own // attention_lm.WINDOW)
+
+
+def test_lm_attention_reaches_every_hidden_unit():
+    net = attention_lm.AttentionLM(np.arange(attention_lm.HEAD + 1) // attention_lm.MEMBERS)
+    assert net.p["v"].shape == net.p["one"].shape
+    codes, ends = np.arange(30, dtype=np.int32), np.array([0, 30])
+    before = net.log10_shares(codes, ends)
+    net.p["v"][:, -1] += 1
+    assert abs(net.log10_shares(codes, ends) - before).max() > 1e-6
