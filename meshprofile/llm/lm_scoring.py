@@ -120,8 +120,6 @@ def gathered(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.Record
 
 
 CHUNK_SCHEMA = "chunk long, doc_ids array<long>, train array<boolean>, words array<string>, counts array<long>, codes binary, ends array<long>, subwords binary, sizes binary, id_at array<int>, id_n array<long>"
-#: A chunk's word number and its corpus count travel as one long: number below 2 ** PLACE.
-PLACE = 21
 
 
 def _chunks(path: str, size: int):
@@ -223,9 +221,9 @@ def _scores(fitted: Fitted, total: int, kinds: int, ends_seen: int):
                 row = batch.slice(i, 1)
                 get = lambda c: row.column(c).flatten().to_numpy(zero_copy_only=False)  # noqa: B023, E731
                 ends, index, ids, offsets = opened(row, fitted.size)
-                known = get("known")
+                known = row.column("known").flatten()
                 count = np.zeros(len(offsets) - 1, np.int64)
-                count[known & ((1 << PLACE) - 1)] = known >> PLACE
+                count[known.field("at").to_numpy()] = known.field("n").to_numpy()
                 n = np.diff(ends)
                 upto = lambda x: np.r_[0, np.cumsum(x)][ends]  # noqa: B023, E731
                 base = np.diff(upto(np.log10((count + 0.5) / floor)[index])) + np.log10((ends_seen + 0.5) / floor)
@@ -248,6 +246,20 @@ def training_texts(docs: DataFrame, sample: int = SAMPLE, longest: int = LONGEST
     return [t for _, t in sorted((r[0], r[1]) for r in rows)][: 2 * sample]
 
 
+COUNTS = "array<struct<at:int,n:long>>"
+
+
+def corpus_counts(chunks: DataFrame) -> DataFrame:
+    """(chunk, known, new): the corpus count of each of a chunk's distinct words by its number there, and how
+    many trained words are listed in no earlier chunk."""
+    # one shuffle by word gives each chunk's entries their corpus counts; a word has at most one row a chunk
+    listed = chunks.select("chunk", F.posexplode("words").alias("at", "word"), "counts").select("chunk", "at", "word", F.col("counts")[F.col("at")].alias("n"))
+    summed = listed.select("chunk", "at", F.expr("sum(n) over (partition by word) as n"), F.expr("row_number() over (partition by word order by chunk) = 1 as first"))
+    # and one by chunk brings them back: at most one entry for each of its distinct words
+    fresh = F.sum(F.when(F.col("first") & (F.col("n") > 0), 1).otherwise(0))
+    return summed.groupBy("chunk").agg(F.collect_list(F.struct("at", "n")).alias("known"), fresh.alias("new"))
+
+
 def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of docs (doc_id, text, train)."""
     bounded_batches()
@@ -264,19 +276,12 @@ def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> D
     fitted.start(training_texts(docs), per_pair, steps)
     learn(fitted, chunks)
     give_back()
-    # one shuffle by word gives each chunk's entries their corpus counts; a word has at most one row a chunk
-    listed = chunks.select("chunk", F.posexplode("words").alias("at", "word"), "counts").select("chunk", "at", "word", F.col("counts")[F.col("at")].alias("n"))
-    entry = F.expr(f"shiftleft(sum(n) over (partition by word), {PLACE}) + at")
-    summed = listed.select("chunk", entry.alias("entry"), F.expr("row_number() over (partition by word order by chunk) = 1 as first"))
-    # and one by chunk brings them back: at most one entry for each of its distinct words
-    fresh = F.sum(F.when(F.col("first") & (F.shiftright("entry", PLACE) > 0), 1).otherwise(0))
-    back = summed.groupBy("chunk").agg(F.collect_list("entry").alias("known"), fresh.alias("new"))
-    back = materialise(back, "lm-counts")
+    back = materialise(corpus_counts(chunks), "lm-counts")
     kinds = back.agg(F.coalesce(F.sum("new"), F.lit(0))).first()[0]
     total = chunks.select(F.expr("aggregate(counts, 0L, (a, x) -> a + x)").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     docs_seen = chunks.agg(F.coalesce(F.sum(F.size(F.filter("train", lambda x: x))), F.lit(0))).first()[0]
     both = chunks.select("chunk", "doc_ids", "train", "codes", "ends", "subwords", "sizes").join(back.select("chunk", "known"), "chunk", "left")
-    ready = both.select("doc_ids", "train", "codes", "ends", "subwords", "sizes", F.coalesce("known", F.array().cast("array<long>")).alias("known"))
+    ready = both.select("doc_ids", "train", "codes", "ends", "subwords", "sizes", F.coalesce("known", F.array().cast(COUNTS)).alias("known"))
     scored = ready.mapInArrow(_scores(fitted, total + docs_seen, kinds + (docs_seen > 0), docs_seen), SCORE_SCHEMA)
     return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(total + docs_seen)).cast("long").alias("train_tokens"), "base_score", "score")
 

@@ -9,6 +9,7 @@ import pytest
 from conftest import same
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from meshprofile.llm import attention_lm, bpe, common, embedding_dedup, lm_scoring, mixing, packing, quality_rules, registry, simhash_dedup, toxicity
 
@@ -241,3 +242,11 @@ def test_lm_attention_reaches_every_hidden_unit():
     before = net.log10_shares(codes, ends)
     net.p["v"][:, -1] += 1
     assert abs(net.log10_shares(codes, ends) - before).max() > 1e-6
+
+
+def test_lm_counts_of_a_chunk_with_very_many_words(spark):
+    """Word numbers above 2 ** 21 keep their counts apart."""
+    n = 2**21 + 3
+    chunks = spark.range(1).selectExpr("0L as chunk", f"transform(sequence(1, {n}), i -> hex(i)) as words", f"transform(sequence(1, {n}), i -> if(i = {n}, 0L, 1L)) as counts")
+    got = lm_scoring.corpus_counts(chunks).select("new", F.inline("known")).groupBy("new").agg(F.count("at"), F.countDistinct("at"), F.max("at"), F.sum("n"), F.max("n"), F.max_by("n", "at")).first()
+    assert tuple(got) == (n - 1, n, n, n - 1, n - 1, 1, 0)
