@@ -2,16 +2,19 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from meshprofile.functions.vectors import l2sq
+from meshprofile.session import shared_folder
 
-EXACT_ROWS = 20_000
+BLOCK = 1024
 
 
 def consensus_error(trace: DataFrame, exact: DataFrame, parties: int, by: tuple[str, ...] = ("kind",)) -> DataFrame:
@@ -40,28 +43,13 @@ def sizes(assigned: DataFrame) -> DataFrame:
 
 
 def silhouette(assigned: DataFrame, how: str = "squared", sample: int = 2_000) -> float:
-    """Mean silhouette of rows (id, k, y). exact compares all pairs in Euclidean distance, in blocks of
-    one broadcast side, and refuses over EXACT_ROWS rows; sample does so on the rows first by hash;
+    """Mean silhouette of rows (id, k, y). exact compares all pairs in Euclidean distance, block by
+    block (quadratic in rows, which stay on the executors); sample does so on the rows first by hash;
     squared is linear in rows: squared distances need only each cluster's count, sums and squares."""
     if how == "sample":
         assigned = assigned.orderBy(F.sha2(F.col("id").cast("string"), 256)).limit(sample)
     if how in ("exact", "sample"):
-        n = assigned.count()
-        if n > EXACT_ROWS:
-            raise ValueError(f"{n} rows are too many for all pairs: use how='squared' or 'sample'")
-        rows = assigned.select("k", "y").collect()
-        k, y = np.array([r[0] for r in rows]), np.array([r[1] for r in rows])
-        if len(np.unique(k)) < 2:
-            return 0.0
-
-        def block(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                if b.num_rows:
-                    own, x = b.column("k").to_numpy(), b.column("y").flatten().to_numpy().reshape(b.num_rows, -1)
-                    d = np.sqrt(np.maximum((x * x).sum(1)[:, None] - 2 * x @ y.T + (y * y).sum(1), 0))
-                    yield pa.record_batch([pa.array(_widths(d, own, k, np.unique(k)))], names=["s"])
-
-        return assigned.select("k", "y").mapInArrow(block, "s double").agg(F.avg("s")).first()[0]
+        return _all_pairs(assigned)
     stats = assigned.select("k", "y", F.expr("aggregate(y, 0D, (a, v) -> a + v * v)").alias("q"))
     d = stats.select(F.size("y")).first()[0]
     per = stats.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.sum("q").alias("q"), F.array(*[F.sum(F.col("y")[i]) for i in range(d)]).alias("s")).collect()  # K rows
@@ -90,9 +78,50 @@ def _from_totals(total: np.ndarray, n: np.ndarray, own: np.ndarray) -> np.ndarra
     return np.where(n[own] > 1, (b - inner) / np.maximum(np.maximum(inner, b), 1e-300), 0.0)
 
 
-def _widths(d: np.ndarray, own: np.ndarray, k: np.ndarray, names: np.ndarray) -> np.ndarray:
-    member = (k[:, None] == names).astype(float)
-    return _from_totals(d @ member, member.sum(0), np.searchsorted(names, own))
+def _all_pairs(assigned: DataFrame) -> float:
+    """Exact mean silhouette: rows are written in blocks, and each pair of blocks gives the distances of one's
+    rows summed by cluster of the other's."""
+    per = {r["k"]: r["n"] for r in assigned.groupBy("k").agg(F.count(F.lit(1)).alias("n")).orderBy("k").collect()}  # K rows
+    if len(per) < 2:
+        return 0.0
+    name, n = {k: i for i, k in enumerate(per)}, np.array(list(per.values()), float)
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        task, at = TaskContext.get().partitionId(), 0
+        for whole in batches:
+            for i in range(0, whole.num_rows, BLOCK):
+                b = whole.slice(i, BLOCK)
+                own = np.array([name[v] for v in b.column("k").to_pylist()], np.int64)
+                y = b.column("y").flatten().to_numpy()
+                yield pa.record_batch([pa.array([(task << 32) + at]), pa.array([own.tobytes()]), pa.array([y.tobytes()])], names=["b", "own", "y"])
+                at += 1
+
+    def opened(own: bytes, y: bytes) -> tuple[np.ndarray, np.ndarray]:
+        k = np.frombuffer(own, np.int64)
+        return k, np.frombuffer(y).reshape(len(k), -1)
+
+    def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for r in batch.to_pylist():
+                own, x = opened(r["own"], r["y"])
+                other, z = opened(r["own2"], r["y2"])
+                d = np.sqrt(np.maximum((x * x).sum(1)[:, None] - 2 * x @ z.T + (z * z).sum(1), 0))
+                if r["b"] == r["b2"]:
+                    np.fill_diagonal(d, 0)
+                total = d @ (other[:, None] == np.arange(len(n))).astype(float)
+                size = total.size
+                yield pa.record_batch([pa.array(np.full(size, r["b"])), pa.array(np.repeat(np.arange(len(own)), len(n))), pa.array(np.repeat(own, len(n))), pa.array(np.tile(np.arange(len(n)), len(own))), pa.array(total.ravel())], names=["b", "i", "own", "c", "t"])
+
+    path = f"{shared_folder(assigned.sparkSession)}/silhouette-{uuid.uuid4().hex}"
+    assigned.select("k", "y").mapInArrow(pack, "b long, own binary, y binary").write.parquet(path)
+    left = assigned.sparkSession.read.parquet(path)
+    right = left.select(*[F.col(c).alias(f"{c}2") for c in left.columns])
+    per_row = left.crossJoin(right).mapInArrow(pairs, "b long, i long, own long, c long, t double").groupBy("b", "i", "own", "c").agg(F.sum("t").alias("t"))
+    sizes = F.element_at(F.array(*map(F.lit, n.tolist())), (F.col("c") + 1).cast("int"))
+    mine = F.col("own") == F.col("c")
+    ab = per_row.groupBy("b", "i").agg(F.max(F.when(mine, F.col("t") / F.greatest(sizes - 1, F.lit(1.0)))).alias("a"), F.min(F.when(~mine, F.col("t") / sizes)).alias("o"), F.max(F.when(mine, sizes)).alias("n"))
+    width = F.when(F.col("n") > 1, (F.col("o") - F.col("a")) / F.greatest("o", "a", F.lit(1e-300))).otherwise(0.0)
+    return ab.agg(F.avg(width)).first()[0]
 
 
 def centroid_gap(a: np.ndarray, b: np.ndarray) -> float:

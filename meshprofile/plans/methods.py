@@ -28,8 +28,8 @@ def peak(spark: SparkSession, d: str, slots: int = SLOTS) -> DataFrame:
     return tables.parties_of_users(built).select("party", F.col("id").cast("long").alias("id"), "y")
 
 
-def planted(spark: SparkSession, d: str, slots: int = SLOTS) -> DataFrame:
-    return tables.planted(spark, d, slots).select("party", "id", "y")
+def planted(spark: SparkSession, d: str, slots: int = SLOTS, consumers: int | None = 1000) -> DataFrame:
+    return tables.planted(spark, d, slots, consumers).select("party", "id", "y")
 
 
 def setting(kind: str = "masked_boosted", **how) -> consensus.Setting:
@@ -442,7 +442,7 @@ def spread_rows(df: DataFrame, k: int, pool: int = 300, tries: int = 20) -> np.n
 
 def q_sse_by_k(spark: SparkSession, d: str) -> DataFrame:
     """Squared error for K = 1..9 on the union (masked) and on party 0 alone, with the chosen K."""
-    df = planted(spark, d, 48).cache()
+    df = planted(spark, d, 48, None).cache()
     rows = []
     for scope, part, s in (("union", df, setting()), ("party 0", df.where("party = 0"), None)):
         ks = list(range(1, 10))
@@ -508,7 +508,7 @@ union all select 'gmm', round(sum(s), 3) from (select ln(sum(exp(l))) as s from
 def q_times(spark: SparkSession, d: str) -> DataFrame:
     """Seconds and iterations of three families, centralised and masked over ten parties (the latter: the
     slowest party, without communication)."""
-    df = planted(spark, d, 48).cache()
+    df = planted(spark, d, 48, None).cache()
     mu, rows = spread_rows(df, 6), []
     for name, fit, how in (("kmeans", cluster.fit_kmeans, {}), ("fuzzy", cluster.fit_fuzzy, {}), ("gmm", cluster.fit_gmm, {"variance": 0.1, "reg": 1e-3})):
         for where, s in (("central", None), ("masked", setting())):

@@ -5,6 +5,7 @@ from meshprofile.operators import cluster as K
 from meshprofile.operators import consensus as C
 from meshprofile.operators import cost, metrics
 from meshprofile.operators.families import FuzzyCMeans, GaussianMixture, KMeans, Model
+from meshprofile.sources import tables
 from meshprofile.plans import methods as Q
 from meshprofile.sources import graphs as G
 
@@ -102,3 +103,13 @@ def test_select_rules():
     assert K.knee(ks, v) == 3 and K.knee(ks, v, "second_diff") == 2 and K.knee(ks, v, "rel_drop", 0.2) == 3
     with pytest.raises(ValueError):
         K.knee(ks, v, "other")
+
+
+def test_exact_silhouette_of_more_rows_than_a_driver_takes(spark):
+    """No refusal: 20,480 rows in two far clusters."""
+    df = spark.range(20_480).selectExpr("id", "int(id % 2) as k", "array(double(id % 2) * 1000, double(id % 7)) as y")
+    assert 0.99 < metrics.silhouette(df, "exact") < 1
+
+
+def test_planted_profiles_of_all_customers(spark, sf):
+    assert tables.planted(spark, sf, 12, None).count() == spark.read.parquet(f"{sf}/customer.parquet").count() > tables.planted(spark, sf, 12).count()
