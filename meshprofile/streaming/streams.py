@@ -7,6 +7,7 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Callable
+from datetime import timedelta
 
 import numpy as np
 import pandas as pd
@@ -63,15 +64,25 @@ def dedup(spark: SparkSession, d: str) -> DataFrame:
     return finish(twice.dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"), "append")
 
 
+def thirds(e: DataFrame) -> list[DataFrame]:
+    """Rows of e in three parts by even ranges of ts, the first and last open; rows without a ts are in the first."""
+    low, high = e.agg(F.min("ts"), F.max("ts")).first()
+    if low is None:
+        return [e]
+    a, b = (F.lit(low + (high - low) * i / 3).cast("timestamp_ntz") for i in (1, 2))
+    ts = F.col("ts")
+    return [e.where(ts.isNull() | (ts < a)), e.where((ts >= a) & (ts < b)), e.where(ts >= b)]
+
+
 def late(spark: SparkSession, d: str) -> DataFrame:
     """Files in time order, then one of rows long past the watermark, then a row that closes all windows:
     append mode emits each window once and the late rows are dropped."""
     base = f"{shared_folder(spark)}/late-{uuid.uuid4().hex}"
     e = table(spark, d, "events")
-    old = e.where("ts < timestamp_ntz '2024-01-02'").withColumn("event_id", F.col("event_id") + 1_000_000_000)
-    last = e.limit(1).withColumn("ts", F.lit("2030-01-01").cast("timestamp_ntz"))
-    days = [e.where(f"ts >= timestamp_ntz '2024-01-{a:02d}' and ts < timestamp_ntz '2024-{b}'") for a, b in ((1, "01-11"), (11, "01-21"), (21, "03-01"))]
-    for i, part in enumerate([*days, old, last]):
+    low, high = e.agg(F.min("ts"), F.max("ts")).first()
+    old = e.where(F.col("ts") < F.lit(low + (high - low) / 30 if low else None).cast("timestamp_ntz")).withColumn("event_id", F.col("event_id") + 1_000_000_000)
+    last = e.limit(1).withColumn("ts", F.lit(high + timedelta(365) if low else None).cast("timestamp_ntz"))
+    for i, part in enumerate([*thirds(e), old, last]):
         part.coalesce(1).write.parquet(f"{base}/{i}")
     files = spark.readStream.schema(SCHEMA).option("recursiveFileLookup", True).option("maxFilesPerTrigger", 1).parquet(base)
     got = windowed(files.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour"), F.window("ts", "30 minutes"))

@@ -37,3 +37,11 @@ def test_schema_check(spark):
 
     with pytest.raises(ValueError):
         require_schema(spark.createDataFrame([(1, 2.0)], "party int, x double"), STATE)
+
+
+def test_late_stream_takes_rows_of_any_date(spark):
+    from meshprofile.streaming.streams import thirds
+
+    e = spark.sql("select * from values (1, timestamp_ntz '2019-05-01'), (2, timestamp_ntz '2024-01-15'), (3, timestamp_ntz '2031-01-01'), (4, null) as v(event_id, ts)")
+    assert sorted(r.event_id for part in thirds(e) for r in part.collect()) == [1, 2, 3, 4]
+    assert thirds(e)[1].count() + thirds(e)[2].count() == 2
