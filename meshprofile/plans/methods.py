@@ -508,15 +508,16 @@ union all select 'gmm', round(sum(s), 3) from (select ln(sum(exp(l))) as s from
 def q_times(spark: SparkSession, d: str) -> DataFrame:
     """Seconds and iterations of three families, centralised and masked over ten parties (the latter: the
     slowest party, without communication)."""
-    df = planted(spark, d, 48, None).cache()
-    mu, rows = spread_rows(df, 6), []
-    for name, fit, how in (("kmeans", cluster.fit_kmeans, {}), ("fuzzy", cluster.fit_fuzzy, {}), ("gmm", cluster.fit_gmm, {"variance": 0.1, "reg": 1e-3})):
-        for where, s in (("central", None), ("masked", setting())):
-            _, report = fit(df, mu, s, iterations=8, **how)
-            local = report.party_seconds.values()
-            rows.append((name, where, report.iterations, float(sum(local) if s is None else max(local)), report.consensus_seconds / (s.parties if s else 1)))
-    df.unpersist()
-    return spark.createDataFrame(rows, "family string, kind string, iterations int, local_seconds double, consensus_seconds double")
+    rows = []
+    for carrier, df in (("planted", planted(spark, d, 48, None).cache()), ("events", peak(spark, d, 48).cache())):
+        mu = spread_rows(df, 6)
+        for name, fit, how in (("kmeans", cluster.fit_kmeans, {}), ("fuzzy", cluster.fit_fuzzy, {}), ("gmm", cluster.fit_gmm, {"variance": 0.1, "reg": 1e-3})):
+            for where, s in (("central", None), ("masked", setting())):
+                _, report = fit(df, mu, s, iterations=8, **how)
+                local = report.party_seconds.values()
+                rows.append((carrier, name, where, report.iterations, float(sum(local) if s is None else max(local)), report.consensus_seconds / (s.parties if s else 1)))
+        df.unpersist()
+    return spark.createDataFrame(rows, "carrier string, family string, kind string, iterations int, local_seconds double, consensus_seconds double")
 
 
 def q_payload_cost(spark: SparkSession, d: str) -> DataFrame:

@@ -45,3 +45,10 @@ def test_late_stream_takes_rows_of_any_date(spark):
     e = spark.sql("select * from values (1, timestamp_ntz '2019-05-01'), (2, timestamp_ntz '2024-01-15'), (3, timestamp_ntz '2031-01-01'), (4, null) as v(event_id, ts)")
     assert sorted(r.event_id for part in thirds(e) for r in part.collect()) == [1, 2, 3, 4]
     assert thirds(e)[1].count() + thirds(e)[2].count() == 2
+
+
+def test_family_times_on_both_carriers(spark, sf):
+    from meshprofile.plans.methods import q_times
+
+    got = {(r.carrier, r.family, r.kind) for r in q_times(spark, sf).collect()}
+    assert len(got) == 12 and {c for c, _, _ in got} == {"planted", "events"}
