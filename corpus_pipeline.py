@@ -3,18 +3,21 @@
 Every stage takes (spark, docs, sf_dir) and works on all that the one before kept. The first four return
 the columns of documents; the last returns each row's token count and digests of ids and decoded text.
 Labels are read from sf_dir. Between stages, documents are written to the session's shared folder, so a
-lost executor never costs more than one stage.
+lost executor never costs more than one stage; what a stage has read is deleted once its result stands.
+
+Nulls and odd input are those of the operators: a null text is empty, a null doc_id takes part in every
+stage, equal rows are near-duplicates of each other, an empty table gives an empty result, further columns
+pass up to the last stage.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from meshprofile.llm.bpe import token_digests
-from meshprofile.llm.common import materialise, table
+from meshprofile.llm.common import clear_shared, materialise, shared_tables, table
 from meshprofile.llm.mixing import mixed_documents
-from meshprofile.llm.quality_rules import apply_quality_rules
+from meshprofile.llm.quality_rules import quality_survivors
 from meshprofile.llm.simhash_dedup import simhash_survivors
 from meshprofile.llm.toxicity import drop_toxic
 
@@ -26,7 +29,7 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that neither the base rules nor a risk-controlled cutoff rejects stay."""
-    return apply_quality_rules(docs, table(spark, sf_dir, "labels")).where(F.col("kept")).select(*docs.columns)
+    return quality_survivors(docs, table(spark, sf_dir, "labels"))
 
 
 def simhash(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,7 +53,8 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs, before = table(spark, sf_dir, "documents"), shared_tables()
     for name, stage in STAGES[:-1]:
         docs = materialise(stage(spark, docs, sf_dir), f"stage-{name.replace(' ', '-')}")
+        clear_shared(spark, since=before, keep=1)
     return STAGES[-1][1](spark, docs, sf_dir)

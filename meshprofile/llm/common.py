@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import re
 import sys
 import tempfile
 import uuid
@@ -25,10 +26,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share; a local one only where none is set (tests)."""
+    """The folder that all executors share; where none is set, a local one in a session of one process, else an error."""
     sc = spark.sparkContext
     got = spark.conf.get("spark.checkpoint.dir", None) or sc._jsc.sc().getCheckpointDir().getOrElse(None)
     if not got:
+        if not re.fullmatch(r"local(\[[^]]*\])?", sc.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         got = tempfile.mkdtemp(prefix="shared-")
         sc.setCheckpointDir(got)
         got = sc._jsc.sc().getCheckpointDir().get()
@@ -38,14 +41,20 @@ def shared_dir(spark: SparkSession) -> str:
 _written: list[str] = []
 
 
-def clear_shared(spark: SparkSession) -> int:
-    """Delete the tables that this driver has written to the shared folder; call it once results that read
-    them are stored. Gives their number."""
-    n = len(_written)
-    while _written:
-        path = spark._jvm.org.apache.hadoop.fs.Path(_written.pop())
+def shared_tables() -> int:
+    """How many tables this driver has written to the shared folder and not deleted."""
+    return len(_written)
+
+
+def clear_shared(spark: SparkSession, since: int = 0, keep: int = 0) -> int:
+    """Delete the tables that this driver has written to the shared folder, from the `since`-th on but for the last
+    `keep`; call it once results that read them are stored. Gives their number."""
+    old = _written[since : len(_written) - keep]
+    del _written[since : len(_written) - keep]
+    for name in old:
+        path = spark._jvm.org.apache.hadoop.fs.Path(name)
         path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
-    return n
+    return len(old)
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:

@@ -9,10 +9,14 @@ strata and rules keeps all chosen cutoffs valid at once with probability 1 - del
 passing cutoff rejects nothing.
 A stratum's risk is shared evenly by its rules, so the union of all rules stays below it.
 
-Nulls and odd input: a null text counts as empty (no words, base_failed true); an unknown or null
-language falls in the stratum "other"; a null or repeated doc_id is kept as it is (labels join on
+The strata are the languages of the labelled good documents, as the data have them. A cutoff needs some
+1500 of those to pass, so the cutoffs that reach the driver are few however many languages there are.
+
+Nulls and odd input: a null text counts as empty (no words, base_failed true); a null language is the
+stratum of the empty name; a null or repeated doc_id is kept as it is (labels join on
 doc_id, a label repeated for one doc_id counts once, by its lowest quality); an empty table gives an
-empty result; columns that clash with the measures are replaced.
+empty result; columns that clash with the measures are replaced in `apply_quality_rules` and come back
+untouched from `quality_survivors`.
 """
 
 from __future__ import annotations
@@ -23,7 +27,6 @@ from pyspark.sql import functions as F
 from meshprofile.llm.common import materialise, table, words_of
 
 SYMBOLS = "#*$%&|<>"
-STRATA = ("de", "en", "es", "fr")
 RISK, DELTA = 0.02, 0.05
 #: Rule -> its figure (from the measures below) and cutoffs from strict to lax.
 RULES = {
@@ -70,7 +73,7 @@ def with_measures(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def stratum(lang: str = "lang") -> Column:
-    return F.when(F.col(lang).isin(*STRATA), F.col(lang)).otherwise("other")
+    return F.coalesce(F.col(lang), F.lit(""))
 
 
 def figure(rule: str) -> Column:
@@ -99,14 +102,11 @@ def cutoff_tests(measured: DataFrame, labels: DataFrame, risk: float = RISK) ->
     return long.withColumn("p", p_value("k", "n", risk / len(RULES)))
 
 
-def n_tests() -> int:
-    """Families of tests that Bonferroni's correction counts: one sequence for each stratum and rule."""
-    return (len(STRATA) + 1) * len(RULES)
-
-
 def choose_cutoffs(measured: DataFrame, labels: DataFrame, risk: float = RISK, delta: float = DELTA) -> dict[tuple[str, str], float]:
-    """(stratum, rule) -> cutoff; at most strata x rules entries reach the driver."""
-    best = cutoff_tests(measured, labels, risk).where(F.col("p") <= delta / n_tests()).groupBy("stratum", "rule").agg(F.min("cutoff").alias("cutoff"))
+    """(stratum, rule) -> cutoff. Bonferroni's correction counts one sequence of tests for each stratum and rule."""
+    tests = materialise(cutoff_tests(measured, labels, risk), "quality-tests")
+    families = max(1, tests.agg(F.count_distinct("stratum")).first()[0]) * len(RULES)
+    best = tests.where(F.col("p") <= F.lit(delta) / families).groupBy("stratum", "rule").agg(F.min("cutoff").alias("cutoff"))
     return {(r["stratum"], r["rule"]): r["cutoff"] for r in best.collect()}
 
 
@@ -118,12 +118,17 @@ def with_verdict(measured: DataFrame, cutoffs: dict[tuple[str, str], float]) ->
 
 
 def apply_quality_rules(docs: DataFrame, labels: DataFrame, risk: float = RISK, delta: float = DELTA) -> DataFrame:
-    """docs with MEASURES, base_failed and kept. The texts of labelled documents are measured first
-    to choose the cutoffs, then every text with the verdict in one pass."""
-    ids = labels.where("quality = 1").select(F.col("doc_id").alias("_id"))
-    known = docs.select("doc_id", "text", "lang").join(ids, F.col("doc_id") == F.col("_id"), "left_semi")
-    known = materialise(with_measures(known).drop("text"), "quality-known")
-    return with_verdict(with_measures(docs), choose_cutoffs(known, labels, risk, delta))
+    """docs with MEASURES, base_failed and kept. Texts and measures are written side by side in one pass without
+    a shuffle; the cutoffs come from the measure columns of that table alone."""
+    measured = materialise(with_measures(docs), "quality-measured")
+    return with_verdict(measured, choose_cutoffs(measured, labels, risk, delta))
+
+
+def quality_survivors(docs: DataFrame, labels: DataFrame, risk: float = RISK, delta: float = DELTA) -> DataFrame:
+    """Rows of docs, all columns as they came, that neither the base rules nor a cutoff rejects."""
+    held = docs.select(F.struct(*docs.columns).alias("_row"), "doc_id", "text", "lang")
+    measured = materialise(with_measures(held).drop("text"), "quality-measured")
+    return with_verdict(measured, choose_cutoffs(measured, labels, risk, delta)).where("kept").select("_row.*")
 
 
 def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -147,12 +152,12 @@ rep as (select rid, i from (select rid, i, count(*) over (partition by rid, win)
 pos as (select rid, count(distinct i + o) as n_repeat from rep, range(0, 8) as r(o) group by rid),
 m as (select w.rid, doc_id, lang, len(ws) as n_words, length(array_to_string(ws, '')) as word_chars, {symbols} as n_symbols, len(ls) - len(list_distinct(ls)) as n_dup_lines,
   coalesce(n_repeat, 0) as n_repeat_words, (length(t) - length(replace(t, '!!', ''))) // 2 as n_shouts, len(ls) as n_lines from w left join pos on pos.rid = w.rid),
-f as (select *, n_words < 20 or 100 * n_repeat_words > 30 * n_words as base_failed, case when lang in {STRATA!r} then lang else 'other' end as stratum, {figures} from m),
+f as (select *, n_words < 20 or 100 * n_repeat_words > 30 * n_words as base_failed, coalesce(lang, '') as stratum, {figures} from m),
 good as (select f.* from f where not base_failed and doc_id in (select doc_id from labels where doc_id is not null group by doc_id having min(quality) = 1)),
 grid(rule, cutoff) as (values {grid}),
 tests as (select stratum, rule, cutoff, count(*) as n, sum(case when {pick.replace("f.", "good.")} > cutoff then 1 else 0 end) as k from good, grid g group by all),
 p as (select *, case when k >= n * {risk!r} then 1 else (select sum(exp(lgamma(n + 1) - lgamma(i + 1) - lgamma(n - i + 1) + i * ln({risk!r}) + (n - i) * ln(1 - {risk!r}))) from range(0, k::bigint + 1) as r(i)) end as p from tests),
-best as (select stratum, rule, min(cutoff) as cutoff from p where p <= {DELTA / n_tests()!r} group by all),
+best as (select stratum, rule, min(cutoff) as cutoff from p where p <= {DELTA!r}::double / ({len(RULES)} * (select count(distinct stratum) from p)) group by all),
 bad as (select distinct f.rid from f join best g on g.stratum = f.stratum where {pick} > g.cutoff)
 select doc_id, n_words::bigint as n_words, word_chars::bigint as word_chars, n_symbols::bigint as n_symbols, n_dup_lines::bigint as n_dup_lines, n_repeat_words::bigint as n_repeat_words,
   base_failed, not base_failed and rid not in (select rid from bad) as kept from f
