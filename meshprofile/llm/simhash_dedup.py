@@ -10,8 +10,8 @@ no task holds more than two tiles of a block; links leave a task as a spanning f
 
 Nulls and odd input: a null text is empty; texts without a word have fingerprint zero and link like
 any other; a null doc_id takes part, and a component of nulls only has component_id null; repeated
-rows stay repeated; an empty table gives an empty result; other columns pass unread (a column named
-_fp is replaced).
+rows stay repeated; an empty table gives an empty result; other columns pass unread (columns named
+_id, _h or _n are dropped from survivors).
 """
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType
 
@@ -176,23 +176,29 @@ def fingerprint_components(fps: DataFrame) -> DataFrame:
     return components(sorted_.mapInArrow(_forest, "a long, b long"), "simhash")
 
 
-def simhash_groups(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp, component_id) of every row of docs."""
+def simhash_groups(docs: DataFrame, *also: str) -> DataFrame:
+    """(doc_id, fp, component, component_id) of every row of docs, and the columns of docs named in also;
+    component, a fingerprint, names the group even where all its ids are null."""
     bounded_batches()
-    prints = materialise(docs.select("doc_id", fingerprint_udf("text").alias("fp")), "fingerprints")
+    prints = materialise(docs.select("doc_id", *also, fingerprint_udf("text").alias("fp")), "fingerprints")
     least = prints.groupBy("fp").agg(F.min("doc_id").alias("least"))
     label = fingerprint_components(least.select("fp")).select(F.col("node").alias("fp"), "component")
     named = materialise(least.join(label, "fp", "left").select("fp", "least", F.coalesce("component", "fp").alias("component")), "simhash-named")
     root = named.groupBy("component").agg(F.min("least").alias("component_id"))
-    return prints.join(named.join(root, "component").select("fp", "component_id"), "fp")
+    return prints.join(named.join(root, "component").select("fp", "component", "component_id"), "fp")
 
 
 def simhash_survivors(docs: DataFrame) -> DataFrame:
-    """Rows of docs, all columns: of each component the row with the smallest doc_id (one of them if it is repeated)."""
-    keep = simhash_groups(docs).where("doc_id <=> component_id").select(F.col("doc_id").alias("_id"), F.col("fp").alias("_fp")).distinct()
-    found = docs.drop("_fp", "_id", "_n").withColumn("_fp", fingerprint_udf("text")).alias("d").join(keep.alias("k"), F.expr("d.doc_id <=> k._id and d._fp = k._fp"))
-    one = found.select("d.*").withColumn("_n", F.expr("row_number() over (partition by doc_id, _fp order by doc_id)"))
-    return one.where("_n = 1").drop("_n", "_fp")
+    """Rows of docs, all columns: of each component one row, that with the smallest doc_id (a null one last, then by the
+    text's hash; of rows alike in both, the least by the hash of their other columns). Rows are chosen by id and text
+    hash without their texts; texts cross one exchange, which the join and the last choice share."""
+    row = [c for c, kind in docs.dtypes if c not in ("text", "doc_id", "_id", "_h", "_n") and "map<" not in kind]
+    keyed = docs.drop("_id", "_h", "_n").withColumns({"_id": F.coalesce("doc_id", F.lit(0)), "_h": F.xxhash64(F.isnull("doc_id"), "text")})
+    chosen = simhash_groups(keyed, "_id", "_h").groupBy("component").agg(F.min(F.struct(F.isnull("doc_id"), "doc_id", "_h", "_id")).alias("s"))
+    found = keyed.join(chosen.select("s._id", "s._h"), ["_id", "_h"])
+    order = F.xxhash64(*[F.col(c) for c in row]) if row else F.lit(0)
+    one = found.withColumn("_n", F.row_number().over(Window.partitionBy("_id", "_h").orderBy(order)))
+    return one.where("_n = 1").select(*[c for c in docs.columns if c not in ("_id", "_h", "_n")])
 
 
 def op10_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
