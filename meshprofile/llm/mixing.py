@@ -92,23 +92,23 @@ def mix(docs: DataFrame, weights=WEIGHTS, schedules=SCHEDULES, share: float = SH
     own = [weights[i % len(weights)] for i in range(len(totals))]
     targets = share_targets([s for _, s, _ in totals], own, share * sum(s for _, s, _ in totals), most)
     spark = docs.sparkSession
-    plan = [(k, int(s), float(t), max(1, -(-n // BUCKET)), i % len(schedules)) for i, ((k, s, n), t) in enumerate(zip(totals, targets))]
-    about = spark.createDataFrame(plan, "_mk string, source_size long, target double, _mb long, _mc int")
+    plan = [(k, i, int(s), float(t), max(1, -(-n // BUCKET)), i % len(schedules)) for i, ((k, s, n), t) in enumerate(zip(totals, targets))]
+    about = spark.createDataFrame(plan, "_mk string, _mn int, source_size long, target double, _mb long, _mc int")
     large = slim.join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk"))).where(F.col("size") * LARGE > F.col("source_size"))
-    first = choose_large([(r["source"], r["size"], r["_mh"]) for r in large.collect()], {k: t % s if s else 0.0 for k, s, t, *_ in plan})
-    about = spark.createDataFrame([(*p, first.get(p[0], [])) for p in plan], "_mk string, source_size long, target double, _mb long, _mc int, _mg array<long>")
+    first = choose_large([(r["source"], r["size"], r["_mh"]) for r in large.collect()], {k: t % s if s else 0.0 for k, _, s, t, *_ in plan})
+    about = spark.createDataFrame([(*p, first.get(p[0], [])) for p in plan], "_mk string, _mn int, source_size long, target double, _mb long, _mc int, _mg array<long>")
     spread = "cast(floor(_mh / 1152921504606846976D * _mb) as long)"
     range_of = F.expr(f"if(size * {LARGE} <= source_size, {spread}, if(array_contains(_mg, _mh), -1L, _mb))")
-    slim, sized = (x.join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk"))).withColumn("_mr", range_of) for x in (slim, sized))
-    ranges = slim.groupBy("_mk", "_mr").agg(F.sum("size").alias("_ms"))
-    ranges = ranges.withColumn("_mo", F.expr("coalesce(sum(_ms) over (partition by _mk order by _mr rows between unbounded preceding and 1 preceding), 0)"))
-    ranges = ranges.select(F.col("_mk").alias("_mk2"), F.col("_mr").alias("_mr2"), "_mo")
-    begun = sized.withColumn("_mi", F.expr("coalesce(sum(size) over (partition by _mk, _mr order by if(_mr = _mb, size, 0), _mh, doc_id, size rows between unbounded preceding and 1 preceding), 0)"))
-    placed = begun.join(ranges, F.expr("_mk <=> _mk2 and _mr = _mr2")).withColumn("_mi", F.col("_mi") + F.col("_mo"))
+    slim, sized = (x.join(F.broadcast(about), F.col("source").eqNullSafe(F.col("_mk"))).withColumn("_mr", range_of).drop("_mk", "_mg") for x in (slim, sized))
+    ranges = slim.groupBy("_mn", "_mr").agg(F.sum("size").alias("_ms"))
+    ranges = ranges.withColumn("_mo", F.expr("coalesce(sum(_ms) over (partition by _mn order by _mr rows between unbounded preceding and 1 preceding), 0)")).drop("_ms")
+    # join and window share their keys (a source's number, a range): texts cross one exchange for both
+    begun = sized.join(ranges, ["_mn", "_mr"])
+    placed = begun.withColumn("_mi", F.expr("_mo + coalesce(sum(size) over (partition by _mn, _mr order by if(_mr = _mb, size, 0), _mh, doc_id, size rows between unbounded preceding and 1 preceding), 0)"))
     placed = placed.withColumn("_ma", F.expr(f"filter(transform(sequence(0, {int(most + 0.999)}), p -> p * source_size + _mi), c -> c + size / 2 < target)"))
     spot = "case _mc " + " ".join(f"when {i} then {position('(c / target)', demand_pieces(k))}" for i, k in enumerate(schedules)) + " end"
     return placed.withColumns({"copies": F.size("_ma").cast("long"), "positions": F.expr(f"transform(_ma, c -> {spot})")}).withColumn("taken", F.col("copies") * F.col("size")).drop(
-        "_mh", "_mk", "_mk2", "_mb", "_mc", "_mr", "_mr2", "_mo", "_mi", "_ma", "_mg"
+        "_mh", "_mn", "_mb", "_mc", "_mr", "_mo", "_mi", "_ma"
     )
 
 
