@@ -6,8 +6,9 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: A classifier is fitted on at most so many labelled documents of each class, none longer than so many characters.
-SAMPLE, LONGEST = 2000, 20_000
+#: A classifier is fitted on at most so many labelled documents of each class. Of a text longer than LONGEST
+#: characters the sample holds so many equal stretches, evenly spread from its first character to its last.
+SAMPLE, LONGEST, STRETCHES = 2000, 40_000, 8
 
 
 def fold(of: int = 5, column: str = "doc_id") -> Column:
@@ -15,9 +16,10 @@ def fold(of: int = 5, column: str = "doc_id") -> Column:
     return F.crc32(F.col(column).cast("string").cast("binary")) % of
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, held_out: int = 0, sample: int = SAMPLE, longest: int = LONGEST) -> tuple[list[str], np.ndarray]:
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, held_out: int = 0, sample: int = SAMPLE, longest: int = LONGEST, stretches: int = STRETCHES) -> tuple[list[str], np.ndarray]:
     """Texts and 0/1 labels outside the held-out fold: per class the `sample` first ids by hash, so the
-    driver gets at most 2 * sample texts of at most `longest` characters, however large the tables are."""
+    driver gets at most 2 * sample texts of about `longest` characters, however large the tables are. Longer
+    texts take part by evenly spread stretches."""
     known = labels.where(F.col("doc_id").isNotNull() & F.col(label).isin(0, 1) & (fold() != held_out)).groupBy("doc_id").agg(F.max(label).alias("_y"))
     known = known.withColumn("_o", F.xxhash64("doc_id"))
     ids = known.where("_y = 1").orderBy("_o").limit(sample).union(known.where("_y = 0").orderBy("_o").limit(sample)).select("doc_id", "_y")
@@ -25,7 +27,9 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, held_out: in
     if not picked:
         return [], np.zeros(0, np.float32)
     small = docs.sparkSession.createDataFrame(sorted(picked.items()), "_id long, _y int")
-    rows = docs.select("doc_id", "text").where(F.length("text") <= longest).join(F.broadcast(small), F.col("doc_id") == F.col("_id")).select("_id", "_y", "text").collect()
+    one = longest // stretches
+    text = F.expr(f"if(length(text) <= {longest}, text, array_join(transform(sequence(0, {stretches - 1}), i -> substring(text, 1 + cast(floor(i * (length(text) - {one}) / {stretches - 1}) as int), {one})), ' '))")
+    rows = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(small), F.col("doc_id") == F.col("_id")).select("_id", "_y", text.alias("text")).collect()
     seen = {}
     for i, y, t in rows:
         seen[i] = min(seen.get(i, (t, y)), (t, y))  # a repeated id counts once
