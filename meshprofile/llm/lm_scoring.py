@@ -247,14 +247,21 @@ def training_texts(docs: DataFrame, sample: int = SAMPLE, longest: int = LONGEST
 
 
 COUNTS = "array<struct<at:int,n:long>>"
+#: Up to so many chunks, a word's entries (one a chunk) meet in one window; beyond, they are added up before they
+#: move and joined back, which adaptive execution splits.
+WINDOW_CHUNKS = 4096
 
 
-def corpus_counts(chunks: DataFrame) -> DataFrame:
+def corpus_counts(chunks: DataFrame, window_chunks: int = WINDOW_CHUNKS) -> DataFrame:
     """(chunk, known, new): the corpus count of each of a chunk's distinct words by its number there, and how
     many trained words are listed in no earlier chunk."""
-    # one shuffle by word gives each chunk's entries their corpus counts; a word has at most one row a chunk
     listed = chunks.select("chunk", F.posexplode("words").alias("at", "word"), "counts").select("chunk", "at", "word", F.col("counts")[F.col("at")].alias("n"))
-    summed = listed.select("chunk", "at", F.expr("sum(n) over (partition by word) as n"), F.expr("row_number() over (partition by word order by chunk) = 1 as first"))
+    if chunks.count() <= window_chunks:
+        # one shuffle by word gives each chunk's entries their corpus counts
+        summed = listed.select("chunk", "at", F.expr("sum(n) over (partition by word) as n"), F.expr("row_number() over (partition by word order by chunk) = 1 as first"))
+    else:
+        totals = listed.groupBy("word").agg(F.sum("n").alias("total"), F.min("chunk").alias("begun"))
+        summed = listed.join(totals, "word").select("chunk", "at", F.col("total").alias("n"), (F.col("chunk") == F.col("begun")).alias("first"))
     # and one by chunk brings them back: at most one entry for each of its distinct words
     fresh = F.sum(F.when(F.col("first") & (F.col("n") > 0), 1).otherwise(0))
     return summed.groupBy("chunk").agg(F.collect_list(F.struct("at", "n")).alias("known"), fresh.alias("new"))
