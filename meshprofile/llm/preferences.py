@@ -6,8 +6,9 @@ code points within a completion: the content and closing mark of assistant turns
 else does not. A pair with no differing turn has two empty completions.
 
 Nulls and odd input: a null role is "unknown", a null content is empty; turns sort by number, then
-role and text, so repeated rows are repeated turns; conversations without turns give an empty prompt;
-an empty table gives an empty result; other columns are not read.
+role and text, so repeated rows are repeated turns; a row without a conv_id is a conversation of one turn;
+conversations without turns give an empty prompt; an empty table gives an empty result; other columns are
+not read.
 """
 
 from __future__ import annotations
@@ -24,7 +25,8 @@ def conversations(rows: DataFrame) -> DataFrame:
     """(conv_id, turns): one array of (role, text) for each conversation, in turn order. A conversation
     is one output row, so its own turns meet in one task; no group of conversations does."""
     turn = F.struct("turn", F.coalesce("role", F.lit("unknown")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    grouped = rows.groupBy("conv_id").agg(F.sort_array(F.collect_list(turn)).alias("_t"))
+    grouped = rows.where("conv_id is not null").groupBy("conv_id").agg(F.sort_array(F.collect_list(turn)).alias("_t"))
+    grouped = grouped.unionByName(rows.where("conv_id is null").select("conv_id", F.array(turn).alias("_t")))
     return grouped.select("conv_id", F.transform("_t", lambda t: F.struct(t["role"].alias("role"), t["text"].alias("text"))).alias("turns"))
 
 
