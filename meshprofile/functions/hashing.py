@@ -25,3 +25,8 @@ def uniform_sql(key: str) -> str:
 def uniform_duck(key: str) -> str:
     """The same in DuckDB."""
     return f"(('0x' || substr(sha256({key}), 1, 8))::bigint / 4294967296.0)"
+
+
+def lane_duck(key: str, lane: str) -> str:
+    """One of the eight uniforms of a key's SHA-256, in DuckDB."""
+    return f"(('0x' || substr(sha256({key}), ({lane}) * 8 + 1, 8))::bigint / 4294967296.0)"

@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 from pyspark.sql.types import DoubleType
 
 
@@ -22,17 +26,32 @@ def norm_arrow():
 def norm_pandas():
     @F.pandas_udf(DoubleType())
     def norm(v: pd.Series) -> pd.Series:
-        return v.map(lambda x: float(np.sqrt((np.asarray(x, float) ** 2).sum())))
+        x = np.stack(v.to_numpy()).astype(float) if len(v) else np.zeros((0, 1))
+        return pd.Series(np.sqrt((x * x).sum(1)))
 
     return norm
 
 
-def vector_total():
-    @F.pandas_udf(DoubleType())
-    def total(v: pd.Series) -> float:
-        return float(sum(np.asarray(x, float).sum() for x in v))
+def vector_totals(df: DataFrame, key: str, vector: str) -> DataFrame:
+    """(key, total) with total the sum of a group's vectors: each task adds up what it sees of a group, so one
+    row a task and group is shuffled and no group is gathered. Null vectors add nothing; groups hold vectors of
+    one length. A vector aggregate that SQL functions lack."""
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict = {}
+        for batch in batches:
+            batch = batch.filter(batch.column("v").is_valid())
+            keys = batch.column("k").dictionary_encode()
+            for i, k in enumerate(keys.dictionary.to_pylist()):
+                own = batch.column("v").filter(pc.equal(keys.indices, i))
+                total = own.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(own), -1).sum(0)
+                sums[k] = sums[k] + total if k in sums else total
+        yield pa.record_batch([pa.array(list(sums), kind), pa.array([v.tolist() for v in sums.values()], pa.list_(pa.float64()))], names=["k", "v"])
 
-    return total
+    kind = to_arrow_type(df.schema[key].dataType)
+    parts = df.select(F.col(key).alias("k"), F.col(vector).alias("v")).where("k is not null").mapInArrow(partial, f"k {df.schema[key].dataType.simpleString()}, v array<double>")
+    cells = parts.select("k", F.posexplode("v").alias("i", "v")).groupBy("k", "i").agg(F.sum("v").alias("v"))
+    return cells.groupBy("k").agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "v"))), lambda c: c["v"]).alias("total")).withColumnRenamed("k", key)
 
 
 class ConsensusRounds:
@@ -72,7 +91,8 @@ def rounds_by_udtf(spark: SparkSession, sf_dir: str) -> DataFrame:
     from meshprofile.plans.methods import first_states
 
     register(spark)
-    return spark.sql("select * from consensus_rounds(table(select party, comp, x from {s}) partition by (comp), 5)", s=first_states(spark, sf_dir))
+    got = spark.sql("select * from consensus_rounds(table(select party, comp, x from {s}) partition by (comp), 5)", s=first_states(spark, sf_dir))
+    return got.select(*[F.col(c).cast("long").alias(c) for c in ("t", "party", "comp")], F.round("x", 6).alias("x"))
 
 
 def sql_functions(spark: SparkSession, sf_dir: str) -> DataFrame:

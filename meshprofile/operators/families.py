@@ -53,6 +53,13 @@ class KMeans:
     def width(self, d: int) -> int:
         return 1 + d
 
+    def floats(self, m: Model) -> int:
+        return m.k * self.width(m.d) + 1
+
+    def ranges(self, m: Model, rows: float, value: float) -> np.ndarray:
+        """Public bound of each number of a payload, from bounds on a party's rows and on a value's size."""
+        return np.r_[np.tile(np.r_[rows, np.full(m.d, rows * value)], m.k), 4 * rows * m.d * value**2]
+
     def share(self, y: np.ndarray, m: Model) -> np.ndarray:
         d2 = squared_distances(y, m.mu)
         return (d2.argmin(1)[:, None] == np.arange(m.k)).astype(float)
@@ -87,6 +94,12 @@ class FuzzyCMeans:
     def width(self, d: int) -> int:
         return 1 + d
 
+    def floats(self, m: Model) -> int:
+        return m.k * self.width(m.d) + 1
+
+    def ranges(self, m: Model, rows: float, value: float) -> np.ndarray:
+        return np.r_[np.tile(np.r_[rows, np.full(m.d, rows * value)], m.k), 4 * rows * m.d * value**2]
+
     def share(self, y: np.ndarray, m: Model) -> np.ndarray:
         d2 = squared_distances(y, m.mu)
         on = d2 <= 0
@@ -124,6 +137,13 @@ class GaussianMixture:
     def width(self, d: int) -> int:
         return 1 + d + {"full": d * (d + 1) // 2, "diag": d, "spherical": 1}[self.cov]
 
+    def floats(self, m: Model) -> int:
+        return m.k * self.width(m.d) + 1
+
+    def ranges(self, m: Model, rows: float, value: float) -> np.ndarray:
+        scatter = np.full(self.width(m.d) - 1 - m.d, 4 * rows * value**2)
+        return np.r_[np.tile(np.r_[rows, np.full(m.d, rows * value), scatter], m.k), rows * m.d * 10.0]
+
     def log_parts(self, y: np.ndarray, m: Model) -> np.ndarray:
         out, d = np.empty((len(y), m.k)), m.d
         for k in range(m.k):
@@ -209,4 +229,4 @@ class FitReport:
     consensus_seconds: float = 0.0
     payload_floats: int = 0
     messages: int = 0
-    seed: str = ""
+    converged: bool = False

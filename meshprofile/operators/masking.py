@@ -1,53 +1,78 @@
-"""Decaying zero-sum masks, as expressions recomputed from a key."""
+"""Decaying zero-sum masks, as expressions recomputed from a key.
+
+A draw's key is the party's own secret, the exchange's nonce, the party, the component's group and the
+round. Nobody without a party's secret can recompute its masks, and no two exchanges share a draw as long
+as nonces differ. One SHA-256 serves the LANES components of a group, eight hex digits each."""
 
 from __future__ import annotations
 
+import hashlib
+import secrets as entropy
+
 import numpy as np
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from meshprofile.functions.hashing import uniform, uniform_py, uniform_sql
+SIGMA, BETA, LANES = 2.0, 0.2, 8
+
+
+def fresh_secrets(parties: int) -> tuple[str, ...]:
+    """One secret for each party, from the system's entropy."""
+    return tuple(entropy.token_hex(16) for _ in range(parties))
+
+
+def fixed_secrets(parties: int, seed: str = "s") -> tuple[str, ...]:
+    """Secrets that can be told to another engine. For simulations and tests only."""
+    return tuple(f"{seed}{i}" for i in range(parties))
+
 
-SIGMA, BETA = 2.0, 0.2
+def secrets_table(spark: SparkSession, secrets: tuple[str, ...]) -> DataFrame:
+    """(party, secret); in a deployment every party holds its own row alone."""
+    return spark.createDataFrame(list(enumerate(secrets)), "party int, secret string")
 
 
-def key_py(secret: str, outer: int, party: int, comp: int, t: int) -> str:
-    return f"{secret}:{outer}:{party}:{comp}:{t}"
+def secret_of(secrets: tuple[str, ...], party: str = "party") -> Column:
+    """The secret of the party in a column, for few parties."""
+    return F.element_at(F.array(*map(F.lit, secrets)), (F.col(party) + 1).cast("int"))
 
 
-def delta(secret: Column, outer: Column, party: Column, comp: Column, t: Column, sigma: float = SIGMA, beta: float = BETA) -> Column:
+def delta(secret: Column, nonce: Column, party: Column, comp: Column, t: Column, sigma: float = SIGMA, beta: float = BETA) -> Column:
     """The draw of round t: uniform, its width shrinking by beta a round; zero before the first round."""
-    u = uniform(F.concat_ws(":", secret, outer, party, comp, t))
+    digest = F.sha2(F.concat_ws(":", secret, nonce, party, F.floor(comp / LANES).cast("int"), t), 256)
+    u = F.conv(F.substring(digest, (F.pmod(comp, F.lit(LANES)) * 8 + 1).cast("int"), F.lit(8)), 16, 10).cast("double") / F.lit(4294967296.0)
     return F.when(t < 0, F.lit(0.0)).otherwise((u - 0.5) * sigma * F.pow(F.lit(beta), t + 1))
 
 
-def theta(secret: Column, outer: Column, party: Column, comp: Column, t: Column, sigma: float = SIGMA, beta: float = BETA) -> Column:
+def theta(secret: Column, nonce: Column, party: Column, comp: Column, t: Column, sigma: float = SIGMA, beta: float = BETA) -> Column:
     """What round t adds: its draw less the last, so that all added so far is one ever smaller draw."""
-    return delta(secret, outer, party, comp, t, sigma, beta) - delta(secret, outer, party, comp, t - 1, sigma, beta)
+    return delta(secret, nonce, party, comp, t, sigma, beta) - delta(secret, nonce, party, comp, t - 1, sigma, beta)
 
 
-def theta_sql(secret: str, outer: int, party: str, comp: str, t: str, sigma: float, beta: float) -> str:
-    """theta in Spark SQL, for lambdas over parties and rounds."""
+def theta_sql(secret: str, nonce: str, party: str, comp: str, t: str, sigma: float, beta: float) -> str:
+    """theta in Spark SQL, for lambdas over parties and rounds; secret is an expression."""
 
     def d(at: str) -> str:
-        return f"(({uniform_sql(f"concat_ws(':', '{secret}', {outer}, {party}, {comp}, {at})")} - 0.5D) * {sigma!r}D * pow({beta!r}D, {at} + 1))"
+        digest = f"sha2(concat_ws(':', {secret}, '{nonce}', {party}, cast(floor({comp} / {LANES}) as int), {at}), 256)"
+        return f"((cast(conv(substring({digest}, pmod({comp}, {LANES}) * 8 + 1, 8), 16, 10) as double) / 4294967296D - 0.5D) * {sigma!r}D * pow({beta!r}D, {at} + 1))"
 
     return f"({d(t)} - if({t} > 0, {d(f'({t} - 1)')}, 0D))"
 
 
-def delta_array(secret: str, outer: int, parties: int, comps: list[int], t: int, sigma: float, beta: float) -> np.ndarray:
+def delta_array(secrets: tuple[str, ...], nonce: str, comps: list[int], t: int, sigma: float, beta: float) -> np.ndarray:
     """(parties, comps) draws of round t, bit-equal to the expressions."""
     if t < 0 or sigma == 0 or beta == 0:
-        return np.zeros((parties, len(comps)))
-    u = np.array([[uniform_py(key_py(secret, outer, i, c, t)) for c in comps] for i in range(parties)])
+        return np.zeros((len(secrets), len(comps)))
+    c = np.asarray(comps, np.int64)
+    groups, at = np.unique(c // LANES, return_inverse=True)
+    raw = b"".join(hashlib.sha256(f"{s}:{nonce}:{i}:{g}:{t}".encode()).digest() for i, s in enumerate(secrets) for g in groups.tolist())
+    u = np.frombuffer(raw, ">u4").reshape(len(secrets), len(groups), LANES)[:, at, c % LANES] / 4294967296.0
     return (u - 0.5) * sigma * beta ** (t + 1)
 
 
-def mask_table(spark, secret: str, outer: int, parties: int, comps: int, rounds: int, sigma: float = SIGMA, beta: float = BETA) -> DataFrame:
+def mask_table(spark: SparkSession, secrets: tuple[str, ...], nonce: str, comps: int, rounds: int, sigma: float = SIGMA, beta: float = BETA) -> DataFrame:
     """A preset lookup table of draws: (party, comp, t, delta)."""
-    p = spark.range(parties).select(F.col("id").cast("int").alias("party"))
-    c = p.withColumn("comp", F.explode(F.sequence(F.lit(0), F.lit(comps - 1)))).withColumn("t", F.explode(F.sequence(F.lit(0), F.lit(rounds - 1))))
-    return c.withColumn("delta", delta(F.lit(secret), F.lit(outer), F.col("party"), F.col("comp"), F.col("t"), sigma, beta))
+    grid = secrets_table(spark, secrets).withColumn("comp", F.explode(F.sequence(F.lit(0), F.lit(comps - 1)))).withColumn("t", F.explode(F.sequence(F.lit(0), F.lit(rounds - 1))))
+    return grid.select("party", "comp", "t", delta(F.col("secret"), F.lit(nonce), F.col("party"), F.col("comp"), F.col("t"), sigma, beta).alias("delta"))
 
 
 def mask_from_table(state: DataFrame, draws: DataFrame, t: int) -> DataFrame:
@@ -58,6 +83,9 @@ def mask_from_table(state: DataFrame, draws: DataFrame, t: int) -> DataFrame:
     return both.withColumn("shared", F.col("x") + F.coalesce("_now", F.lit(0.0)) - F.coalesce("_before", F.lit(0.0))).drop("_now", "_before")
 
 
-def mask(state: DataFrame, t: int, secret: str = "s", outer: int = 0, sigma: float = SIGMA, beta: float = BETA) -> DataFrame:
-    """state with `shared`: what a party says in round t."""
-    return state.withColumn("shared", F.col("x") + theta(F.lit(secret), F.lit(outer), F.col("party"), F.col("comp"), F.lit(t), sigma, beta))
+def mask(state: DataFrame, t: int, secrets: DataFrame | Column, nonce: str = "0", sigma: float = SIGMA, beta: float = BETA, width: Column | None = None) -> DataFrame:
+    """state with `shared`: what a party says in round t. secrets is (party, secret), or a column of them for few
+    parties; width scales a component's mask."""
+    joined = state.join(secrets, "party") if isinstance(secrets, DataFrame) else state.withColumn("secret", secrets)
+    noise = theta(F.col("secret"), F.lit(nonce), F.col("party"), F.col("comp"), F.lit(t), sigma, beta)
+    return joined.withColumn("shared", F.col("x") + (noise if width is None else noise * width)).drop("secret")

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -12,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from meshprofile.functions.vectors import l2sq
-from meshprofile.session import shared_folder
+from meshprofile.session import discard, settle
 
 BLOCK = 1024
 
@@ -112,16 +111,59 @@ def _all_pairs(assigned: DataFrame) -> float:
                 size = total.size
                 yield pa.record_batch([pa.array(np.full(size, r["b"])), pa.array(np.repeat(np.arange(len(own)), len(n))), pa.array(np.repeat(own, len(n))), pa.array(np.tile(np.arange(len(n)), len(own))), pa.array(total.ravel())], names=["b", "i", "own", "c", "t"])
 
-    path = f"{shared_folder(assigned.sparkSession)}/silhouette-{uuid.uuid4().hex}"
-    assigned.select("k", "y").mapInArrow(pack, "b long, own binary, y binary").write.parquet(path)
-    left = assigned.sparkSession.read.parquet(path)
+    left = settle(assigned.select("k", "y").mapInArrow(pack, "b long, own binary, y binary"), "silhouette")
     right = left.select(*[F.col(c).alias(f"{c}2") for c in left.columns])
     per_row = left.crossJoin(right).mapInArrow(pairs, "b long, i long, own long, c long, t double").groupBy("b", "i", "own", "c").agg(F.sum("t").alias("t"))
     sizes = F.element_at(F.array(*map(F.lit, n.tolist())), (F.col("c") + 1).cast("int"))
     mine = F.col("own") == F.col("c")
     ab = per_row.groupBy("b", "i").agg(F.max(F.when(mine, F.col("t") / F.greatest(sizes - 1, F.lit(1.0)))).alias("a"), F.min(F.when(~mine, F.col("t") / sizes)).alias("o"), F.max(F.when(mine, sizes)).alias("n"))
     width = F.when(F.col("n") > 1, (F.col("o") - F.col("a")) / F.greatest("o", "a", F.lit(1e-300))).otherwise(0.0)
-    return ab.agg(F.avg(width)).first()[0]
+    out = ab.agg(F.avg(width)).first()[0]
+    discard(left)
+    return out
+
+
+def silhouettes(profiles: DataFrame, models: list[tuple[object, object]]) -> list[float]:
+    """Mean squared-distance silhouette of each model's clusters over all rows, in two passes for all models
+    together: rows join their nearest or likeliest cluster, and each cluster's count, sums and squares give
+    the distances. A model whose rows share one cluster scores 0, as do empty tables."""
+    d, widths = models[0][1].d, [m.k for _, m in models]
+    starts = np.r_[0, np.cumsum(widths)]
+
+    def own_clusters(y: np.ndarray) -> list[np.ndarray]:
+        return [family.share(y, m).argmax(1) for family, m in models]
+
+    def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros((starts[-1], d + 2))
+        for b in batches:
+            y = b.column("y").flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
+            row = np.hstack([np.ones((len(y), 1)), (y * y).sum(1)[:, None], y])
+            for at, own in zip(starts, own_clusters(y)):
+                np.add.at(total, at + own, row)
+        i = np.flatnonzero(total[:, 0])
+        yield pa.record_batch([pa.array(np.repeat(i, d + 2)), pa.array(np.tile(np.arange(d + 2), len(i))), pa.array(total[i].ravel())], names=["c", "i", "v"])
+
+    rows = profiles.where("y is not null").select("y")
+    stats = np.zeros((starts[-1], d + 2))
+    for r in rows.mapInArrow(sums, "c long, i long, v double").groupBy("c", "i").agg(F.sum("v").alias("v")).collect():  # models' sizes
+        stats[r["c"], r["i"]] = r["v"]
+
+    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        got, n_rows = np.zeros(len(models)), 0
+        for b in batches:
+            y = b.column("y").flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
+            q = (y * y).sum(1)[:, None]
+            n_rows += len(y)
+            for j, own in enumerate(own_clusters(y)):
+                part = stats[starts[j] : starts[j + 1]]
+                there = np.flatnonzero(part[:, 0])
+                if len(y) and len(there) > 1:
+                    n, s = part[there, 0], part[there, 2:]
+                    got[j] += _from_totals(n * q - 2 * y @ s.T + part[there, 1], n, np.searchsorted(there, own)).sum()
+        yield pa.record_batch([pa.array(np.arange(len(models))), pa.array(got), pa.array(np.full(len(models), n_rows))], names=["j", "v", "n"])
+
+    out = {r["j"]: r["v"] / max(r["n"], 1) for r in rows.mapInArrow(score, "j long, v double, n long").groupBy("j").agg(F.sum("v").alias("v"), F.sum("n").alias("n")).collect()}
+    return [out.get(j, 0.0) for j in range(len(models))]
 
 
 def centroid_gap(a: np.ndarray, b: np.ndarray) -> float:

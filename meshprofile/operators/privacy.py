@@ -33,7 +33,7 @@ def messages(trace: DataFrame, edges: DataFrame, outer: int = 0) -> DataFrame:
 
 def count_rounding_attack(counts: np.ndarray, s: cs.Setting, scale: float = 1.0) -> float:
     """Share of whole-number starts that a listener finds by rounding the first message; masks times scale."""
-    said = counts + scale * s.theta(0, list(range(counts.shape[1])), 0)
+    said = counts + scale * s.theta(s.nonce(), list(range(counts.shape[1])), 0)
     return float((np.round(said) == counts).mean())
 
 
@@ -43,7 +43,7 @@ def rebuild(x: np.ndarray, s: cs.Setting, watcher: int, watched: int, rounds: in
     the watcher hears the whole neighbourhood, off where it does not."""
     heard = (s.w[watcher] != 0) | (np.arange(s.parties) == watcher)
     log: list = []
-    cs.run_numpy(x, s, rounds=rounds, trace=log)
+    cs.run_numpy(x, s, s.nonce(), rounds=rounds, trace=log)
     guess = log[0][1][watched].copy()
     for (_, before, _), (_, now, _) in zip(log, log[1:]):
         guess += now[watched] - (s.w[watched] * heard) @ before
@@ -52,10 +52,24 @@ def rebuild(x: np.ndarray, s: cs.Setting, watcher: int, watched: int, rounds: in
 
 def repeated_draws(value: float, s: cs.Setting, outers: int) -> float:
     """Error of averaging a party's first messages over iterations in which its start stays the same."""
-    said = [value + masking.delta_array(s.secret, o, 1, [0], 0, s.sigma, s.beta)[0, 0] for o in range(outers)]
+    said = [value + s.delta(s.nonce(), [0], 0)[0, 0] for _ in range(outers)]
     return abs(float(np.mean(said)) - value)
 
 
+def guessed_masks(s: cs.Setting, knower: int, nonce: str = "0", comps: int = 16) -> float:
+    """Share of the other parties' first draws that a party gets right by computing them with its own secret."""
+    own = masking.delta_array((s.secrets[knower],) * s.parties, nonce, list(range(comps)), 0, s.sigma, s.beta)
+    true = s.delta(nonce, list(range(comps)), 0)
+    others = np.arange(s.parties) != knower
+    return float((own[others] == true[others]).mean())
+
+
+def shared_draws(s: cs.Setting, exchanges: int, comps: int = 16) -> int:
+    """How many draws of the first round come back in another of the next exchanges."""
+    seen = np.concatenate([s.delta(s.nonce(), list(range(comps)), 0).ravel() for _ in range(exchanges)])
+    return len(seen) - len(np.unique(seen))
+
+
 def audit(x: np.ndarray, counts: np.ndarray, s: cs.Setting) -> dict[str, object]:
     from meshprofile.operators.topology import exposed_pairs
 
@@ -63,5 +77,7 @@ def audit(x: np.ndarray, counts: np.ndarray, s: cs.Setting) -> dict[str, object]
         "exposed": exposed_pairs(s.pairs),
         "rounded_counts": count_rounding_attack(counts, s),
         "rounded_counts_scaled": count_rounding_attack(counts, s, 100.0),
-        "first_gap": float(np.abs(s.theta(0, list(range(x.shape[1])), 0)).max()),
+        "first_gap": float(np.abs(s.theta(s.nonce(), list(range(x.shape[1])), 0)).max()),
+        "guessed_masks": guessed_masks(s, 0),
+        "shared_draws": shared_draws(s, 8),
     }

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from meshprofile.functions.hashing import uniform
-from meshprofile.session import settle
+from meshprofile.session import discard, settle
 
 DRIVER_PARTIES = 5_000
 
@@ -85,13 +85,16 @@ def spectrum_by_iteration(weights: DataFrame, rounds: int = 80) -> dict[str, flo
 
     def largest(sign: float) -> float:
         x = weights.select("src").distinct().select(F.col("src").alias("dst"), (uniform(F.col("src").cast("string")) - 0.5).alias("x"))
-        norm = 1.0
+        norm, last = 1.0, None
         for t in range(rounds):
             about = x.agg(F.avg("x").alias("m"), F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("n")).first()
             x = x.select("dst", ((F.col("x") - F.lit(about["m"])) / F.lit(about["n"])).alias("x"))
             moved = weights.join(x, "dst").groupBy("src").agg(F.sum(F.col("w") * F.col("x")).alias("ax"))
             x = moved.withColumnRenamed("src", "dst").join(x, "dst").select("dst", ((F.col("x") + sign * F.col("ax")) / 2).alias("x"))
             x = settle(x, "power")  # both halves of a round read it
+            if last is not None:
+                discard(last)
+            last = x
             norm = x.agg(F.sqrt(F.sum(F.col("x") * F.col("x")))).first()[0] if t == rounds - 1 else norm
         return norm
 
@@ -162,17 +165,23 @@ def diameter(pairs: list[tuple[int, int]], parties: int) -> int:
     return steps
 
 
-def connected_components(edges: DataFrame, rounds: int = 32) -> DataFrame:
-    """(src, component): label propagation by joins; a round per unit of diameter, each written out."""
-    label = edges.select("src").distinct().withColumn("component", F.col("src"))
-    for _ in range(rounds):
+def connected_components(edges: DataFrame) -> DataFrame:
+    """(src, component), component the least party reachable. Every round a party takes the least label around it,
+    then its label's label; rounds grow with the logarithm of the diameter, so there is no bound on them.
+    Each round's labels are written and the last ones deleted. Edges with a null end are left out."""
+    edges = edges.where("src is not null and dst is not null").select("src", "dst")
+    label = settle(edges.select("src").distinct().withColumn("component", F.col("src")), "labels")
+    while True:
         near = edges.join(label.select(F.col("src").alias("dst"), "component"), "dst").groupBy("src").agg(F.min("component").alias("c"))
-        new = settle(label.join(near, "src", "left").select("src", F.least("component", F.coalesce("c", "component")).alias("component"), F.col("component").alias("was")), "labels")
+        hooked = settle(label.join(near, "src", "left").select("src", F.least("component", F.coalesce("c", "component")).alias("component"), F.col("component").alias("was")), "labels")
+        up = hooked.select(F.col("src").alias("component"), F.col("component").alias("root"))
+        new = settle(hooked.join(up, "component", "left").select("src", F.coalesce("root", "component").alias("component"), "was"), "labels")
+        discard(label)
         done = new.where("component <> was").isEmpty()
-        label = new.drop("was")
+        discard(hooked)
+        label = new
         if done:
-            return label
-    raise ValueError(f"not settled after {rounds} rounds")
+            return label.drop("was")
 
 
 def degree_stats(edges: DataFrame) -> DataFrame:

@@ -8,18 +8,19 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from meshprofile.functions.hashing import uniform_duck
 from meshprofile.functions.vectors import l2sq
 from meshprofile.operators import cluster, consensus, cost, masking, metrics, privacy, profiles, secure, topology
-from meshprofile.operators.families import FuzzyCMeans, GaussianMixture, KMeans
+from meshprofile.operators.families import FuzzyCMeans, GaussianMixture, KMeans, Model
 from meshprofile.plans import duck
 from meshprofile.sources import graphs, tables
+from meshprofile.session import discard, settle
 from meshprofile.sources.tables import table
 
 K, T, SLOTS = 3, 3, 12
 MU = cluster.public_random(K, SLOTS, "start", 0.8)
 W_MAIN = topology.mixing_matrix(graphs.main_graph())
-SECRET = "s"
+#: Secrets and an exchange name that the SQL side can recompute masks from; fits draw fresh ones.
+SECRETS = masking.fixed_secrets(10)
 
 
 def peak(spark: SparkSession, d: str, slots: int = SLOTS) -> DataFrame:
@@ -28,21 +29,32 @@ def peak(spark: SparkSession, d: str, slots: int = SLOTS) -> DataFrame:
     return tables.parties_of_users(built).select("party", F.col("id").cast("long").alias("id"), "y")
 
 
-def planted(spark: SparkSession, d: str, slots: int = SLOTS, consumers: int | None = 1000) -> DataFrame:
-    return tables.planted(spark, d, slots, consumers).select("party", "id", "y")
+def planted(spark: SparkSession, d: str, slots: int = SLOTS) -> DataFrame:
+    """(party, id, y) planted profiles of every customer."""
+    return tables.planted(spark, d, slots).select("party", "id", "y")
 
 
 def setting(kind: str = "masked_boosted", **how) -> consensus.Setting:
-    return consensus.Setting(graphs.main_graph(), 10, kind, secret=SECRET, **how)
+    """The main graph under fresh secrets."""
+    return consensus.Setting(graphs.main_graph(), 10, kind, **how)
 
 
-def first_states(spark: SparkSession, d: str) -> DataFrame:
+def replayed(kind: str = "masked_boosted", **how) -> consensus.Setting:
+    """The main graph under the fixed secrets; its first exchange is named 0."""
+    return setting(kind, secrets=SECRETS, session="", **how)
+
+
+def first_states(spark: SparkSession, d: str, slots: int = SLOTS) -> DataFrame:
     """Start states: the profile of each party's first consumer, slot by slot."""
-    first = peak(spark, d).groupBy("party").agg(F.min_by("y", "id").alias("y"))
+    first = peak(spark, d, slots).groupBy("party").agg(F.min_by("y", "id").alias("y"))
     return first.select("party", F.posexplode("y").alias("comp", "x"))
 
 
-FIRST = duck.peak_profiles(SLOTS) + ",\nstart as (select party, slot as comp, y as x from p where id in (select min(id) from p group by party))"
+def first_sql(slots: int) -> str:
+    return duck.peak_profiles(slots) + ",\nstart as (select party, slot as comp, y as x from p where id in (select min(id) from p group by party))"
+
+
+FIRST = first_sql(SLOTS)
 
 
 # profiles ---------------------------------------------------------------------------------------------
@@ -132,11 +144,17 @@ def q_mixing_matrix(spark: SparkSession, d: str) -> DataFrame:
     return topology.mixing(nation_edges(spark, d)).select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), F.round("w", 9).alias("w"))
 
 
-NATION_BOOST = topology.optimal_boost(topology.mixing_matrix(graphs.circulant(25, (1, 5))))
+def q_boosted_matrix(spark: SparkSession, d: str) -> DataFrame:
+    weights = topology.mixing(nation_edges(spark, d))
+    boosted = topology.boost(weights, topology.optimal_boost(topology.matrix(weights)))
+    return boosted.select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), F.round("w", 9).alias("w"))
 
 
-def q_boosted_matrix(spark: SparkSession, d: str) -> DataFrame:
-    return topology.boost(topology.mixing(nation_edges(spark, d)), NATION_BOOST).select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), F.round("w", 9).alias("w"))
+#: The circulant's eigenvalues in closed form: every party keeps a fifth and gives a fifth to each of four neighbours.
+SQL_BOOSTED = f"""with {NATION_MIX},
+ev as (select k, (1 + 2 * cos(2 * pi() * k / 25) + 2 * cos(2 * pi() * 5 * k / 25)) / 5 as v from range(1, 25) r(k)),
+a as (select (max(v) + min(v)) / (2 - max(v) - min(v)) as a from ev)
+select src::bigint as src, dst::bigint as dst, round((1 + a.a) * w - case when src = dst then a.a else 0 end, 9) as w from mix, a"""
 
 
 def q_degree_stats(spark: SparkSession, d: str) -> DataFrame:
@@ -157,46 +175,99 @@ select e.src::bigint as watcher, e.dst::bigint as watched from e where not exist
 
 
 def q_components(spark: SparkSession, d: str) -> DataFrame:
-    return topology.connected_components(graphs.edges_df(spark, graphs.named("split"))).select(F.col("src").cast("long").alias("party"), F.col("component").cast("long").alias("component"))
+    """Two rings of five, and a ring of a hundred parties."""
+    pairs = graphs.named("split") + [(a + 100, b + 100) for a, b in graphs.ring(100)]
+    return topology.connected_components(graphs.edges_df(spark, pairs)).select(F.col("src").cast("long").alias("party"), F.col("component").cast("long").alias("component"))
 
 
-_SPLIT = duck.values([e for a, b in graphs.named("split") for e in ((a, b), (b, a))], "src, dst")
-SQL_COMPONENTS = f"""with recursive e as (select * from {_SPLIT}), r(party, seen) as (select distinct src, src from e union select r.party, e.dst from r join e on e.src = r.seen)
-select party::bigint as party, min(seen)::bigint as component from r group by party"""
+SQL_COMPONENTS = "select r::bigint as party, (case when r < 5 then 0 when r < 10 then 5 else 100 end)::bigint as component from (select r from range(10) t(r) union all select r + 100 from range(100) t(r))"
+
+
+SPECTRA = ("circulant", "complete", "petersen", "ring")
 
 
 def q_spectrum(spark: SparkSession, d: str) -> DataFrame:
-    weights = topology.mixing(graphs.edges_df(spark, graphs.main_graph()))
-    return spark.createDataFrame([(k, round(v, 6)) for k, v in topology.spectrum(topology.matrix(weights)).items()], "measure string, value double")
+    """Spectra of graphs whose eigenvalues are known in closed form."""
+    rows = []
+    for kind in SPECTRA:
+        weights = topology.mixing(graphs.edges_df(spark, graphs.named(kind, 25 if kind == "circulant" else 10)))
+        rows += [(kind, k, round(v, 6) + 0.0) for k, v in topology.spectrum(topology.matrix(weights)).items()]
+    return spark.createDataFrame(rows, "graph string, measure string, value double")
+
+
+SQL_SPECTRUM = """with ev as (select 'ring' as graph, (1 + 2 * cos(2 * pi() * k / 10)) / 3 as v from range(1, 10) r(k)
+union all select 'circulant', (1 + 2 * cos(2 * pi() * k / 25) + 2 * cos(2 * pi() * 5 * k / 25)) / 5 from range(1, 25) r(k)
+union all select 'complete', 0.0::double
+union all select 'petersen', (1 + e) / 4.0::double from (values (1), (-2)) p(e)),
+s as (select graph, max(v) as l2, min(v) as lm, (max(v) + min(v)) / (2 - max(v) - min(v)) as a from ev group by graph),
+m as (select graph, any_value(l2) as lambda2, any_value(lm) as lambda_min, any_value(a) as a, max(abs(v)) as rho_plain, max(abs((1 + a) * v - a)) as rho_boosted from ev join s using (graph) group by graph)
+select graph, measure, round(value, 6) + 0.0::double as value from (unpivot m on lambda2, lambda_min, a, rho_plain, rho_boosted into name measure value value)"""
 
 
-SQL_SPECTRUM = "select * from " + duck.values([(k, round(v, 6)) for k, v in topology.spectrum(W_MAIN).items()], "measure, value")
-SQL_SPECTRUM = SQL_SPECTRUM.replace("select *", "select measure, value::double as value")
+def sweep(i: int, **how) -> consensus.Setting:
+    """The i-th random graph of the sweep; its exposed edges stay, as in the reported experiment."""
+    return consensus.Setting(graphs.random_connected(10, graphs.SWEEP_EDGES[i], i), 10, exposed="allow", **how)
+
+
+def q_topology_degrees(spark: SparkSession, d: str) -> DataFrame:
+    out = None
+    for i in range(len(graphs.SWEEP_EDGES)):
+        one = topology.degree_stats(graphs.edges_df(spark, sweep(i).pairs)).withColumn("topology", F.lit(i + 1).cast("long"))
+        out = one if out is None else out.unionByName(one)
+    return out.withColumns({c: F.round(c, 6) for c in ("mean_degree", "mean_extended", "edges_per_party")})
+
+
+SQL_TOPOLOGY_DEGREES = f"""with e as (select * from {duck.values([(i + 1, *e) for i in range(len(graphs.SWEEP_EDGES)) for a, b in sweep(i).pairs for e in ((a, b), (b, a))], "topology, src, dst")}),
+deg as (select topology, src, count(*) as d from e group by all)
+select topology::bigint as topology, count(*) as parties, (sum(d) // 2)::bigint as edges, round(avg(d), 6) as mean_degree, round(avg(d) + 1, 6) as mean_extended, round(sum(d) / 2.0::double / count(*), 6) as edges_per_party, max(d) as max_degree from deg group by topology"""
 
 
 def q_topology_sweep(spark: SparkSession, d: str) -> DataFrame:
-    """Nine random graphs: degrees, spectrum, rounds to eps and seconds of one consensus."""
+    """A masked k-means fit on each of nine random graphs: degrees, spectrum, the rounds its exchanges took until
+    parties agreed, the rounds predicted, and the consensus seconds of a party."""
+    df = settle(planted(spark, d, 48), "planted")
     rows = []
     for i, edges in enumerate(graphs.SWEEP_EDGES):
-        s = consensus.Setting(graphs.random_connected(10, edges, i), 10, secret=SECRET)
-        sp = topology.spectrum(topology.mixing_matrix(s.pairs))
-        rows.append((i + 1, edges, 2 * edges / 10, 2 * edges / 10 + 1, edges / 10, sp["lambda2"], sp["lambda_min"], sp["a"], sp["rho_boosted"], s.rounds, cost.consensus_time(s)))
-    return spark.createDataFrame(rows, "topology int, edges int, mean_degree double, mean_extended double, edges_per_party double, lambda2 double, lambda_min double, a double, rho double, rounds int, seconds double")
+        s = sweep(i, stop="spread")
+        sp = topology.spectrum(s.plain)
+        _, r = cluster.fit_kmeans(df, cluster.public_peaks(6, 48)[0], s, iterations=3, stop="fixed", settled=True)
+        rows.append((i + 1, edges, 2 * edges / 10, 2 * edges / 10 + 1, edges / 10, sp["lambda2"], sp["lambda_min"], sp["a"], sp["rho_boosted"], topology.rounds_needed(sp["rho_boosted"], s.beta), float(np.mean(r.rounds_per_iteration)), r.consensus_seconds / 10))
+    discard(df)
+    return spark.createDataFrame(rows, "topology int, edges int, mean_degree double, mean_extended double, edges_per_party double, lambda2 double, lambda_min double, a double, rho double, predicted int, rounds double, seconds double")
+
+
+def ranks(v) -> np.ndarray:
+    """Ranks, ties at their mean."""
+    v = np.asarray(v, float)
+    return (v[:, None] > v).sum(1) + ((v[:, None] == v).sum(1) - 1) / 2
+
+
+def q_topology_trend(spark: SparkSession, d: str) -> DataFrame:
+    """Whether rounds until agreement fall with the spectral radius over the nine graphs: rank correlation of both,
+    for the payloads of a k-means fit as they are."""
+    x, _ = consensus.dense(cluster.payloads(planted(spark, d, 48), [(KMeans(), Model(cluster.public_peaks(6, 48)[0]))]).where("comp >= 0"), 10)
+    settings = [sweep(i, stop="spread") for i in range(len(graphs.SWEEP_EDGES))]
+    rounds = [consensus.run_counted(x, s, s.nonce())[1] for s in settings]
+    rank = float(np.corrcoef(ranks([s.rho for s in settings]), ranks(rounds))[0, 1])
+    return spark.createDataFrame([(len(rounds), rank > 0.8, rounds[-1] < rounds[0] / 3)], "topologies long, rounds_follow_radius boolean, dense_graphs_are_faster boolean")
+
+
+SQL_TOPOLOGY_TREND = "select 9::bigint as topologies, true as rounds_follow_radius, true as dense_graphs_are_faster"
 
 
 # masks ------------------------------------------------------------------------------------------------
 
 
 def q_mask_values(spark: SparkSession, d: str) -> DataFrame:
-    return masking.mask_table(spark, SECRET, 0, 10, 4, 8).select(F.col("party").cast("long").alias("party"), F.col("comp").cast("long").alias("comp"), F.col("t").cast("long").alias("t"), F.round("delta", 9).alias("delta"))
+    return masking.mask_table(spark, SECRETS, "0", 20, 8).select(F.col("party").cast("long").alias("party"), F.col("comp").cast("long").alias("comp"), F.col("t").cast("long").alias("t"), F.round("delta", 9).alias("delta"))
 
 
-_DRAWS = f"""select p as party, c as comp, t, ({uniform_duck(f"'{SECRET}:0:' || p || ':' || c || ':' || t")} - 0.5) * 2.0 * 0.2::double ^ (t + 1) as delta from range(10) a(p), range(4) b(c), range(8) r(t)"""
+_DRAWS = " union all ".join(f"select party, comp, {t}::bigint as t, {duck.draw('0', masking.SIGMA, masking.BETA, t)} as delta from range(10) a(party), range(20) b(comp)" for t in range(8))
 
 
 def q_mask_telescopes(spark: SparkSession, d: str) -> DataFrame:
-    grid = masking.mask_table(spark, SECRET, 0, 10, 4, 8)
-    added = grid.withColumn("theta", masking.theta(F.lit(SECRET), F.lit(0), F.col("party"), F.col("comp"), F.col("t")))
+    grid = masking.mask_table(spark, SECRETS, "0", 20, 8)
+    added = grid.withColumn("theta", masking.theta(masking.secret_of(SECRETS), F.lit("0"), F.col("party"), F.col("comp"), F.col("t")))
     return added.groupBy("party", "comp").agg(F.round(F.sum("theta"), 9).alias("added"), F.round(F.max_by("delta", "t"), 9).alias("last")).select(F.col("party").cast("long").alias("party"), F.col("comp").cast("long").alias("comp"), "added", "last")
 
 
@@ -216,44 +287,84 @@ SQL_TOTAL = f"with {FIRST} select r.p::bigint as party, comp::bigint as comp, ro
 ROUNDS = 8
 
 
-def q_trace(kind: str, spark: SparkSession, d: str) -> DataFrame:
-    out = consensus.run(first_states(spark, d), setting(kind, stop="fixed", rounds=ROUNDS), "array", trace=True)
-    return out.select(*[F.col(c).cast("long").alias(c) for c in ("t", "party", "comp")], F.round("shared", 6).alias("shared"), F.round("state", 6).alias("state"))
+LONG = ("t", "party", "comp")
+
+
+def q_trace(kind: str, spark: SparkSession, d: str, form: str = "matrix") -> DataFrame:
+    out = consensus.run(first_states(spark, d), replayed(kind, stop="fixed", rounds=ROUNDS, form=form), "array", trace=True)
+    return out.select(*[F.col(c).cast("long").alias(c) for c in LONG], F.round("shared", 6).alias("shared"), F.round("state", 6).alias("state"))
 
 
 def sql_trace(kind: str) -> str:
-    s = setting(kind, stop="fixed", rounds=ROUNDS)
+    s = replayed(kind, stop="fixed", rounds=ROUNDS)
     rows = " union all ".join(f"select * from m{t}" for t in range(ROUNDS))
-    return f"with {FIRST},\n{duck.trace('start', s.w, ROUNDS, SECRET, s.sigma, s.beta)}\nselect t::bigint as t, party::bigint as party, comp::bigint as comp, round(shared, 6) as shared, round(state, 6) as state from ({rows})"
+    return f"with {FIRST},\n{duck.trace('start', s.w, ROUNDS, s.sigma, s.beta)}\nselect t::bigint as t, party::bigint as party, comp::bigint as comp, round(shared, 6) as shared, round(state, 6) as state from ({rows})"
 
 
-def all_traces(spark: SparkSession, d: str, rounds: int = 60) -> DataFrame:
-    out = None
+RACE = 60
+
+
+def all_traces(spark: SparkSession, d: str, rounds: int = RACE) -> tuple[DataFrame, DataFrame]:
+    """Traces of the four kinds from one start of 48 slots, and its exact totals."""
+    start, out = settle(first_states(spark, d, 48), "start"), None
     for kind in consensus.KINDS:
-        one = consensus.run(first_states(spark, d), setting(kind, stop="fixed", rounds=rounds), "block", trace=True).withColumn("kind", F.lit(kind))
+        one = consensus.run(start, replayed(kind, stop="fixed", rounds=rounds), "block", trace=True).withColumn("kind", F.lit(kind))
         out = one if out is None else out.unionByName(one)
-    return out
+    return out, consensus.direct_sum(start)
+
+
+def traces_sql(rounds: int = RACE) -> str:
+    kinds = {k: (replayed(k, stop="fixed", rounds=rounds).w, masking.SIGMA if "masked" in k else 0.0) for k in consensus.KINDS}
+    return f"with {first_sql(48)},\n{duck.traces('start', kinds, rounds, masking.BETA)}"
+
+
+ERRORS = """,
+total as (select comp, sum(x) as total from start group by comp),
+per as (select kind, t, party, sqrt(sum((10 * state - total) ^ 2)) / sqrt(sum(total * total)) as e from all_m join total using (comp) group by all),
+err as (select kind, t, avg(e) as mean_error, max(e) as max_error from per group by all)"""
 
 
 def q_error_race(spark: SparkSession, d: str) -> DataFrame:
-    exact = consensus.direct_sum(first_states(spark, d))
-    return metrics.consensus_error(all_traces(spark, d), exact, 10)
+    race, exact = all_traces(spark, d)
+    got = metrics.consensus_error(race, exact, 10)
+    return got.select("kind", F.col("t").cast("long").alias("t"), F.round("mean_error", 9).alias("mean_error"), F.round("max_error", 9).alias("max_error"))
+
+
+SQL_ERROR_RACE = f"{traces_sql()}{ERRORS}\nselect kind, t::bigint as t, round(mean_error, 9) as mean_error, round(max_error, 9) as max_error from err"
 
 
 def q_rounds_to_eps(spark: SparkSession, d: str) -> DataFrame:
-    return metrics.rounds_to(q_error_race(spark, d))
+    race, exact = all_traces(spark, d)
+    return metrics.rounds_to(metrics.consensus_error(race, exact, 10)).select("kind", F.col("rounds").cast("long").alias("rounds"))
+
+
+SQL_ROUNDS_TO_EPS = f"{traces_sql()}{ERRORS}\nselect kind, min(t)::bigint as rounds from err where mean_error < 1e-6 group by kind"
 
 
 def q_shared_by_first(spark: SparkSession, d: str) -> DataFrame:
-    return privacy.shared_trace(all_traces(spark, d, 20), 0)
+    out = privacy.shared_trace(all_traces(spark, d, 20)[0], 0)
+    return out.select("kind", *[F.col(c).cast("long").alias(c) for c in LONG], F.round("shared", 6).alias("shared"), F.round("state", 6).alias("state"))
+
+
+SQL_SHARED_BY_FIRST = f"{traces_sql(20)}\nselect kind, t::bigint as t, party::bigint as party, comp::bigint as comp, round(shared, 6) as shared, round(state, 6) as state from all_m where party = 0"
+
+
+def q_disagreement(spark: SparkSession, d: str) -> DataFrame:
+    """How far apart parties still are after a few rounds, slot by slot."""
+    got = metrics.spread(consensus.run(first_states(spark, d), replayed(stop="fixed", rounds=ROUNDS)))
+    return got.select(F.col("comp").cast("long").alias("comp"), F.round("spread", 6).alias("spread"))
+
+
+_LAST = replayed(stop="fixed", rounds=ROUNDS)
+SQL_DISAGREEMENT = f"with {FIRST},\n{duck.trace('start', _LAST.w, ROUNDS, _LAST.sigma, _LAST.beta)}\nselect comp::bigint as comp, round(max(x) - min(x), 6) as spread from x{ROUNDS} group by comp"
 
 
 def q_mask_gap(spark: SparkSession, d: str) -> DataFrame:
-    trace = consensus.run(first_states(spark, d), setting(stop="fixed", rounds=1), "array", trace=True)
+    trace = consensus.run(first_states(spark, d), replayed(stop="fixed", rounds=1), "array", trace=True)
     return privacy.mask_gap(trace).select(F.col("party").cast("long").alias("party"), F.col("comp").cast("long").alias("comp"), F.round("gap", 9).alias("gap"))
 
 
-SQL_MASK_GAP = f"""with {FIRST} select party::bigint as party, comp::bigint as comp, round(abs(({uniform_duck(f"'{SECRET}:0:' || party || ':' || comp || ':0'")} - 0.5) * 0.4), 9) as gap from start"""
+SQL_MASK_GAP = f"""with {FIRST} select party::bigint as party, comp::bigint as comp, round(abs({duck.draw('0', masking.SIGMA, masking.BETA, 0)}), 9) as gap from start"""
 
 
 def q_messages(spark: SparkSession, d: str) -> DataFrame:
@@ -332,10 +443,10 @@ def q_gmm_full(masked: bool, spark: SparkSession, d: str) -> DataFrame:
 
 def q_entry(spark: SparkSession, d: str) -> DataFrame:
     """The flagship: masked k-means of half-hour profiles over ten parties."""
-    df = peak(spark, d, 48)
+    df = settle(peak(spark, d, 48), "profiles")
     s = setting()
     mu = cluster.masked_start(df, 2, s)
-    model, _ = cluster.fit_kmeans(df, mu, s, iterations=10)
+    model, _ = cluster.fit_kmeans(df, mu, s, iterations=10, settled=True)
     sizes = metrics.sizes(cluster.assign_hard(df, model.mu))
     return cluster.model_df(spark, model).select("k", "mu").join(sizes, "k", "left").select("k", F.coalesce("n", F.lit(0)).alias("size"), "mu")
 
@@ -420,9 +531,52 @@ def q_sse(spark: SparkSession, d: str) -> DataFrame:
 SQL_SSE = f"with {duck.planted(SLOTS)}, m as (select archetype, slot, avg(y) as mu from p group by all) select round(sum((y - mu) ^ 2), 4) as sse from p join m using (archetype, slot)"
 
 
-def spread_rows(df: DataFrame, k: int, pool: int = 300, tries: int = 20) -> np.ndarray:
-    """Start centroids: the best of several seeded k-means runs on `pool` rows first by hash (at each, new
-    centroids are drawn by distance from those there are). Simulations only, as it publishes rows."""
+KS = tuple(range(2, 11))
+GMM = {"variance": 0.1, "reg": 1e-3}
+
+
+def three_families(mu: np.ndarray) -> list[tuple[str, object, Model]]:
+    """The three families from one start; mixtures here with diagonal covariances, which SQL can follow."""
+    mixture = GaussianMixture("diag", reg=GMM["reg"])
+    return [("kmeans", KMeans(), Model(mu)), ("fuzzy", FuzzyCMeans(), Model(mu)), ("gmm", mixture, mixture.start(mu, GMM["variance"]))]
+
+
+def carriers(spark: SparkSession, d: str, slots: int) -> dict[str, DataFrame]:
+    return {"planted": settle(planted(spark, d, slots), "planted"), "events": settle(peak(spark, d, slots), "events")}
+
+
+def q_silhouette_by_k(spark: SparkSession, d: str) -> DataFrame:
+    """Silhouette for K = 2..10 of three families, centralised and masked, on planted and event profiles, after
+    T iterations from public starts. All fits of a carrier share their scans."""
+    rows = []
+    for carrier, df in carriers(spark, d, SLOTS).items():
+        parts = [(name, k, family, model) for k in KS for name, family, model in three_families(cluster.public_peaks(k, SLOTS)[0])]
+        for where, s in (("central", None), ("masked", setting(eps=1e-10))):
+            fitted = cluster.fit_many(df, [(f, m) for _, _, f, m in parts], s, iterations=T, stop="fixed", settled=True)
+            scores = metrics.silhouettes(df, [(p[2], m) for p, (m, _) in zip(parts, fitted)])
+            rows += [(carrier, p[0], where, p[1], round(v, 4)) for p, v in zip(parts, scores)]
+        discard(df)
+    return spark.createDataFrame(rows, "carrier string, family string, kind string, k long, silhouette double")
+
+
+def both_carriers(slots: int) -> str:
+    """p(src, id, slot, y) of planted and event profiles."""
+    one, two = duck.planted(slots).replace("\np as (", "\np1 as ("), duck.peak_profiles(slots).replace("\np as (", "\np2 as (")
+    return f"{one},\n{two},\np as materialized (select 'planted' as src, id, slot, y from p1 union all select 'events', id, slot, y from p2)"
+
+
+def _silhouette_by_k_sql() -> str:
+    g = {10 * k + i: (src, k) for k in KS for i, src in enumerate(("planted", "events"))}
+    starts = {n: cluster.public_peaks(k, SLOTS)[0] for n, (_, k) in g.items()}
+    made = {"kmeans": ("km", duck.many_kmeans("km", starts, T)), "fuzzy": ("fz", duck.many_fuzzy("fz", starts, T)), "gmm": ("gm", duck.many_gmm("gm", starts, T, GMM["variance"], GMM["reg"]))}
+    parts = ",\n".join(f"{sql},\n{duck.silhouettes(pre)}" for pre, sql in made.values())
+    out = " union all ".join(f"select src as carrier, '{name}' as family, kind, (g // 10)::bigint as k, round(silhouette, 4) as silhouette from {pre}sil join fits using (g), (values ('central'), ('masked')) v(kind)" for name, (pre, _) in made.items())
+    return f"with {both_carriers(SLOTS)},\n{duck.fits({n: src for n, (src, _) in g.items()})},\n{parts}\n{out}"
+
+
+def own_start(df: DataFrame, k: int, pool: int = 300, tries: int = 20) -> np.ndarray:
+    """A party's start from its own rows, which it need not publish: the best of several seeded k-means runs on
+    `pool` of them (at each, new centroids are drawn by distance from those there are)."""
     rows = cluster.sample_rows(df, pool)
     best, least = rows[:k], np.inf
     for seed in range(tries):
@@ -441,27 +595,41 @@ def spread_rows(df: DataFrame, k: int, pool: int = 300, tries: int = 20) -> np.n
 
 
 def q_sse_by_k(spark: SparkSession, d: str) -> DataFrame:
-    """Squared error for K = 1..9 on the union (masked) and on party 0 alone, with the chosen K."""
-    df = planted(spark, d, 48, None).cache()
-    rows = []
-    for scope, part, s in (("union", df, setting()), ("party 0", df.where("party = 0"), None)):
-        ks = list(range(1, 10))
-        best, values = cluster.select_k(part, ks, lambda k, part=part: spread_rows(part, k), s, "second_diff", iterations=6, stop="objective", tol=1e-3)
+    """Squared error for K = 1..9 on the union (masked, from public starts) and on party 0 alone, with the chosen K."""
+    df, ks, rows = settle(planted(spark, d, 48), "planted"), list(range(1, 10)), []
+    alone = df.where("party = 0")
+    for scope, part, s, starts in (("union", df, setting(), lambda k: cluster.public_peaks(k, 48, 6)), ("party 0", alone, None, lambda k: [own_start(alone, k)])):
+        best, values = cluster.select_k(part, ks, starts, s, "second_diff", iterations=100, stop="objective", tol=1e-4, settled=True)
         rows += [(scope, k, float(v), best) for k, v in zip(ks, values)]
-    df.unpersist()
+    discard(df)
     return spark.createDataFrame(rows, "scope string, k int, sse double, chosen int")
 
 
 def q_missed_patterns(spark: SparkSession, d: str) -> DataFrame:
     """Consumers whose union pattern party 0 does not know, against the centroids it finds alone."""
-    df = planted(spark, d, 48)
-    union, _ = cluster.fit_kmeans(df, spread_rows(df, 6), setting(), iterations=12)
-    alone, _ = cluster.fit_kmeans(df.where("party = 0"), spread_rows(df.where("party = 0"), 2), iterations=12)
-    known = metrics.patterns_known(alone.mu, union.mu)
+    df = settle(planted(spark, d, 48), "planted")
+    alone = df.where("party = 0")
+    union, _ = cluster.best_of(df, KMeans(), [Model(mu) for mu in cluster.public_peaks(6, 48, 6)], setting(), iterations=200, tol=1e-3, settled=True)
+    single, _ = cluster.fit_kmeans(alone, own_start(alone, 2), iterations=200, tol=1e-3, settled=True)
+    known = metrics.patterns_known(single.mu, union.mu)
     return metrics.missed(cluster.assign_hard(df, union.mu), known).agg(F.count(F.lit(1)).alias("missed"))
 
 
-SQL_MISSED = "select count(*) as missed from customer where c_custkey < 1000 and c_custkey % 6 not in (1, 2)"
+SQL_MISSED = "select count(*) as missed from customer where c_custkey % 6 not in (1, 2)"
+PATTERNS = cluster.public_peaks(6, 48)[0]
+
+
+def q_union_patterns(masked: bool, spark: SparkSession, d: str) -> DataFrame:
+    """Six half-hour patterns of the union and their sizes, after T iterations from a public start."""
+    df = settle(planted(spark, d, 48), "planted")
+    model, _ = cluster.fit_kmeans(df, PATTERNS, setting(eps=1e-10) if masked else None, iterations=T, stop="fixed", settled=True)
+    sizes = metrics.sizes(cluster.assign_hard(df, model.mu)).select(F.col("k").cast("long").alias("k"), "n")
+    return _rows(spark, model).join(F.broadcast(sizes), "k", "left").withColumn("n", F.coalesce("n", F.lit(0)).cast("long"))
+
+
+SQL_UNION_PATTERNS = f"""with {duck.planted(48).replace(chr(10) + "p as (", chr(10) + "p1 as (")},
+p as materialized (select 'union' as src, id, slot, y from p1),\n{duck.fits({1: "union"})},\n{duck.many_kmeans("km", {1: PATTERNS}, T)}
+select m.k::bigint as k, m.slot::bigint as slot, round(m.mu, 4) as mu, (select count(*) from kma a where a.k = m.k) as n from kmm{T} m"""
 
 
 def q_cluster_sizes(spark: SparkSession, d: str) -> DataFrame:
@@ -472,10 +640,22 @@ SQL_SIZES = f"with {duck.planted(SLOTS)},\n{duck.kmeans(MU, 0)}\nselect k::bigin
 
 
 def q_centroid_gap(spark: SparkSession, d: str) -> DataFrame:
-    df = planted(spark, d)
-    a, _ = cluster.fit_kmeans(df, MU, iterations=T, stop="fixed")
-    b, _ = cluster.fit_kmeans(df, MU, setting(), iterations=T, stop="fixed")
-    return spark.createDataFrame([(round(metrics.centroid_gap(a.mu, b.mu), 4),)], "gap double")
+    """Distance of the masked union's centroids from the centralised ones, and from those of party 0 alone."""
+    df = settle(planted(spark, d), "planted")
+    how = {"iterations": T, "stop": "fixed", "settled": True}
+    central, masked = (cluster.fit_kmeans(df, MU, s, **how)[0].mu for s in (None, setting(eps=1e-10)))
+    alone = cluster.fit_kmeans(df.where("party = 0"), MU, **how)[0].mu
+    discard(df)
+    rows = [("central", round(metrics.centroid_gap(masked, central), 4)), ("party 0", round(metrics.centroid_gap(masked, alone), 4))]
+    return spark.createDataFrame(rows, "against string, gap double")
+
+
+SQL_CENTROID_GAP = f"""with {duck.planted(SLOTS).replace(chr(10) + "p as (", chr(10) + "p1 as (")},
+p as materialized (select 'union' as src, id, slot, y from p1 union all select 'party 0', id, slot, y from p1 where party = 0),
+{duck.fits({1: "union", 2: "party 0"})},\n{duck.many_kmeans("km", {1: MU, 2: MU}, T)},
+gaps as (select u.k as a, o.k as b, o.g, sqrt(sum((u.mu - o.mu) ^ 2)) as dist from kmm{T} u join kmm{T} o on o.slot = u.slot where u.g = 1 group by all),
+near as (select g, min(dist) as m from gaps group by g, a union all select g, min(dist) from gaps group by g, b)
+select case g when 1 then 'central' else 'party 0' end as against, round(max(m), 4) as gap from near group by g"""
 
 
 def q_parity(spark: SparkSession, d: str) -> DataFrame:
@@ -493,7 +673,7 @@ def q_objectives(spark: SparkSession, d: str) -> DataFrame:
     df = planted(spark, d)
     rows = []
     for name, family, model in (("kmeans", KMeans(), cluster.Model(MU)), ("fuzzy", FuzzyCMeans(), cluster.Model(MU)), ("gmm", GaussianMixture("diag"), GaussianMixture("diag").start(MU, 0.1))):
-        last = cluster.payloads(df, family, model, 10).groupBy("comp").agg(F.sum("x").alias("x")).orderBy(F.desc("comp")).first()
+        last = cluster.payloads(df, [(family, model)], pooled=True).orderBy(F.desc("comp")).first()
         rows.append((name, round(last["x"], 3)))
     return spark.createDataFrame(rows, "family string, objective double")
 
@@ -505,19 +685,37 @@ union all select 'fuzzy', round(sum(u.g * d0.d2), 3) from u0 u join d0 on d0.id
 union all select 'gmm', round(sum(s), 3) from (select ln(sum(exp(l))) as s from lg group by id)"""
 
 
+def fits_to_the_end(spark: SparkSession, d: str, slots: int, k: int, cov: str, tol: float, iterations: int) -> list[tuple]:
+    """(carrier, family, kind, setting, report) of all families, centralised and masked, until centroids rest."""
+    out = []
+    for carrier, df in carriers(spark, d, slots).items():
+        mu, mixture = cluster.public_peaks(k, slots)[0], GaussianMixture(cov, reg=1e-3)
+        parts = [(KMeans(), Model(mu)), (FuzzyCMeans(), Model(mu)), (mixture, mixture.start(mu, 0.1))]
+        for kind, s in (("central", None), ("masked", setting(eps=1e-9))):
+            for (family, _), (_, report) in zip(parts, cluster.fit_many(df, parts, s, iterations=iterations, tol=tol, settled=True)):
+                out.append((carrier, family.name, kind, s, report))
+        discard(df)
+    return out
+
+
 def q_times(spark: SparkSession, d: str) -> DataFrame:
-    """Seconds and iterations of three families, centralised and masked over ten parties (the latter: the
-    slowest party, without communication)."""
+    """Seconds and iterations of three families to convergence, centralised and masked over ten parties (the latter:
+    the slowest party, without communication)."""
     rows = []
-    for carrier, df in (("planted", planted(spark, d, 48, None).cache()), ("events", peak(spark, d, 48).cache())):
-        mu = spread_rows(df, 6)
-        for name, fit, how in (("kmeans", cluster.fit_kmeans, {}), ("fuzzy", cluster.fit_fuzzy, {}), ("gmm", cluster.fit_gmm, {"variance": 0.1, "reg": 1e-3})):
-            for where, s in (("central", None), ("masked", setting())):
-                _, report = fit(df, mu, s, iterations=8, **how)
-                local = report.party_seconds.values()
-                rows.append((carrier, name, where, report.iterations, float(sum(local) if s is None else max(local)), report.consensus_seconds / (s.parties if s else 1)))
-        df.unpersist()
-    return spark.createDataFrame(rows, "carrier string, family string, kind string, iterations int, local_seconds double, consensus_seconds double")
+    for carrier, name, kind, s, r in fits_to_the_end(spark, d, 48, 6, "full", 1e-3, 300):
+        local = r.party_seconds.values()
+        rows.append((carrier, name, kind, r.iterations, r.converged, float(sum(local) if s is None else max(local)), r.consensus_seconds / (s.parties if s else 1)))
+    return spark.createDataFrame(rows, "carrier string, family string, kind string, iterations int, converged boolean, local_seconds double, consensus_seconds double")
+
+
+def q_iteration_parity(spark: SparkSession, d: str) -> DataFrame:
+    """Whether masked fits take as many iterations as centralised ones, and all converge."""
+    got = {(c, f, k): r for c, f, k, _, r in fits_to_the_end(spark, d, SLOTS, K, "diag", 1e-3, 300)}
+    rows = [(c, f, got[c, f, "masked"].iterations == r.iterations, r.converged and got[c, f, "masked"].converged) for (c, f, k), r in got.items() if k == "central"]
+    return spark.createDataFrame(rows, "carrier string, family string, equal boolean, converged boolean")
+
+
+SQL_ITERATION_PARITY = "select carrier, family, true as equal, true as converged from (values ('planted'), ('events')) c(carrier), (values ('kmeans'), ('fuzzy'), ('gmm')) f(family)"
 
 
 def q_payload_cost(spark: SparkSession, d: str) -> DataFrame:
@@ -538,6 +736,18 @@ def q_upload_cost(spark: SparkSession, d: str) -> DataFrame:
 SQL_UPLOAD = "select r::double as mbit_s, (6 * 49 * 4 * 5 * 27 * 7)::bigint as bytes, round(6 * 49 * 4 * 5 * 27 * 7 / 1024.0::double, 2) as kib, round(6 * 49 * 4 * 5 * 27 * 7 * 8 / (r::double * 1e6), 4) as seconds from (values (11.03), (55.18)) v(r)"
 
 
+def q_upload_measured(spark: SparkSession, d: str) -> DataFrame:
+    """What the busiest party of the main graph sends in a masked k-means fit to convergence, from its measured
+    rounds and iterations, and the seconds that takes."""
+    s = setting()
+    _, r = cluster.fit_kmeans(planted(spark, d, 48), PATTERNS, s, tol=1e-3, iterations=300)
+    degree = int((s.plain > 0).sum(1).max()) - 1
+    rounds = sum(r.rounds_per_iteration)
+    size = cost.message_bytes(r.payload_floats) * degree * rounds
+    rows = [(m, r.payload_floats, degree, r.iterations, rounds, size, cost.link_seconds(size, m)) for m in (11.03, 55.18)]
+    return spark.createDataFrame(rows, "mbit_s double, floats long, degree long, iterations long, rounds long, bytes long, seconds double")
+
+
 def q_multiplications(spark: SparkSession, d: str) -> DataFrame:
     rows = []
     for mode in ("paper_formula", "per_component"):
@@ -551,17 +761,21 @@ from (values ('paper_formula', 1, 1), ('per_component', 48, 294)) m(mode, d, f),
 
 
 def q_audit(spark: SparkSession, d: str) -> DataFrame:
-    """Rounding attack at the defaults and with scaled masks; rebuilding over an exposed and a safe edge."""
+    """Rounding attack at the defaults and with masks scaled to the counts; rebuilding over an exposed and a safe
+    edge; draws of others guessed with one's own secret, and draws that come back in later exchanges."""
     rng = np.random.default_rng(0)
-    counts, s = rng.integers(0, 60, (10, 6)).astype(float), setting()
-    bad, x = consensus.Setting(graphs.named("unsafe"), 10, secret=SECRET), rng.normal(size=(10, 6))
+    counts, x = rng.integers(0, 60, (10, 6)).astype(float), rng.normal(size=(10, 6))
+    s, wide = setting(), setting(scale=60.0)
+    bad = consensus.Setting(graphs.named("unsafe"), 10, exposed="allow")
     rows = [
         ("rounded counts", privacy.count_rounding_attack(counts, s)),
-        ("rounded counts, scaled", privacy.count_rounding_attack(counts, s, 100.0)),
+        ("rounded counts, scaled", privacy.count_rounding_attack(counts, wide)),
         ("rebuild error, exposed edge", float(np.abs(privacy.rebuild(x, bad, 0, 1) - x[1]).max())),
         ("rebuild error, safe edge", float(np.abs(privacy.rebuild(x, s, 0, 5) - x[5]).max())),
         ("repeated draws, 1", privacy.repeated_draws(5.0, s, 1)),
         ("repeated draws, 50", privacy.repeated_draws(5.0, s, 50)),
+        ("guessed masks", privacy.guessed_masks(s, 0)),
+        ("shared draws", float(privacy.shared_draws(s, 50))),
     ]
     return spark.createDataFrame(rows, "audit string, value double")
 
@@ -586,21 +800,57 @@ def q_nation_parties(spark: SparkSession, d: str) -> DataFrame:
     users = table(spark, d, "customer").select(F.col("c_custkey").cast("long").alias("user_id"), F.col("c_nationkey").cast("int").alias("party"))
     slots = tables.readings(spark, d).withColumn("comp", tables.slot_of("ts", SLOTS)).join(users, "user_id")
     state = slots.groupBy("party", "comp").agg(F.sum("value").alias("x"))
-    s = consensus.Setting(graphs.circulant(25, (1, 5)), 25, secret=SECRET, stop="fixed", rounds=120)
+    s = consensus.Setting(graphs.circulant(25, (1, 5)), 25, stop="fixed", rounds=120)
     return consensus.totals(state, s).where("party = 0").select(F.col("comp").cast("long").alias("comp"), F.round("total", 3).alias("total"))
 
 
 SQL_NATION_PARTIES = "select ((hour(ts) * 60 + minute(ts)) // 120)::bigint as comp, round(sum(value), 3) as total from events join customer on c_custkey = user_id group by all"
 
 
+NATION_MU = cluster.public_peaks(K, SLOTS)[0]
+
+
+def q_nation_kmeans(spark: SparkSession, d: str) -> DataFrame:
+    """Masked k-means of the readings' profiles with 25 nations as parties."""
+    nation = table(spark, d, "customer").select(F.col("c_custkey").cast("long").alias("id"), F.col("c_nationkey").cast("int").alias("party"))
+    df = peak(spark, d).drop("party").join(nation, "id").select("party", "id", "y")
+    s = consensus.Setting(graphs.circulant(25, (1, 5)), 25, eps=1e-10)
+    return _rows(spark, cluster.fit_kmeans(df, NATION_MU, s, iterations=T, stop="fixed")[0])
+
+
+SQL_NATION_KMEANS = f"""with {duck.peak_profiles(SLOTS).replace(chr(10) + "p as (", chr(10) + "p1 as (")},\np as (select p1.* from p1 join customer on c_custkey = id),
+{duck.kmeans(NATION_MU, T)}\nselect k::bigint as k, slot::bigint as slot, round(mu, 4) as mu from m{T}"""
+
+
+TEXT_MU = np.array([[5.0, 3.0, 0.0, 1.0], [7.5, 6.0, 0.0, 2.0], [9.5, 8.0, 0.0, 4.0]])
+
+
 def q_text_features(spark: SparkSession, d: str) -> DataFrame:
-    """Small profiles of documents by source, and the purity of nearest-centroid groups against quality."""
-    docs = table(spark, d, "documents")
-    words = F.size(F.split(F.trim("text"), r"\s+"))
-    feats = docs.select(F.col("doc_id").alias("id"), F.array(F.log1p(F.length("text").cast("double")), F.log1p(words.cast("double")), F.length(F.regexp_replace("text", "[^0-9]", "")) / F.greatest(F.length("text"), F.lit(1)), F.log1p(F.size(F.split("text", "\n")).cast("double"))).alias("y"))
-    assigned = cluster.assign_hard(feats, np.array([[5.0, 3.0, 0.0, 1.0], [7.5, 6.0, 0.0, 2.0], [9.5, 8.0, 0.0, 4.0]]))
+    """Documents as small profiles (length, words, share of digits, lines), their sources as parties of a ring:
+    masked k-means, cluster sizes, and the purity of the clusters against labelled quality."""
+    text, sources = F.coalesce("text", F.lit("")), table(spark, d, "documents").select("source").distinct()
+    names = sorted(r[0] or "" for r in sources.collect())  # a party each
+    party = F.coalesce(F.array_position(F.array(*map(F.lit, names)), F.coalesce("source", F.lit(""))) - 1, F.lit(0)).cast("int")
+
+    def marks(pattern: str):
+        return F.length(text) - F.length(F.regexp_replace(text, pattern, ""))
+
+    y = F.array(F.log1p(F.length(text).cast("double")), F.log1p((marks(" ") + 1).cast("double")), marks("[0-9]") / F.greatest(F.length(text), F.lit(1)), F.log1p((marks("\n") + 1).cast("double")))
+    df = settle(table(spark, d, "documents").select(party.alias("party"), F.col("doc_id").alias("id"), y.alias("y")), "features")
+    s = consensus.Setting(graphs.ring(len(names)), len(names), eps=1e-10)
+    model, _ = cluster.fit_kmeans(df, TEXT_MU, s, iterations=T, stop="fixed", settled=True)
+    assigned = cluster.assign_hard(df, model.mu)
     labelled = assigned.join(table(spark, d, "labels").select(F.col("doc_id").alias("id"), "quality"), "id")
-    return metrics.purity(labelled, "quality").select(F.round("purity", 6).alias("purity"))
+    return metrics.sizes(assigned).crossJoin(F.broadcast(metrics.purity(labelled, "quality"))).select(F.col("k").cast("long").alias("k"), "n", F.round("purity", 6).alias("purity"))
+
+
+SQL_TEXT_FEATURES = f"""with t as (select doc_id as id, coalesce(text, '') as x from documents),
+f as (select id, [ln(1 + length(x)::double), ln(2 + length(x) - length(replace(x, ' ', ''))::double), (length(x) - length(regexp_replace(x, '[0-9]', '', 'g')))::double / greatest(length(x), 1), ln(2 + length(x) - length(replace(x, chr(10), ''))::double)] as v from t),
+p as materialized (select 0 as party, id, s as slot, v[s + 1] as y from f, range(4) r(s)),
+{duck.kmeans(TEXT_MU, T)},
+lab as (select a.k, l.quality, count(*) as n from a{T} a join labels l on l.doc_id = a.id group by all),
+pur as (select sum(top)::double / sum(n) as purity from (select max(n) as top, sum(n) as n from lab group by k))
+select k::bigint as k, count(*) as n, round(any_value(purity), 6) as purity from a{T}, pur group by k"""
 
 
 def build() -> dict[str, tuple]:
@@ -622,12 +872,14 @@ def build() -> dict[str, tuple]:
     q["profile_month_part"] = (q_part_month, SQL_PART_MONTH)
     q["profile_weekday_customer"] = (q_weekday_customer, SQL_WEEKDAY_CUSTOMER)
     q["mixing_matrix"] = (q_mixing_matrix, f"with {NATION_MIX} select src::bigint as src, dst::bigint as dst, round(w, 9) as w from mix")
-    q["boosted_matrix"] = (q_boosted_matrix, f"with {NATION_MIX} select src::bigint as src, dst::bigint as dst, round({1 + NATION_BOOST!r} * w - case when src = dst then {NATION_BOOST!r} else 0 end, 9) as w from mix")
+    q["boosted_matrix"] = (q_boosted_matrix, SQL_BOOSTED)
     q["degree_stats"] = (q_degree_stats, SQL_DEGREE_STATS)
     q["exposed_pairs"] = (q_exposed_pairs, SQL_EXPOSED)
     q["connected_components"] = (q_components, SQL_COMPONENTS)
     q["spectrum_fixture"] = (q_spectrum, SQL_SPECTRUM)
+    q["topology_degrees"] = (q_topology_degrees, SQL_TOPOLOGY_DEGREES)
     q["topology_sweep"] = (q_topology_sweep, None)
+    q["topology_trend"] = (q_topology_trend, SQL_TOPOLOGY_TREND)
     q["mask_values"] = (q_mask_values, f"select party, comp, t, round(delta, 9) as delta from ({_DRAWS})")
     q["mask_telescopes"] = (q_mask_telescopes, SQL_TELESCOPES)
     q["mask_gap"] = (q_mask_gap, SQL_MASK_GAP)
@@ -636,9 +888,11 @@ def build() -> dict[str, tuple]:
         q[f"consensus_{kind}_trace"] = (partial(q_trace, kind), sql_trace(kind))
     for engine in ("array", "edge", "closed", "driver"):
         q[f"consensus_engine_{engine}"] = (lambda s, d, e=engine: q_total("masked_boosted", s, d, e, 60), SQL_TOTAL)
-    q["consensus_error_race"] = (q_error_race, None)
-    q["rounds_to_eps"] = (q_rounds_to_eps, None)
-    q["shared_by_first_party"] = (q_shared_by_first, None)
+    q["consensus_two_term_trace"] = (partial(q_trace, "masked_boosted", form="two_term"), sql_trace("masked_boosted"))
+    q["consensus_error_race"] = (q_error_race, SQL_ERROR_RACE)
+    q["rounds_to_eps"] = (q_rounds_to_eps, SQL_ROUNDS_TO_EPS)
+    q["shared_by_first_party"] = (q_shared_by_first, SQL_SHARED_BY_FIRST)
+    q["party_disagreement"] = (q_disagreement, SQL_DISAGREEMENT)
     q["messages_sent"] = (q_messages, SQL_MESSAGES)
     q["direct_sum"] = (q_direct_sum, SQL_DIRECT)
     q["secure_shares_total"] = (q_secure_shares, SQL_SHARES)
@@ -650,19 +904,25 @@ def build() -> dict[str, tuple]:
         q[f"disclose_{what}"] = (partial(q_disclose, what), sql)
     for how in ("exact", "squared"):
         q[f"silhouette_{how}"] = (partial(q_silhouette, how), sql_silhouette(how))
+    q["silhouette_by_k"] = (q_silhouette_by_k, _silhouette_by_k_sql())
     q["sse_archetypes"] = (q_sse, SQL_SSE)
     q["sse_by_k"] = (q_sse_by_k, None)
     q["missed_patterns"] = (q_missed_patterns, SQL_MISSED)
+    for kind in ("central", "masked"):
+        q[f"union_patterns_{kind}"] = (partial(q_union_patterns, kind == "masked"), SQL_UNION_PATTERNS)
     q["cluster_sizes"] = (q_cluster_sizes, SQL_SIZES)
-    q["centroid_gap"] = (q_centroid_gap, "select 0.0::double as gap")
+    q["centroid_gap"] = (q_centroid_gap, SQL_CENTROID_GAP)
     q["assignment_parity"] = (q_parity, SQL_PARITY)
     q["family_objectives"] = (q_objectives, SQL_OBJECTIVES)
     q["family_times"] = (q_times, None)
+    q["iteration_parity"] = (q_iteration_parity, SQL_ITERATION_PARITY)
     q["payload_cost"] = (q_payload_cost, SQL_PAYLOAD)
     q["upload_cost"] = (q_upload_cost, SQL_UPLOAD)
+    q["upload_measured"] = (q_upload_measured, None)
     q["multiplication_cost"] = (q_multiplications, SQL_MULTIPLICATIONS)
     q["privacy_audit"] = (q_audit, None)
     q["embedding_parties"] = (q_embedding_parties, SQL_EMBEDDING_PARTIES)
     q["nation_parties"] = (q_nation_parties, SQL_NATION_PARTIES)
-    q["text_features"] = (q_text_features, None)
+    q["nation_kmeans"] = (q_nation_kmeans, SQL_NATION_KMEANS)
+    q["text_features"] = (q_text_features, SQL_TEXT_FEATURES)
     return q

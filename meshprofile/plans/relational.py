@@ -8,6 +8,8 @@ from pyspark.sql.window import Window
 
 from meshprofile.functions import udfs
 from meshprofile.operators import relational as rel
+from meshprofile.operators import topology
+from meshprofile.plans import duck
 from meshprofile.sources import graphs, io
 from meshprofile.sources.tables import slot_of, table
 
@@ -65,6 +67,15 @@ def day_user(s, d):
 for kind in ("csv", "json", "orc"):
     Q[f"roundtrip_{kind}"] = ((lambda s, d, k=kind: io.round_trip(day_user(s, d), k)), DAY_USER)
 Q["sink_partitioned"] = (lambda s, d: io.partitioned(day_user(s, d).withColumn("party", F.pmod("user_id", F.lit(10))), "party"), "select user_id % 10 as party, user_id, count(*) as n, round(sum(value), 4) as v from events group by user_id")
+
+
+@query("sink_replaced", "select user_id % 10 as party, user_id, case when user_id % 10 < 5 then count(*) else -1 end as n from events group by user_id")
+def sink_replaced(s, d):
+    """Dynamic partition overwrite: parties 0..4 anew over a table in which all parties are stale."""
+    own = day_user(s, d).select(F.pmod("user_id", F.lit(10)).alias("party"), "user_id", "n")
+    return io.replaced(own.where("party < 5"), "party", own.withColumn("n", F.lit(-1).cast("long")))
+
+
 Q["sink_bucketed"] = (lambda s, d: io.bucketed(day_user(s, d), "user_id", 8), DAY_USER)
 
 
@@ -202,11 +213,17 @@ def join_asof(s, d):
     return rel.as_of_join(left, right, "user_id", "ts", "value").select("event_id", F.round("value", 4).alias("v"))
 
 
-@query("join_self_neighbours", "select a.n_nationkey as a, count(*) as n from nation a join nation b on a.n_regionkey = b.n_regionkey and a.n_nationkey <> b.n_nationkey group by all")
+GRAPH = sorted(set(graphs.named("unsafe")) | {(0, 5), (3, 7)})
+GRAPH_SQL = "e as (select * from (values " + ", ".join(f"({i}, {j})" for a, b in GRAPH for i, j in ((a, b), (b, a))) + ") v(src, dst))"
+
+
+@query("join_self_neighbours", f"with {GRAPH_SQL}, n as (select src, dst from e union select src, src from e) select e.src::bigint as a, e.dst::bigint as b, (select count(*) from n where n.src = e.dst and n.dst not in (select dst from n m where m.src = e.src)) as unheard from e")
 def join_self(s, d):
-    n = table(s, d, "nation").select("n_nationkey", "n_regionkey")
-    near = n.groupBy("n_regionkey").agg(F.collect_set("n_nationkey").alias("all"))
-    return n.join(F.broadcast(near), "n_regionkey").select(F.col("n_nationkey").alias("a"), F.size(F.array_except("all", F.array("n_nationkey"))).cast("long").alias("n"))
+    """For both ends of every edge, how many of the other's closed neighbours one does not hear."""
+    e = graphs.edges_df(s, GRAPH)
+    near = e.groupBy("src").agg(F.array_union(F.collect_set("dst"), F.array(F.first("src"))).alias("near"))
+    pairs = e.join(near, "src").join(near.select(F.col("src").alias("dst"), F.col("near").alias("near2")), "dst")
+    return pairs.select(F.col("src").cast("long").alias("a"), F.col("dst").cast("long").alias("b"), F.size(F.array_except("near2", "near")).cast("long").alias("unheard"))
 
 
 @query("join_lateral", "select user_id, slot, round(v, 4) as v from (select *, row_number() over (partition by user_id order by v desc, slot) as rn from (select user_id, (hour(ts) * 2 + minute(ts) // 30)::bigint as slot, sum(value) as v from events group by all)) where rn <= 3")
@@ -240,16 +257,35 @@ def agg_filter(s, d):
     return events(s, d).groupBy("user_id").agg(F.count_if(F.col("event_type") == "click").alias("clicks"), F.count_if(F.col("value") > 50).alias("large"))
 
 
-@query("agg_approx", "select user_id % 10 as party, true as users_near, true as median_near from events group by all")
+@query("agg_approx", "select user_id % 10 as party, count(distinct user_id) as users, round(median(value), 4) as mid, true as users_near, true as median_near from events group by all")
 def agg_approx(s, d):
+    """Exact figures, and whether the approximate ones are within their error."""
     e = events(s, d).withColumn("party", F.pmod("user_id", F.lit(10)))
     got = e.groupBy("party").agg(F.approx_count_distinct("user_id", 0.02).alias("a"), F.countDistinct("user_id").alias("n"), F.percentile_approx("value", 0.5, 1000).alias("p"), F.median("value").alias("m"))
-    return got.select("party", (F.abs(F.col("a") - F.col("n")) <= 0.1 * F.col("n")).alias("users_near"), (F.abs(F.col("p") - F.col("m")) <= 5).alias("median_near"))
+    return got.select("party", F.col("n").alias("users"), F.round("m", 4).alias("mid"), (F.abs(F.col("a") - F.col("n")) <= 0.1 * F.col("n")).alias("users_near"), (F.abs(F.col("p") - F.col("m")) <= 5).alias("median_near"))
 
 
-@query("agg_stats", "select event_type, round(avg(value), 4) as mean, round(stddev_samp(value), 4) as sd, round(var_pop(value), 3) as var, round(corr(value, user_id), 6) as r, round(covar_pop(value, user_id), 3) as cov, round(median(value), 4) as med, arg_max(event_id, value) as top, arg_min(event_id, value) as low from events group by all")
+@query(
+    "agg_stats",
+    """select event_type, round(avg(value), 4) as mean, round(stddev_samp(value), 4) as sd, round(var_pop(value), 3) as var, round(corr(value, user_id), 6) as r, round(covar_pop(value, user_id), 3) as cov, round(median(value), 4) as med, arg_max(event_id, value) as top, arg_min(event_id, value) as low,
+round((avg(value ^ 3) - 3 * avg(value) * avg(value ^ 2) + 2 * avg(value) ^ 3) / stddev_pop(value) ^ 3, 4) as skew, round((avg(value ^ 4) - 4 * avg(value) * avg(value ^ 3) + 6 * avg(value) ^ 2 * avg(value ^ 2) - 3 * avg(value) ^ 4) / var_pop(value) ^ 2 - 3, 3) as kurt,
+(select h from (select event_type as t, hour(ts)::bigint as h, count(*) as n from events group by all) c where c.t = e.event_type order by n desc, h limit 1) as busiest from events e group by event_type""",
+)
 def agg_stats(s, d):
-    return events(s, d).groupBy("event_type").agg(F.round(F.avg("value"), 4).alias("mean"), F.round(F.stddev_samp("value"), 4).alias("sd"), F.round(F.var_pop("value"), 3).alias("var"), F.round(F.corr("value", "user_id"), 6).alias("r"), F.round(F.covar_pop("value", "user_id"), 3).alias("cov"), F.round(F.median("value"), 4).alias("med"), F.max_by("event_id", "value").alias("top"), F.min_by("event_id", "value").alias("low"))
+    e = events(s, d).withColumn("h", F.hour("ts").cast("long"))
+    return e.groupBy("event_type").agg(
+        F.round(F.avg("value"), 4).alias("mean"),
+        F.round(F.stddev_samp("value"), 4).alias("sd"),
+        F.round(F.var_pop("value"), 3).alias("var"),
+        F.round(F.corr("value", "user_id"), 6).alias("r"),
+        F.round(F.covar_pop("value", "user_id"), 3).alias("cov"),
+        F.round(F.median("value"), 4).alias("med"),
+        F.max_by("event_id", "value").alias("top"),
+        F.min_by("event_id", "value").alias("low"),
+        F.round(F.skewness("value"), 4).alias("skew"),
+        F.round(F.kurtosis("value"), 3).alias("kurt"),
+        F.mode("h", True).alias("busiest"),
+    )
 
 
 ROLL = "from (select r_name, n_name, c_acctbal from customer join nation on n_nationkey = c_nationkey join region on r_regionkey = n_regionkey)"
@@ -414,33 +450,71 @@ def fn_string(s, d):
     return table(s, d, "customer").select("c_custkey", F.upper("c_name").alias("up"), F.substring("c_name", 1, 4).alias("head"), F.concat_ws("-", "c_name", "c_mktsegment").alias("both"), F.coalesce(F.split_part("c_name", F.lit("#"), F.lit(2)), F.lit("")).alias("tail"), F.regexp_extract("c_name", "([0-9]+)", 1).alias("digits"), F.regexp_replace("c_name", "0+", "").alias("bare"), F.lpad(F.col("c_custkey").cast("string"), 8, "0").alias("padded"), F.sha2("c_name", 256).alias("hash"), F.length("c_name").cast("long").alias("len"))
 
 
-@query("fn_date", "select event_id, hour(ts) as h, minute(ts) as m, dayofweek(ts) + 1 as dow, strftime(date_trunc('day', ts), '%Y-%m-%d') as day, strftime(ts::date + 7, '%Y-%m-%d') as later, date_diff('day', date '2024-01-01', ts::date) as days, floor(epoch(ts))::bigint as sec from events")
+@query("fn_date", "select event_id, hour(ts) as h, minute(ts) as m, dayofweek(ts) + 1 as dow, strftime(date_trunc('day', ts), '%Y-%m-%d') as day, strftime(ts::date + 7, '%Y-%m-%d') as later, date_diff('day', date '2024-01-01', ts::date) as days, floor(epoch(ts))::bigint as sec, floor(epoch(ts + interval 1 month + interval 2 hour))::bigint as due from events")
 def fn_date(s, d):
     ts = F.col("ts")
-    return events(s, d).select("event_id", F.hour(ts).cast("long").alias("h"), F.minute(ts).cast("long").alias("m"), F.dayofweek(ts).cast("long").alias("dow"), F.date_format(F.date_trunc("day", ts.cast("timestamp")), "yyyy-MM-dd").alias("day"), F.date_format(F.date_add(F.to_date(ts), 7), "yyyy-MM-dd").alias("later"), F.datediff(F.to_date(ts), F.lit("2024-01-01")).cast("long").alias("days"), F.unix_timestamp(ts.cast("timestamp")).alias("sec"))
+    due = ts.cast("timestamp") + F.make_interval(months=F.lit(1), hours=F.lit(2))
+    return events(s, d).select("event_id", F.hour(ts).cast("long").alias("h"), F.minute(ts).cast("long").alias("m"), F.dayofweek(ts).cast("long").alias("dow"), F.date_format(F.date_trunc("day", ts.cast("timestamp")), "yyyy-MM-dd").alias("day"), F.date_format(F.date_add(F.to_date(ts), 7), "yyyy-MM-dd").alias("later"), F.datediff(F.to_date(ts), F.lit("2024-01-01")).cast("long").alias("days"), F.unix_timestamp(ts.cast("timestamp")).alias("sec"), F.unix_timestamp(due).alias("due"))
 
 
-@query("fn_math", "select event_id, round(pow(value, 2), 2) as p, round(ln(value + 1), 6) as l, round(sqrt(value), 6) as q, floor(value)::bigint as f, round(greatest(value, 50), 4) as g, round(least(value, 50), 4) as s, event_id % 7 as r from events")
+@query("fn_math", "select event_id, round(pow(value, 2), 2) as p, round(ln(value + 1), 6) as l, round(exp(-value / 100), 6) as e, abs(event_id - 500) as b, round(sqrt(value), 6) as q, floor(value)::bigint as f, round(greatest(value, 50), 4) as g, round(least(value, 50), 4) as s, event_id % 7 as r, upper(to_hex(event_id)) as x, (case when value < 0 then 0 when value >= 200 then 11 else floor(value / 20) + 1 end)::bigint as bucket from events")
 def fn_math(s, d):
     v = F.col("value")
-    return events(s, d).select("event_id", F.round(F.pow(v, F.lit(2)), 2).alias("p"), F.round(F.log(v + 1), 6).alias("l"), F.round(F.sqrt(v), 6).alias("q"), F.floor(v).alias("f"), F.round(F.greatest(v, F.lit(50.0)), 4).alias("g"), F.round(F.least(v, F.lit(50.0)), 4).alias("s"), F.pmod("event_id", F.lit(7)).alias("r"))
+    return events(s, d).select("event_id", F.round(F.pow(v, F.lit(2)), 2).alias("p"), F.round(F.log(v + 1), 6).alias("l"), F.round(F.exp(-v / 100), 6).alias("e"), F.abs(F.col("event_id") - 500).alias("b"), F.round(F.sqrt(v), 6).alias("q"), F.floor(v).alias("f"), F.round(F.greatest(v, F.lit(50.0)), 4).alias("g"), F.round(F.least(v, F.lit(50.0)), 4).alias("s"), F.pmod("event_id", F.lit(7)).alias("r"), F.conv(F.col("event_id").cast("string"), 10, 16).alias("x"), F.width_bucket(v, F.lit(0.0), F.lit(200.0), F.lit(10).cast("long")).alias("bucket"))
 
 
-@query("fn_array", "select vec_id, round(list_sum(list_transform(embedding, lambda x: x::double * x::double)), 4) as sq, round(list_max(embedding)::double, 5) as top, (list_position(embedding, list_max(embedding)) - 1)::bigint as at, len(list_filter(embedding, lambda x: x > 0))::bigint as pos from embeddings")
+@query(
+    "fn_array",
+    """select vec_id, round(list_sum(list_transform(embedding, lambda x: x::double * x::double)), 4) as sq, round(list_max(embedding)::double, 5) as top, (list_position(embedding, list_max(embedding)) - 1)::bigint as at, len(list_filter(embedding, lambda x: x > 0))::bigint as pos,
+round(list_sum(list_transform(range(1, 64), lambda i: (embedding[i]::double - embedding[i + 1]::double) ^ 2)), 4) as steps, len(list_filter(embedding, lambda x: x > 0.4)) > 0 as peak, round(list_sum(embedding[1:8])::double, 4) as head, round(list_sum([x::double for x in list_sort(embedding)][1:3]), 4) as least,
+round(list_sum(embedding[1:8])::double + list_sum(embedding[57:64])::double, 4) as ends, round(list_sum(list_transform(range(1, 65), lambda i: (i - 1) * embedding[i]::double)), 3) as ramp, (64 - len(list_distinct(list_filter(embedding, lambda x: x > 0))))::bigint as rest from embeddings""",
+)
 def fn_array(s, d):
-    e = table(s, d, "embeddings")
-    return e.select("vec_id", F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")), 4).alias("sq"), F.round(F.array_max("embedding").cast("double"), 5).alias("top"), (F.array_position("embedding", F.array_max("embedding")) - 1).alias("at"), F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("pos"))
-
-
-@query("fn_map", "select user_id, count(*) as used, round(max(v), 4) as top from (select user_id, hour(ts) as h, sum(value) as v from events group by all) where v > 100 group by user_id")
+    e, y = table(s, d, "embeddings").withColumn("y", F.transform("embedding", lambda x: x.cast("double"))), F.col("y")
+    total = lambda a: F.aggregate(a, F.lit(0.0), lambda p, q: p + q)
+    place = F.sequence(F.lit(0), F.size(y) - 1)
+    return e.select(
+        "vec_id",
+        F.round(F.aggregate(y, F.lit(0.0), lambda a, x: a + x * x), 4).alias("sq"),
+        F.round(F.array_max("embedding").cast("double"), 5).alias("top"),
+        (F.array_position("embedding", F.array_max("embedding")) - 1).alias("at"),
+        F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("pos"),
+        F.round(total(F.zip_with(F.slice(y, 1, 63), F.slice(y, 2, 63), lambda a, b: (a - b) * (a - b))), 4).alias("steps"),
+        F.exists("embedding", lambda x: x > 0.4).alias("peak"),
+        F.round(total(F.slice(y, 1, 8)), 4).alias("head"),
+        F.round(total(F.slice(F.array_sort(y), 1, 3)), 4).alias("least"),
+        F.round(total(F.flatten(F.array(F.slice(y, 1, 8), F.slice(y, 57, 8)))), 4).alias("ends"),
+        F.round(total(F.transform(F.arrays_zip(place.alias("i"), y.alias("v")), lambda c: c["i"] * c["v"])), 3).alias("ramp"),
+        (F.lit(64) - F.size(F.array_except(y, F.filter(y, lambda x: x <= 0)))).cast("long").alias("rest"),
+    )
+
+
+@query(
+    "fn_map",
+    """with h as (select user_id, hour(ts) as h, round(sum(value), 4) as v, count(*) as n from events group by all)
+select user_id, count(*) as used, round(max(v), 4) as top, round(sum(v / n), 3) as means, round(coalesce(max(v) filter (h = 12), 0), 4) as noon, round(sum(2 * v), 3) as twice from h where v > 100 group by user_id""",
+)
 def fn_map(s, d):
-    m = hours(s, d).groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("h", "v"))).alias("m")).withColumn("m", F.map_filter("m", lambda k, v: v > 100))
-    return m.where(F.size("m") > 0).select("user_id", F.size(F.map_keys("m")).cast("long").alias("used"), F.round(F.array_max(F.map_values("m")), 4).alias("top"))
-
-
-@query("fn_json", "select event_id, json_extract(props, '$.k')::bigint as k, json_extract_string(props, '$.k') as t from events")
+    per = events(s, d).groupBy("user_id", F.hour("ts").cast("long").alias("h")).agg(F.round(F.sum("value"), 4).alias("v"), F.count(F.lit(1)).alias("n"))
+    m = per.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("h", "v"))).alias("m"), F.map_from_entries(F.collect_list(F.struct("h", "n"))).alias("c"))
+    m = m.withColumn("m", F.map_filter("m", lambda k, v: v > 100)).where(F.size("m") > 0)
+    mean = F.map_zip_with("m", "c", lambda k, v, n: v / n)
+    total = lambda x: F.aggregate(F.map_values(x), F.lit(0.0), lambda a, v: a + F.coalesce(v, F.lit(0.0)))
+    return m.select(
+        "user_id",
+        F.size(F.map_keys("m")).cast("long").alias("used"),
+        F.round(F.array_max(F.map_values("m")), 4).alias("top"),
+        F.round(total(mean), 3).alias("means"),
+        F.round(F.coalesce(F.element_at("m", F.lit(12).cast("long")), F.lit(0.0)), 4).alias("noon"),
+        F.round(total(F.transform_values("m", lambda k, v: 2 * v)), 3).alias("twice"),
+    )
+
+
+@query("fn_json", "select event_id, json_extract(props, '$.k')::bigint as k, json_extract_string(props, '$.k') as t, json_extract_string(props, '$.k') as u, '{\"id\":' || event_id || ',\"kind\":\"' || event_type || '\"}' as doc from events")
 def fn_json(s, d):
-    return events(s, d).select("event_id", F.from_json("props", "k long")["k"].alias("k"), F.get_json_object("props", "$.k").alias("t"))
+    e = events(s, d)
+    e = e.select("event_id", F.from_json("props", "k long")["k"].alias("k"), F.get_json_object("props", "$.k").alias("t"), F.json_tuple("props", "k").alias("u"), "event_type")
+    return e.select("event_id", "k", "t", "u", F.to_json(F.struct(F.col("event_id").alias("id"), F.col("event_type").alias("kind"))).alias("doc"))
 
 
 @query("fn_conditional", "select event_id, coalesce(nullif(event_type, 'click'), 'c') as kind, case when value = 0 then null else round(100 / value, 4) end as inv from events")
@@ -484,9 +558,19 @@ def sample_stratified(s, d):
     return events(s, d).sampleBy("event_type", {"click": 0.1, "purchase": 0.5}, seed=1).select("event_id", "event_type")
 
 
+def _udtf_sql(rounds: int = 5) -> str:
+    w = topology.boosted_matrix(topology.mixing_matrix(graphs.main_graph()))
+    start = f"{duck.peak_profiles(12)},\nstart as (select party, slot as comp, y as x from p where id in (select min(id) from p group by party))"
+    states = " union all ".join(f"select {t}::bigint as t, party::bigint as party, comp::bigint as comp, round(x, 6) as x from x{t}" for t in range(rounds + 1))
+    return f"with {start},\n{duck.trace('start', w, rounds, 0.0, 0.0)}\n{states}"
+
+
 NORMS = "select vec_id, round(sqrt(list_sum(list_transform(embedding, lambda x: x::double * x::double))), 4) as norm from embeddings"
 Q["udf_arrow"] = (lambda s, d: table(s, d, "embeddings").select("vec_id", F.round(udfs.norm_arrow()("embedding"), 4).alias("norm")), NORMS)
 Q["udf_pandas"] = (lambda s, d: table(s, d, "embeddings").select("vec_id", F.round(udfs.norm_pandas()("embedding"), 4).alias("norm")), NORMS)
-Q["udaf_vector"] = (lambda s, d: table(s, d, "embeddings").groupBy("label").agg(F.round(udfs.vector_total()("embedding"), 3).alias("total")), "select label, round(sum(list_sum(list_transform(embedding, lambda x: x::double))), 3) as total from embeddings group by label")
-Q["udtf_rounds"] = (udfs.rounds_by_udtf, None)
+Q["udaf_vector"] = (
+    lambda s, d: udfs.vector_totals(table(s, d, "embeddings"), "label", "embedding").select("label", F.posexplode("total").alias("i", "v")).select("label", F.col("i").cast("long").alias("i"), F.round("v", 3).alias("v")),
+    "select label, i::bigint as i, round(sum(v::double), 3) as v from (select label, unnest(embedding) as v, generate_subscripts(embedding, 1) - 1 as i from embeddings) group by all",
+)
+Q["udtf_rounds"] = (udfs.rounds_by_udtf, _udtf_sql())
 Q["udf_sql"] = (udfs.sql_functions, "select vec_id, round(list_sum(list_transform(embedding, lambda x: x::double * x::double)), 4) as q from embeddings")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -38,17 +39,56 @@ STATE = {"party": T.IntegerType(), "comp": T.IntegerType(), "x": T.DoubleType()}
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share, as the session names it; a local one only where it names none."""
+    """The folder all executors share, as the session names it; where it names none, a local one in a session of
+    one process, else an error."""
     sc = spark.sparkContext
     got = spark.conf.get("spark.checkpoint.dir", None) or sc._jsc.sc().getCheckpointDir().getOrElse(None)
     if not got:
+        if not re.fullmatch(r"local(\[[^]]*\])?", sc.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
         got = sc._jsc.sc().getCheckpointDir().get()
     return got.rstrip("/")
 
 
+#: Paths that this driver has written to the shared folder and not deleted.
+_written: list[str] = []
+
+
+def place(spark: SparkSession, name: str) -> str:
+    """A new path in the shared folder, remembered for clear()."""
+    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    _written.append(path)
+    return path
+
+
 def settle(df: DataFrame, name: str) -> DataFrame:
     """Write df to the shared folder and read it back: flat lineage that survives lost executors."""
-    path = f"{shared_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    path = place(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._settled_at = path
+    return out
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def discard(df: DataFrame) -> None:
+    """Delete what settle wrote for df; nothing may read it afterwards."""
+    path = getattr(df, "_settled_at", None)
+    if path in _written:
+        _written.remove(path)
+        _delete(df.sparkSession, path)
+
+
+def clear(spark: SparkSession, since: int = 0) -> int:
+    """Delete all that this driver has written to the shared folder, from the `since`-th path on; for when
+    no result reads it any more. Gives the number of paths."""
+    old = _written[since:]
+    del _written[since:]
+    for path in old:
+        _delete(spark, path)
+    return len(old)

@@ -5,14 +5,15 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from meshprofile.session import shared_folder
+from meshprofile import session
 
 ALLOWED = {"outer", "t", "src", "dst", "comp", "x_plus"}
 
 
 def place(df: DataFrame, name: str) -> str:
-    return f"{shared_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    return session.place(df.sparkSession, name)
 
 
 def round_trip(df: DataFrame, kind: str) -> DataFrame:
@@ -32,6 +33,15 @@ def partitioned(df: DataFrame, *keys: str) -> DataFrame:
     return back.select(*[back[f.name].cast(f.dataType).alias(f.name) for f in df.schema.fields])
 
 
+def replaced(df: DataFrame, key: str, stale: DataFrame) -> DataFrame:
+    """df by key folders over an older table: only the folders that df has rows for are replaced."""
+    path = place(df, "replaced")
+    stale.write.partitionBy(key).parquet(path)
+    df.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy(key).parquet(path)
+    back = df.sparkSession.read.parquet(path)
+    return back.select(*[F.col(f.name).cast(f.dataType).alias(f.name) for f in df.schema.fields])
+
+
 def bucketed(df: DataFrame, key: str, buckets: int) -> DataFrame:
     """A table bucketed and sorted by key: joins and groupings on it need no shuffle."""
     name = f"bucketed_{uuid.uuid4().hex}"

@@ -29,10 +29,14 @@ CENTRES = (4, 12, 18, 26, 36, 42)
 WIDTHS = (3, 4, 3, 6, 3, 4)
 
 
-def planted(spark: SparkSession, sf_dir: str, slots: int = 48, consumers: int | None = 1000) -> DataFrame:
+def planted(spark: SparkSession, sf_dir: str, slots: int = 48, consumers: int | None = None, copies: int = 1) -> DataFrame:
     """(party, id, archetype, y): six archetypes over ten parties; party 0 holds archetypes 1 and 2 only.
-    consumers=None takes every customer."""
-    c = table(spark, sf_dir, "customer").where(F.lit(True) if consumers is None else F.col("c_custkey") < consumers).select(F.col("c_custkey").cast("long").alias("id"))
+    consumers keeps the customers below that key (a fixture's size); copies gives each customer so many consumers."""
+    c = table(spark, sf_dir, "customer").select(F.col("c_custkey").cast("long").alias("id"))
+    if consumers is not None:
+        c = c.where(F.col("id") < consumers)
+    if copies > 1:
+        c = c.select((F.col("id") * copies + F.explode(F.sequence(F.lit(0), F.lit(copies - 1)))).alias("id"))
     c = c.withColumn("archetype", F.pmod("id", F.lit(6)).cast("int")).withColumn("home", F.pmod(F.floor(F.col("id") / 6), F.lit(10)).cast("int"))
     moved = (F.col("home") == 0) & ~F.col("archetype").isin(1, 2)
     c = c.withColumn("party", F.when(moved, 1 + F.pmod(F.floor(F.col("id") / 60), F.lit(9))).otherwise(F.col("home")).cast("int"))

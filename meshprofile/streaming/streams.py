@@ -1,11 +1,10 @@
 """Structured Streaming over readings: windows, late rows, replays, joins, state, periodic refits.
 
-Queries run the file stream with availableNow into a Parquet or memory sink and give back the result.
+Queries run the file stream with availableNow into Parquet and give back the result.
 timestamps without a zone are cast before any watermark."""
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable
 from datetime import timedelta
 
@@ -14,9 +13,12 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
+from pyspark.sql.types import LongType, StructField, StructType
 
-from meshprofile.operators import cluster
-from meshprofile.session import shared_folder
+from meshprofile.operators import cluster, consensus
+from meshprofile.plans import duck
+from meshprofile.session import place
+from meshprofile.sources.graphs import main_graph
 from meshprofile.sources.tables import slot_of, table
 
 SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
@@ -28,16 +30,36 @@ def stream(spark: SparkSession, sf_dir: str, delay: str = "1 hour") -> DataFrame
     return files.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
 
 
-def finish(df: DataFrame, mode: str = "complete") -> DataFrame:
-    """Run to the end of what is there and return the sink's rows."""
-    spark, name = df.sparkSession, f"sink_{uuid.uuid4().hex}"
-    place = f"{shared_folder(spark)}/{name}"
-    out = df.writeStream.outputMode(mode).option("checkpointLocation", f"{place}-log").trigger(availableNow=True)
-    if mode == "append":
-        out.format("parquet").option("path", place).start().awaitTermination()
-        return spark.read.schema(df.schema).parquet(place)
-    out.format("memory").queryName(name).start().awaitTermination()
-    return spark.table(name)
+def finish(df: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
+    """Run to the end of what is there and return the result's rows, from Parquet in the shared folder. Without keys
+    in append mode; with keys in update mode: each batch writes the rows it changed, and a key's last row counts,
+    so state older than the watermark is let go and no batch passes through the driver."""
+    spark = df.sparkSession
+    to = place(spark, "sink")
+    out = df.writeStream.option("checkpointLocation", place(spark, "sink-log")).trigger(availableNow=True)
+    if not keys:
+        out.outputMode("append").format("parquet").option("path", to).start().awaitTermination()
+        return spark.read.schema(df.schema).parquet(to)
+
+    def each(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{to}/batch={number}")
+
+    out.outputMode("update").foreachBatch(each).start().awaitTermination()
+    rows = spark.read.schema(StructType([*df.schema.fields, StructField("batch", LongType())])).parquet(to)
+    last = rows.groupBy(*keys).agg(F.max_by(F.struct(*df.columns), "batch").alias("r"))
+    return last.select("r.*")
+
+
+def finish_whole(df: DataFrame) -> DataFrame:
+    """The same in complete mode, for what update mode lacks (session windows): each batch writes the whole result."""
+    spark = df.sparkSession
+    to = place(spark, "sink")
+
+    def each(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(to)
+
+    df.writeStream.option("checkpointLocation", place(spark, "sink-log")).trigger(availableNow=True).outputMode("complete").foreachBatch(each).start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(to)
 
 
 def windowed(df: DataFrame, window) -> DataFrame:
@@ -46,22 +68,22 @@ def windowed(df: DataFrame, window) -> DataFrame:
 
 
 def tumbling(spark: SparkSession, d: str) -> DataFrame:
-    return finish(windowed(stream(spark, d), F.window("ts", "30 minutes")))
+    return finish(windowed(stream(spark, d), F.window("ts", "30 minutes")), ("start",))
 
 
 def sliding(spark: SparkSession, d: str) -> DataFrame:
-    return finish(windowed(stream(spark, d), F.window("ts", "1 hour", "30 minutes")))
+    return finish(windowed(stream(spark, d), F.window("ts", "1 hour", "30 minutes")), ("start",))
 
 
 def session(spark: SparkSession, d: str) -> DataFrame:
     got = stream(spark, d).groupBy("user_id", F.session_window("ts", "6 hours").alias("w")).agg(F.count(F.lit(1)).alias("n"))
-    return finish(got.select("user_id", F.unix_timestamp("w.start").alias("start"), "n"))
+    return finish_whole(got.select("user_id", F.unix_timestamp("w.start").alias("start"), "n"))
 
 
 def dedup(spark: SparkSession, d: str) -> DataFrame:
     """Rows replayed within the watermark appear once."""
     twice = stream(spark, d, "2 hours").withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).drop("copy")
-    return finish(twice.dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"), "append")
+    return finish(twice.dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"))
 
 
 def thirds(e: DataFrame) -> list[DataFrame]:
@@ -75,24 +97,26 @@ def thirds(e: DataFrame) -> list[DataFrame]:
 
 
 def late(spark: SparkSession, d: str) -> DataFrame:
-    """Files in time order, then one of rows long past the watermark, then a row that closes all windows:
-    append mode emits each window once and the late rows are dropped."""
-    base = f"{shared_folder(spark)}/late-{uuid.uuid4().hex}"
+    """Batches in time order, then one of rows long past the watermark, then a row that closes all windows:
+    append mode emits each window once and the late rows are dropped. Each batch, of as many files as it has,
+    is written and taken up by the query before the next."""
+    base, to, log = (place(spark, n) for n in ("late", "late-sink", "late-log"))
     e = table(spark, d, "events")
     low, high = e.agg(F.min("ts"), F.max("ts")).first()
     old = e.where(F.col("ts") < F.lit(low + (high - low) / 30 if low else None).cast("timestamp_ntz")).withColumn("event_id", F.col("event_id") + 1_000_000_000)
     last = e.limit(1).withColumn("ts", F.lit(high + timedelta(365) if low else None).cast("timestamp_ntz"))
     for i, part in enumerate([*thirds(e), old, last]):
-        part.coalesce(1).write.parquet(f"{base}/{i}")
-    files = spark.readStream.schema(SCHEMA).option("recursiveFileLookup", True).option("maxFilesPerTrigger", 1).parquet(base)
-    got = windowed(files.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour"), F.window("ts", "30 minutes"))
-    return finish(got, "append")
+        part.write.parquet(f"{base}/{i}")
+        files = spark.readStream.schema(SCHEMA).option("recursiveFileLookup", True).parquet(base)
+        got = windowed(files.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour"), F.window("ts", "30 minutes"))
+        got.writeStream.outputMode("append").option("checkpointLocation", log).trigger(availableNow=True).format("parquet").option("path", to).start().awaitTermination()
+    return spark.read.schema(got.schema).parquet(to)
 
 
 def with_parties(spark: SparkSession, d: str) -> DataFrame:
     """Stream joined with the static party directory."""
     c = table(spark, d, "customer").select(F.col("c_custkey").cast("long").alias("user_id"), F.col("c_nationkey").cast("long").alias("party"))
-    return finish(stream(spark, d).join(c, "user_id").groupBy("party").agg(F.count(F.lit(1)).alias("n")))
+    return finish(stream(spark, d).join(c, "user_id").groupBy("party").agg(F.count(F.lit(1)).alias("n")), ("party",))
 
 
 def conversions(spark: SparkSession, d: str) -> DataFrame:
@@ -100,7 +124,7 @@ def conversions(spark: SparkSession, d: str) -> DataFrame:
     e = stream(spark, d).select("event_id", "user_id", "ts", "event_type")
     c = e.where("event_type = 'click'").select(F.col("event_id").alias("click"), "user_id", F.col("ts").alias("t0"))
     p = e.where("event_type = 'purchase'").select(F.col("event_id").alias("buy"), F.col("user_id").alias("u"), F.col("ts").alias("t1"))
-    return finish(c.join(p, F.expr("user_id = u and t1 >= t0 and t1 <= t0 + interval 6 hours")).select("click", "buy"), "append")
+    return finish(c.join(p, F.expr("user_id = u and t1 >= t0 and t1 <= t0 + interval 6 hours")).select("click", "buy"))
 
 
 def slot_state(spark: SparkSession, d: str) -> DataFrame:
@@ -115,7 +139,7 @@ def slot_state(spark: SparkSession, d: str) -> DataFrame:
 
     slots = stream(spark, d).select("user_id", slot_of("ts").alias("slot"), "value")
     got = slots.groupBy("user_id").applyInPandasWithState(work, "user_id long, total double, used long", "y array<double>", "append", GroupStateTimeout.NoTimeout)
-    return finish(got, "append").select("user_id", F.round("total", 4).alias("total"), "used")
+    return finish(got).select("user_id", F.round("total", 4).alias("total"), "used")
 
 
 def slot_sums(df: DataFrame) -> DataFrame:
@@ -123,25 +147,30 @@ def slot_sums(df: DataFrame) -> DataFrame:
     return df.groupBy("user_id", slot_of("ts").alias("slot")).agg(F.sum("value").alias("v"))
 
 
-def refit(spark: SparkSession, d: str, k: int = 2, sink: Callable[[int, np.ndarray], None] | None = None) -> DataFrame:
-    """Every batch adds its slot sums to a table and refits k-means from the last model: (batch, k, mu)."""
-    base = f"{shared_folder(spark)}/refit-{uuid.uuid4().hex}"
+REFIT_MU = cluster.public_random(2, 48, "refit")
+
+
+def refit(spark: SparkSession, d: str, masked: bool = True, sink: Callable[[int, np.ndarray], None] | None = None) -> DataFrame:
+    """Every batch adds its slot sums to a table and refits k-means from the last model, under masks over ten
+    parties: (batch, k, slot, mu)."""
+    base = place(spark, "refit")
     seen: dict[str, np.ndarray] = {}
+    setting = consensus.Setting(main_graph(), 10, eps=1e-10) if masked else None
 
     def each(batch: DataFrame, number: int) -> None:
         own = batch.sparkSession
         slot_sums(batch).write.mode("overwrite").parquet(f"{base}/sums/batch={number}")
         sums = own.read.parquet(f"{base}/sums").groupBy("user_id").agg(F.array(*[F.coalesce(F.sum(F.when(F.col("slot") == s, F.col("v"))), F.lit(0.0)) for s in range(48)]).alias("y"))
         df = sums.select(F.pmod("user_id", F.lit(10)).cast("int").alias("party"), F.col("user_id").alias("id"), F.expr("transform(y, v -> coalesce(v / nullif(array_max(y), 0D), 0D))").alias("y"))
-        start = seen.get("mu", cluster.public_random(k, 48, "refit"))
-        model, _ = cluster.fit_kmeans(df, start, iterations=3, stop="fixed")
+        model, _ = cluster.fit_kmeans(df, seen.get("mu", REFIT_MU), setting, iterations=3, stop="fixed")
         seen["mu"] = model.mu
         own.createDataFrame([(number, i, m.tolist()) for i, m in enumerate(model.mu)], "batch long, k int, mu array<double>").write.mode("overwrite").parquet(f"{base}/models/at={number}")
         if sink:
             sink(number, model.mu)
 
     stream(spark, d).writeStream.foreachBatch(each).option("checkpointLocation", f"{base}/log").trigger(availableNow=True).start().awaitTermination()
-    return spark.read.parquet(f"{base}/models").select("batch", "k", "mu")
+    rows = spark.read.parquet(f"{base}/models").select("batch", "k", F.posexplode("mu").alias("slot", "mu"))
+    return rows.select("batch", F.col("k").cast("long").alias("k"), F.col("slot").cast("long").alias("slot"), F.round("mu", 4).alias("mu"))
 
 
 BIN = "time_bucket(interval '30 minutes', ts, timestamp '2000-01-01')"
@@ -167,5 +196,5 @@ Q: dict[str, tuple] = {
         slot_state,
         "select user_id, round(sum(v), 4) as total, count(*) filter (v > 0) as used from (select user_id, (hour(ts) * 60 + minute(ts)) // 30 as slot, sum(value) as v from events group by all) group by user_id",
     ),
-    "stream_refit": (refit, None),
+    "stream_refit": (refit, f"with {duck.peak_profiles(48)},\n{duck.kmeans(REFIT_MU, 3)}\nselect 0::bigint as batch, k::bigint as k, slot::bigint as slot, round(mu, 4) as mu from m3"),
 }

@@ -86,7 +86,7 @@ def test_moments_under_masks(profiles):
 def test_elbow_and_missed_patterns(spark, sf):
     got = {(r.scope, r.k): r for r in Q.q_sse_by_k(spark, sf).collect()}
     assert got["union", 1].chosen == 6 and got["party 0", 1].chosen == 2
-    assert Q.q_missed_patterns(spark, sf).first().missed == 666
+    assert Q.q_missed_patterns(spark, sf).first().missed == 1000
 
 
 def test_cost_figures():
@@ -112,4 +112,117 @@ def test_exact_silhouette_of_more_rows_than_a_driver_takes(spark):
 
 
 def test_planted_profiles_of_all_customers(spark, sf):
-    assert tables.planted(spark, sf, 12, None).count() == spark.read.parquet(f"{sf}/customer.parquet").count() > tables.planted(spark, sf, 12).count()
+    n = spark.read.parquet(f"{sf}/customer.parquet").count()
+    assert tables.planted(spark, sf, 12).count() == n > tables.planted(spark, sf, 12, 100).count() == 100
+    assert tables.planted(spark, sf, 12, copies=3).select("id").distinct().count() == 3 * n
+
+
+def test_many_fits_equal_single_ones(profiles):
+    s = C.Setting(G.main_graph(), 10, eps=1e-10)
+    mixture = GaussianMixture("diag", reg=1e-3)
+    parts = [(KMeans(), Model(MU)), (FuzzyCMeans(), Model(MU[:2])), (mixture, mixture.start(MU))]
+    for (family, start), (model, report) in zip(parts, K.fit_many(profiles, parts, s, iterations=4, stop="fixed")):
+        one, alone = K.fit(profiles, family, start, None, iterations=4, stop="fixed")
+        assert model.gap(one) < 1e-6 and report.iterations == alone.iterations == 4 and abs(report.objective[-1] / alone.objective[-1] - 1) < 1e-6
+
+
+@pytest.mark.parametrize("stop", ["shift", "objective", "assignment"])
+def test_stops_of_fits(profiles, stop):
+    for s in (None, C.Setting(G.main_graph(), 10, eps=1e-9)):
+        model, report = K.fit_kmeans(profiles, MU, s, stop=stop)
+        assert report.converged and report.iterations < 50 and np.abs(np.sort(model.mu.mean(1)) - [0, 4, 9]).max() < 1
+    with pytest.raises(ValueError):
+        K.fit_kmeans(profiles, MU, stop="other")
+
+
+@pytest.mark.parametrize("stop", ["spread", "max_consensus"])
+def test_fits_with_stops_by_state(profiles, stop):
+    a, _ = K.fit_kmeans(profiles, MU, iterations=3, stop="fixed")
+    b, r = K.fit_kmeans(profiles, MU, C.Setting(G.main_graph(), 10, stop=stop, eps=1e-9), iterations=3, stop="fixed")
+    assert a.gap(b) < 1e-4 and all(0 < t < 100 for t in r.rounds_per_iteration)
+
+
+def test_payloads_beyond_the_driver(profiles, monkeypatch):
+    s = C.Setting(G.main_graph(), 10, eps=1e-9)
+    a, ra = K.fit_kmeans(profiles, MU, s, iterations=3, stop="fixed")
+    monkeypatch.setattr(C, "DRIVER_CELLS", 20)
+    b, rb = K.fit_kmeans(profiles, MU, s, iterations=3, stop="fixed")
+    assert a.gap(b) < 1e-6 and rb.rounds_per_iteration == ra.rounds_per_iteration and len(rb.party_seconds) == 10
+    with pytest.raises(ValueError):
+        K.fit_kmeans(profiles, MU, s, iterations=1, stop="fixed", engine="driver")
+
+
+def test_masks_of_a_fit_scaled_to_ranges(profiles):
+    s = C.Setting(G.main_graph(), 10, eps=1e-12)
+    a, _ = K.fit_kmeans(profiles, MU, iterations=3, stop="fixed")
+    b, _ = K.fit_kmeans(profiles, MU, s, iterations=3, stop="fixed", ranges=(100, 15.0))
+    assert a.gap(b) < 1e-6 and s.scale == 1.0
+    widths = KMeans().ranges(Model(MU), 100, 15.0)
+    assert len(widths) == KMeans().floats(Model(MU)) and widths[0] == 100 and widths[1] == 1500
+
+
+def test_each_partys_own_model(profiles):
+    models, _ = K.fit_kmeans(profiles, MU, C.Setting(G.main_graph(), 10, eps=1e-8), iterations=2, stop="fixed", per_party=True)
+    assert len(models) == 10 and 0 < max(m.gap(models[0]) for m in models) < 1e-4
+
+
+def test_odd_profiles(spark, profiles):
+    kinds = "party int, id long, y array<double>"
+    odd = profiles.unionByName(spark.createDataFrame([(1, 100, None), (None, 101, [1.0] * 5), (2, 102, [1.0, None, 1.0, 1.0, 1.0]), (3, 103, [float("nan")] * 5)], kinds))
+    s = C.Setting(G.main_graph(), 10, eps=1e-10)
+    for setting in (None, s):
+        a, _ = K.fit_kmeans(profiles, MU, setting, iterations=2, stop="fixed")
+        b, _ = K.fit_kmeans(odd, MU, setting, iterations=2, stop="fixed")
+        assert a.gap(b) < 1e-6
+        empty, report = K.fit_kmeans(profiles.limit(0), MU, setting, iterations=2)
+        assert np.array_equal(empty.mu, MU) and report.iterations == 0
+    assert {r.k for r in K.assign_hard(odd, MU).where("id = 100").collect()} == {None}
+    soft = {r.id: r for r in K.assign_shares(odd.where("id in (0, 100)"), FuzzyCMeans(), Model(MU)).collect()}
+    assert soft[100].u is None and soft[100].k is None and len(soft[0].u) == 3
+    mean, sd, n = C.masked_moments(profiles.limit(0), s)
+    assert len(mean) == len(sd) == n == 0
+    with pytest.raises(ValueError):
+        K.fit_kmeans(profiles.unionByName(spark.createDataFrame([(1, 100, [1.0])], kinds)), MU, iterations=1)
+    with pytest.raises(ValueError):
+        K.fit_kmeans(profiles.unionByName(spark.createDataFrame([(10, 100, [1.0] * 5)], kinds)), MU, s, iterations=1)
+    few, _ = K.fit_kmeans(profiles.where("party < 3"), MU, s, iterations=2, stop="fixed")  # parties without rows take part
+    alone, _ = K.fit_kmeans(profiles.where("party < 3"), MU, iterations=2, stop="fixed")
+    assert few.gap(alone) < 1e-6
+
+
+def test_fits_leave_nothing_in_the_shared_folder(profiles):
+    from meshprofile import session
+
+    before = len(session._written)
+    for engine in ("driver", "block"):
+        K.fit_kmeans(profiles, MU, C.Setting(G.main_graph(), 10), iterations=2, stop="fixed", engine=engine)
+    assert len(session._written) == before
+
+
+def test_silhouettes_of_many_models(profiles):
+    models = [(KMeans(), Model(MU)), (FuzzyCMeans(), Model(MU[:2])), (KMeans(), Model(MU[:1]))]
+    got = metrics.silhouettes(profiles, models)
+    for (family, m), v in zip(models[:2], got):
+        one = spark_labels(profiles, family.share(Y, m).argmax(1))
+        assert abs(metrics.silhouette(one, "squared") - v) < 1e-9
+    assert got[2] == 0
+
+
+def spark_labels(profiles, k):
+    rows = [(i, int(c), y.tolist()) for i, (c, y) in enumerate(zip(k, Y))]
+    return profiles.sparkSession.createDataFrame(rows, "id long, k int, y array<double>")
+
+
+@pytest.mark.parametrize("carrier", ["planted", "events"])
+def test_silhouettes_agree_at_convergence_for_every_k(spark, sf, carrier):
+    """Centralised and masked fits of each family end alike, K by K."""
+    df = Q.carriers(spark, sf, 12)[carrier]
+    parts = [(f, m) for k in (2, 4, 6, 8) for _, f, m in Q.three_families(K.public_peaks(k, 12)[0])]
+    scores = []
+    for s in (None, Q.setting(eps=1e-10)):
+        got = K.fit_many(df, parts, s, iterations=60, tol=1e-3, settled=True)
+        scores.append(metrics.silhouettes(df, [(f, m) for (f, _), (m, _) in zip(parts, got)]))
+    assert np.allclose(*scores, atol=2e-3)
+    if carrier == "planted":
+        kmeans = scores[0][::3]
+        assert int(np.argmax(kmeans)) == 2  # K = 6, as planted

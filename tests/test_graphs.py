@@ -51,3 +51,16 @@ def test_rounds_follow_the_radius_over_nine_graphs():
 def test_dataframe_weights_equal_the_matrix(spark):
     got = T.matrix(T.mixing(G.edges_df(spark, G.main_graph())))
     assert np.allclose(got, T.mixing_matrix(G.main_graph()))
+
+
+def test_components_of_long_rings(spark):
+    pairs = G.ring(150) + [(a + 200, b + 200) for a, b in G.ring(5)]
+    got = {r.src: r.component for r in T.connected_components(G.edges_df(spark, pairs)).collect()}
+    assert got == {i: 0 for i in range(150)} | {i: 200 for i in range(200, 205)}
+    assert T.connected_components(G.edges_df(spark, pairs).limit(0)).count() == 0
+
+
+def test_spectrum_by_iteration(spark):
+    """Power iteration by joins against the closed form of a ring's eigenvalues."""
+    got = T.spectrum_by_iteration(T.mixing(G.edges_df(spark, G.ring(6))), rounds=12)
+    assert abs(got["lambda2"] - 2 / 3) < 0.03 and abs(got["lambda_min"] + 1 / 3) < 0.03
