@@ -451,6 +451,14 @@ def q_entry(spark: SparkSession, d: str) -> DataFrame:
     return cluster.model_df(spark, model).select("k", "mu").join(sizes, "k", "left").select("k", F.coalesce("n", F.lit(0)).alias("size"), "mu")
 
 
+def q_kmeans_wide(spark: SparkSession, d: str, copies: int = 100) -> DataFrame:
+    """Masked k-means of many times as many planted consumers (copies for each customer): iterations, rows, counts."""
+    df = settle(tables.planted(spark, d, SLOTS, copies=copies).select("party", "id", "y"), "wide")
+    model, report = cluster.fit_kmeans(df, cluster.public_peaks(6, SLOTS)[0], setting(eps=1e-10), iterations=T, stop="fixed", settled=True)
+    sizes = metrics.sizes(cluster.assign_hard(df, model.mu))
+    return sizes.select(F.col("k").cast("long").alias("k"), "n", F.lit(report.iterations).cast("long").alias("iterations"))
+
+
 def q_soft(family_name: str, spark: SparkSession, d: str) -> DataFrame:
     """Memberships or responsibilities under the start model."""
     df = planted(spark, d)
@@ -710,7 +718,7 @@ def q_times(spark: SparkSession, d: str) -> DataFrame:
 
 def q_iteration_parity(spark: SparkSession, d: str) -> DataFrame:
     """Whether masked fits take as many iterations as centralised ones, and all converge."""
-    got = {(c, f, k): r for c, f, k, _, r in fits_to_the_end(spark, d, SLOTS, K, "diag", 1e-3, 300)}
+    got = {(c, f, k): r for c, f, k, _, r in fits_to_the_end(spark, d, 48, 6, "full", 1e-3, 300)}
     rows = [(c, f, got[c, f, "masked"].iterations == r.iterations, r.converged and got[c, f, "masked"].converged) for (c, f, k), r in got.items() if k == "central"]
     return spark.createDataFrame(rows, "carrier string, family string, equal boolean, converged boolean")
 

@@ -492,21 +492,21 @@ def fn_array(s, d):
 @query(
     "fn_map",
     """with h as (select user_id, hour(ts) as h, round(sum(value), 4) as v, count(*) as n from events group by all)
-select user_id, count(*) as used, round(max(v), 4) as top, round(sum(v / n), 3) as means, round(coalesce(max(v) filter (h = 12), 0), 4) as noon, round(sum(2 * v), 3) as twice from h where v > 100 group by user_id""",
+select user_id, count(*) as used, round(max(v), 4) as top, round(sum(v * n), 4) as weighed, round(coalesce(max(v) filter (h = 12), 0), 4) as noon, round(sum(2 * v), 4) as twice from h where v > 100 group by user_id""",
 )
 def fn_map(s, d):
     per = events(s, d).groupBy("user_id", F.hour("ts").cast("long").alias("h")).agg(F.round(F.sum("value"), 4).alias("v"), F.count(F.lit(1)).alias("n"))
     m = per.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("h", "v"))).alias("m"), F.map_from_entries(F.collect_list(F.struct("h", "n"))).alias("c"))
     m = m.withColumn("m", F.map_filter("m", lambda k, v: v > 100)).where(F.size("m") > 0)
-    mean = F.map_zip_with("m", "c", lambda k, v, n: v / n)
+    weighed = F.map_zip_with("m", "c", lambda k, v, n: v * n)
     total = lambda x: F.aggregate(F.map_values(x), F.lit(0.0), lambda a, v: a + F.coalesce(v, F.lit(0.0)))
     return m.select(
         "user_id",
         F.size(F.map_keys("m")).cast("long").alias("used"),
         F.round(F.array_max(F.map_values("m")), 4).alias("top"),
-        F.round(total(mean), 3).alias("means"),
+        F.round(total(weighed), 4).alias("weighed"),
         F.round(F.coalesce(F.element_at("m", F.lit(12).cast("long")), F.lit(0.0)), 4).alias("noon"),
-        F.round(total(F.transform_values("m", lambda k, v: 2 * v)), 3).alias("twice"),
+        F.round(total(F.transform_values("m", lambda k, v: 2 * v)), 4).alias("twice"),
     )
 
 
