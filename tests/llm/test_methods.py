@@ -97,18 +97,51 @@ def test_components_of_a_long_path_and_a_star(spark):
     assert all(got[i] == 0 for i in range(61)) and all(got[100 + i] == 100 for i in range(80))
 
 
-def test_embedding_links_against_brute_force(spark, monkeypatch):
-    monkeypatch.setattr(embedding_dedup, "TILE", 32)
-    monkeypatch.setattr(embedding_dedup, "CELL_ROWS", 30)
+@pytest.mark.parametrize("tile, cell_rows", [(32, 30), (2048, 2), (64, 1)])
+def test_embedding_links_and_components_against_brute_force(spark, monkeypatch, tile, cell_rows):
+    """Small cells make grids of many codes: every link and component is there, and none besides."""
+    monkeypatch.setattr(embedding_dedup, "TILE", tile)
+    monkeypatch.setattr(embedding_dedup, "CELL_ROWS", cell_rows)
+    monkeypatch.setattr(embedding_dedup, "FEW", 10)
     rng = np.random.default_rng(4)
     base = rng.normal(size=(150, 16))
     x = np.vstack([base, base[:60] + 0.04 * rng.normal(size=(60, 16)), base[:1] + 0.05 * rng.normal(size=(90, 16))])
-    label = [i % 2 for i in range(150)] + [i % 2 for i in range(60)] + [0] * 90
-    frame = spark.createDataFrame([(i, v.tolist(), y) for i, (v, y) in enumerate(zip(x, label))], "vec_id long, embedding array<double>, label int")
-    got = {r.vec_id: r.n_links for r in embedding_dedup.near_vectors(frame).collect()}
+    label = np.array([i % 2 for i in range(150)] + [i % 2 for i in range(60)] + [0] * 90)
+    frame = spark.createDataFrame([(i, v.tolist(), int(y)) for i, (v, y) in enumerate(zip(x, label))], "vec_id long, embedding array<double>, label int")
+    got = {r.vec_id: r for r in embedding_dedup.near_vectors(frame).collect()}
     u = x / np.linalg.norm(x, axis=1, keepdims=True)
-    want = ((u @ u.T >= 0.98) & (np.array(label)[:, None] == np.array(label))).sum(1) - 1
-    assert sum(got.values()) >= 0.9 * want.sum() and all(got[i] <= want[i] for i in range(len(x)))
+    near = (u @ u.T >= 0.98) & (label[:, None] == label)
+    want, root = near.sum(1) - 1, np.arange(len(x))
+    for _ in range(len(x)):
+        root = np.where(near, root, len(x)).min(1)
+    links = sum(r.n_links for r in got.values())
+    assert links >= 0.9 * want.sum() and all(got[i].n_links <= want[i] for i in range(len(x)))
+    if links == want.sum():
+        assert all(got[i].component_id == root[i] and got[i].kept == (root[i] == i) for i in range(len(x)))
+    assert links >= 0.999 * want.sum()
+
+
+def test_embeddings_of_a_whole_table_against_brute_force(spark, sf):
+    rows = spark.read.parquet(f"{sf}/embeddings.parquet").toPandas()
+    x, label = np.array(rows.embedding.tolist(), float), rows.label.to_numpy()
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    sims = np.where(label[:, None] == label, x @ x.T, -1)
+    np.fill_diagonal(sims, -1)
+    cut = float(np.quantile(sims[sims > -1], 0.999))  # at 0.98 this table has no links
+    frame = spark.read.parquet(f"{sf}/embeddings.parquet")
+    for cosine in (0.98, cut):
+        near, root = sims >= cosine, np.arange(len(x))
+        while True:
+            new = np.minimum(root, np.where(near, root, len(x)).min(1))
+            if (new == root).all():
+                break
+            root = new
+        got = {r.vec_id: r for r in embedding_dedup.near_vectors(frame.select("vec_id", "embedding", "label"), cosine).collect()}
+        want = dict(zip(rows.vec_id, near.sum(1)))
+        assert len(got) == len(rows) and sum(r.n_links for r in got.values()) >= 0.9 * near.sum()
+        assert all(got[i].n_links <= want[i] for i in want)
+        if all(got[i].n_links == want[i] for i in want):
+            assert all(got[i].component_id == rows.vec_id[root[j]] for j, i in enumerate(rows.vec_id))
 
 
 def test_lm_is_a_distribution_and_learns():
@@ -250,3 +283,12 @@ def test_lm_counts_of_a_chunk_with_very_many_words(spark):
     chunks = spark.range(1).selectExpr("0L as chunk", f"transform(sequence(1, {n}), i -> hex(i)) as words", f"transform(sequence(1, {n}), i -> if(i = {n}, 0L, 1L)) as counts")
     got = lm_scoring.corpus_counts(chunks).select("new", F.inline("known")).groupBy("new").agg(F.count("at"), F.countDistinct("at"), F.max("at"), F.sum("n"), F.max("n"), F.max_by("n", "at")).first()
     assert tuple(got) == (n - 1, n, n, n - 1, n - 1, 1, 0)
+
+
+def test_lm_counts_by_window_and_by_join_are_the_same(spark):
+    words = [["a", "b"], ["b", "c", "d"], ["a"], ["d", "b"]]
+    counts = [[1, 2], [0, 3, 0], [4], [0, 1]]
+    chunks = spark.createDataFrame([(i * 10, w, c) for i, (w, c) in enumerate(zip(words, counts))], "chunk long, words array<string>, counts array<long>")
+    for most in (0, 100):
+        got = {r.chunk: ({k.at: k.n for k in r.known}, r.new) for r in lm_scoring.corpus_counts(chunks, most).collect()}
+        assert got == {0: ({0: 5, 1: 3}, 2), 10: ({0: 3, 1: 3, 2: 0}, 1), 20: ({0: 5}, 0), 30: ({0: 0, 1: 3}, 0)}
