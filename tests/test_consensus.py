@@ -128,9 +128,24 @@ def test_every_stop_mixes(stop):
 
 
 def test_exposed_edges_are_dropped_by_default():
-    assert (0, 2) in G.named("unsafe") and (0, 2) not in C.Setting(G.named("unsafe"), 10).pairs
+    from meshprofile.operators import topology as T
+
+    pruned = 0
+    for seed in range(300):
+        pairs = G.random_connected(8, 16, seed)
+        if not T.exposed_pairs(pairs):
+            continue
+        with pytest.raises(ValueError):
+            C.Setting(pairs, 8, exposed="raise")
+        try:
+            left = C.Setting(pairs, 8).pairs
+        except ValueError:
+            continue  # dropping them would cut a party off
+        assert set(left) < set(pairs) and not T.exposed_pairs(left) and T.is_connected(left, 8)
+        pruned += 1
+    assert pruned
     with pytest.raises(ValueError):
-        C.Setting(G.named("unsafe"), 10, exposed="raise")
+        C.Setting(G.named("unsafe"), 10)
     with pytest.raises(ValueError):
         C.Setting(G.complete(4), 4)  # without the exposed edges nothing is left
     assert C.Setting(G.named("unsafe"), 10, "boosted").pairs == G.named("unsafe")
