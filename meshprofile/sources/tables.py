@@ -36,7 +36,7 @@ def planted(spark: SparkSession, sf_dir: str, slots: int = 48, consumers: int |
     if consumers is not None:
         c = c.where(F.col("id") < consumers)
     if copies > 1:
-        c = c.select((F.col("id") * copies + F.explode(F.sequence(F.lit(0), F.lit(copies - 1)))).alias("id"))
+        c = c.select("id", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("copy")).select((F.col("id") * copies + F.col("copy")).alias("id"))
     c = c.withColumn("archetype", F.pmod("id", F.lit(6)).cast("int")).withColumn("home", F.pmod(F.floor(F.col("id") / 6), F.lit(10)).cast("int"))
     moved = (F.col("home") == 0) & ~F.col("archetype").isin(1, 2)
     c = c.withColumn("party", F.when(moved, 1 + F.pmod(F.floor(F.col("id") / 60), F.lit(9))).otherwise(F.col("home")).cast("int"))

@@ -220,7 +220,7 @@ def test_silhouettes_agree_at_convergence_for_every_k(spark, sf, carrier):
     parts = [(f, m) for k in (2, 4, 6, 8) for _, f, m in Q.three_families(K.public_peaks(k, 12)[0])]
     scores = []
     for s in (None, Q.setting(eps=1e-10)):
-        got = K.fit_many(df, parts, s, iterations=60, tol=1e-3, settled=True)
+        got = K.fit_many(df, parts, s, iterations=25, tol=1e-3, settled=True)
         scores.append(metrics.silhouettes(df, [(f, m) for (f, _), (m, _) in zip(parts, got)]))
     assert np.allclose(*scores, atol=2e-3)
     if carrier == "planted":
