@@ -451,7 +451,7 @@ def q_entry(spark: SparkSession, d: str) -> DataFrame:
     return cluster.model_df(spark, model).select("k", "mu").join(sizes, "k", "left").select("k", F.coalesce("n", F.lit(0)).alias("size"), "mu")
 
 
-def q_kmeans_wide(spark: SparkSession, d: str, copies: int = 100) -> DataFrame:
+def q_kmeans_wide(spark: SparkSession, d: str, copies: int = 10) -> DataFrame:
     """Masked k-means of many times as many planted consumers (copies for each customer): iterations, rows, counts."""
     df = settle(tables.planted(spark, d, SLOTS, copies=copies).select("party", "id", "y"), "wide")
     model, report = cluster.fit_kmeans(df, cluster.public_peaks(6, SLOTS)[0], setting(eps=1e-10), iterations=T, stop="fixed", settled=True)
@@ -549,8 +549,9 @@ def three_families(mu: np.ndarray) -> list[tuple[str, object, Model]]:
     return [("kmeans", KMeans(), Model(mu)), ("fuzzy", FuzzyCMeans(), Model(mu)), ("gmm", mixture, mixture.start(mu, GMM["variance"]))]
 
 
-def carriers(spark: SparkSession, d: str, slots: int) -> dict[str, DataFrame]:
-    return {"planted": settle(planted(spark, d, slots), "planted"), "events": settle(peak(spark, d, slots), "events")}
+def carriers(spark: SparkSession, d: str, slots: int, names: tuple[str, ...] = ("planted", "events")) -> dict[str, DataFrame]:
+    made = {"planted": planted, "events": peak}
+    return {name: settle(made[name](spark, d, slots), name) for name in names}
 
 
 def q_silhouette_by_k(spark: SparkSession, d: str) -> DataFrame:
@@ -693,10 +694,10 @@ union all select 'fuzzy', round(sum(u.g * d0.d2), 3) from u0 u join d0 on d0.id
 union all select 'gmm', round(sum(s), 3) from (select ln(sum(exp(l))) as s from lg group by id)"""
 
 
-def fits_to_the_end(spark: SparkSession, d: str, slots: int, k: int, cov: str, tol: float, iterations: int) -> list[tuple]:
+def fits_to_the_end(spark: SparkSession, d: str, slots: int, k: int, cov: str, tol: float, iterations: int, names: tuple[str, ...] = ("planted", "events")) -> list[tuple]:
     """(carrier, family, kind, setting, report) of all families, centralised and masked, until centroids rest."""
     out = []
-    for carrier, df in carriers(spark, d, slots).items():
+    for carrier, df in carriers(spark, d, slots, names).items():
         mu, mixture = cluster.public_peaks(k, slots)[0], GaussianMixture(cov, reg=1e-3)
         parts = [(KMeans(), Model(mu)), (FuzzyCMeans(), Model(mu)), (mixture, mixture.start(mu, 0.1))]
         for kind, s in (("central", None), ("masked", setting(eps=1e-9))):
@@ -706,11 +707,11 @@ def fits_to_the_end(spark: SparkSession, d: str, slots: int, k: int, cov: str, t
     return out
 
 
-def q_times(spark: SparkSession, d: str) -> DataFrame:
+def q_times(spark: SparkSession, d: str, names: tuple[str, ...] = ("planted", "events")) -> DataFrame:
     """Seconds and iterations of three families to convergence, centralised and masked over ten parties (the latter:
     the slowest party, without communication)."""
     rows = []
-    for carrier, name, kind, s, r in fits_to_the_end(spark, d, 48, 6, "full", 1e-3, 300):
+    for carrier, name, kind, s, r in fits_to_the_end(spark, d, 48, 6, "full", 1e-3, 300, names):
         local = r.party_seconds.values()
         rows.append((carrier, name, kind, r.iterations, r.converged, float(sum(local) if s is None else max(local)), r.consensus_seconds / (s.parties if s else 1)))
     return spark.createDataFrame(rows, "carrier string, family string, kind string, iterations int, converged boolean, local_seconds double, consensus_seconds double")
