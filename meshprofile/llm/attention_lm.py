@@ -61,6 +61,11 @@ def add_rows(to: np.ndarray, index: np.ndarray, rows: np.ndarray) -> None:
         to[index[first]] += np.add.reduceat(rows.take(order, 0), first)
 
 
+def row_sums(x: np.ndarray) -> np.ndarray:
+    """Sums along the short last axis, as a product with ones."""
+    return x @ np.ones(x.shape[-1], x.dtype)
+
+
 class AttentionLM:
     def __init__(self, code_class: np.ndarray, seed: int = 9):
         rng = np.random.default_rng(seed)
@@ -107,7 +112,7 @@ class AttentionLM:
         a += np.where(self.mask > 0, p["near"][self.back], np.float32(-1e4))
         np.minimum(a, 60, out=a)
         np.exp(a, out=a)
-        a /= a.sum(2, keepdims=True)
+        a /= row_sums(a)[..., None]
         context = (a @ v).reshape(-1, DIM)
         use = np.flatnonzero(((y >= 0) & (np.arange(WINDOW) >= skip[:, None])).ravel())
         # places in the order of what they predict: a class is then one product
@@ -123,8 +128,9 @@ class AttentionLM:
         lc += p["bc"]
         np.exp(np.minimum(lc, 60, out=lc), out=lc)
         row = np.arange(len(use))
-        pc = lc / lc.sum(1, keepdims=True) if keep else None
-        share = lc[row, cls] / lc.sum(1)
+        whole = row_sums(lc)
+        pc = lc / whole[:, None] if keep else None
+        share = lc[row, cls] / whole
         lm = np.empty((len(use), MEMBERS), np.float32)
         cuts = np.searchsorted(cls, np.arange(CLASSES + 1))
         for c in range(CLASSES):
@@ -132,7 +138,7 @@ class AttentionLM:
                 np.matmul(h[cuts[c] : cuts[c + 1]], p["wm"][c], out=lm[cuts[c] : cuts[c + 1]])
                 lm[cuts[c] : cuts[c + 1]] += p["bm"][c]
         np.exp(np.minimum(lm, 60, out=lm), out=lm)
-        total = lm.sum(1)
+        total = row_sums(lm)
         m = self.member[y1]
         share *= lm[row, m] / total
         g = sigmoid(p["gate"]).take(x1)
@@ -140,7 +146,8 @@ class AttentionLM:
         mixed += (1 - g) * (self.left_out if keep else self.bigram)[x1, y1]
         if not keep:
             return use, np.log(mixed)
-        return use, np.log(mixed), (q, k, v, a, x1, y1, h, cls, cuts, pc, lm / total[:, None], m, g, share, mixed)
+        lm /= total[:, None]
+        return use, np.log(mixed), (q, k, v, a, x1, y1, h, cls, cuts, pc, lm, m, g, share, mixed)
 
     def gradients(self, x: np.ndarray, before: np.ndarray, y: np.ndarray) -> tuple[dict[str, np.ndarray], float]:
         p = self.p
@@ -159,20 +166,23 @@ class AttentionLM:
             s = slice(cuts[c], cuts[c + 1])
             out["wm"][c], out["bm"][c] = h[s].T @ pm[s], pm[s].sum(0)
             dh[s] += pm[s] @ p["wm"][c].T
-        dh *= 1 - h * h
-        out["one"], out["two"] = np.zeros_like(p["one"]), np.zeros_like(p["two"])
-        add_rows(out["one"], x1, dh)
-        add_rows(out["two"], before.ravel()[use], dh)
+        h *= h
+        dh *= np.subtract(1, h, out=h)
+        out["two"] = np.zeros_like(p["two"])
+        add_rows(out["two"], before.ravel().take(use), dh)
         dc = np.zeros((x.size, DIM), np.float32)
         dc[use] = dh
         dc = dc.reshape(*x.shape, DIM)
-        out["v"], out["q"], out["k"] = np.zeros_like(p["v"]), np.zeros_like(p["q"]), np.zeros_like(p["k"])
-        add_rows(out["v"], x, a.transpose(0, 2, 1) @ dc)
-        da = dc @ v.transpose(0, 2, 1)
-        ds = a * (da - (a * da).sum(2, keepdims=True))
-        add_rows(out["q"], x, ds @ k)
-        add_rows(out["k"], x, ds.transpose(0, 2, 1) @ q)
-        out["near"] = np.bincount(self.back.ravel(), (ds * self.mask).sum(0).ravel(), WINDOW)
+        ds = dc @ v.transpose(0, 2, 1)
+        ds -= np.einsum("wij,wij->wi", a, ds)[..., None]
+        ds *= a  # zero above the diagonal, as the weights are there
+        # what a place's code gets by itself, as a value, a query and a key: the same rows, added in one go
+        parts = {"one": dc, "v": a.transpose(0, 2, 1) @ dc, "q": ds @ k, "k": ds.transpose(0, 2, 1) @ q}
+        sums = np.zeros((CODES, sum(r.shape[2] for r in parts.values())), np.float32)
+        add_rows(sums, x, np.concatenate(list(parts.values()), 2))
+        cuts = np.cumsum([r.shape[2] for r in parts.values()])[:-1]
+        out |= dict(zip(parts, np.split(sums, cuts, 1)))
+        out["near"] = np.bincount(self.back.ravel(), ds.sum(0).ravel(), WINDOW)
         return {key: val.astype(np.float32) for key, val in out.items()}, float(ll.mean())
 
     @staticmethod
