@@ -66,6 +66,11 @@ def row_sums(x: np.ndarray) -> np.ndarray:
     return x @ np.ones(x.shape[-1], x.dtype)
 
 
+def turned(x: np.ndarray) -> np.ndarray:
+    """Each matrix transposed and laid out anew, which batched products are much faster with."""
+    return np.ascontiguousarray(x.transpose(0, 2, 1))
+
+
 class AttentionLM:
     def __init__(self, code_class: np.ndarray, seed: int = 9):
         rng = np.random.default_rng(seed)
@@ -108,7 +113,7 @@ class AttentionLM:
         Gives the places scored (flat) and the natural log of their shares."""
         p = self.p
         q, k, v = (p[c].take(x, 0) for c in "qkv")
-        a = q @ k.transpose(0, 2, 1)
+        a = q @ turned(k)
         a += np.where(self.mask > 0, p["near"][self.back], np.float32(-1e4))
         np.minimum(a, 60, out=a)
         np.exp(a, out=a)
@@ -173,7 +178,7 @@ class AttentionLM:
         dc = np.zeros((x.size, DIM), np.float32)
         dc[use] = dh
         dc = dc.reshape(*x.shape, DIM)
-        ds = dc @ v.transpose(0, 2, 1)
+        ds = dc @ turned(v)
         ds -= np.einsum("wij,wij->wi", a, ds)[..., None]
         ds *= a  # zero above the diagonal, as the weights are there
         # what a place's code gets by itself, as a value, a query and a key: the same rows, added in one go

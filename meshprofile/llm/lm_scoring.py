@@ -99,11 +99,22 @@ class Fitted:
         return code_texts(index[np.repeat(keep, n)], np.r_[0, np.cumsum(n[keep])], self.code[ids], offsets, self.code[END])
 
 
+def packed_ints(x: np.ndarray) -> bytes:
+    """int32 numbers as compressed planes of bytes: word numbers start with the common ones, so high planes are mostly zero."""
+    return pa.compress(x.astype("<i4").view(np.uint8).reshape(-1, 4).T.tobytes(), "zstd", asbytes=True)
+
+
+def unpacked_ints(raw: bytes, n: int) -> np.ndarray:
+    planes = np.frombuffer(pa.decompress(raw, 4 * n, "zstd", asbytes=True), np.uint8) if n else np.zeros(0, np.uint8)
+    return np.ascontiguousarray(planes.reshape(4, n).T).view("<i4").ravel()
+
+
 def opened(row: pa.RecordBatch, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Of a chunk: its texts' offsets, the index of every word, subword ids of the words and their offsets."""
-    index, sizes = (np.frombuffer(row.column(c)[0].as_py(), np.int32) for c in ("codes", "sizes"))
+    ends, sizes = row.column("ends").flatten().to_numpy(), np.frombuffer(row.column("sizes")[0].as_py(), np.int32)
+    index = unpacked_ints(row.column("codes")[0].as_py(), int(ends[-1]))
     ids = np.frombuffer(row.column("subwords")[0].as_py(), np.uint16 if size <= 1 << 16 else np.uint32)
-    return row.column("ends").flatten().to_numpy(), index, ids, np.r_[0, np.cumsum(sizes)]
+    return ends, index, ids, np.r_[0, np.cumsum(sizes)]
 
 
 def gathered(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.RecordBatch]:
@@ -137,7 +148,7 @@ def _chunks(path: str, size: int):
             ia = np.flatnonzero(per_id)
             kind = np.uint16 if size <= 1 << 16 else np.uint32
             sizes = np.diff(offsets).astype(np.int32)
-            one = [[(task << 20) + at], [batch.column("doc_id").to_pylist()], [train.tolist()], [words], [counts], [index.tobytes()], [ends], [ids.astype(kind).tobytes()], [sizes.tobytes()], [ia.astype(np.int32)], [per_id[ia]]]
+            one = [[(task << 20) + at], [batch.column("doc_id").to_pylist()], [train.tolist()], [words], [counts], [packed_ints(index)], [ends], [ids.astype(kind).tobytes()], [sizes.tobytes()], [ia.astype(np.int32)], [per_id[ia]]]
             kinds = [pa.int64(), pa.list_(pa.int64()), pa.list_(pa.bool_()), pa.list_(pa.string()), pa.list_(pa.int64()), pa.binary(), pa.list_(pa.int64()), pa.binary(), pa.binary(), pa.list_(pa.int32()), pa.list_(pa.int64())]
             cols = [pa.ListArray.from_arrays(pa.array([0, len(words)], pa.int32()), words.cast(pa.string())) if i == 3 else pa.array(v, k) for i, (v, k) in enumerate(zip(one, kinds))]
             yield pa.record_batch(cols, names=[c.split()[0] for c in CHUNK_SCHEMA.split(", ")])
@@ -210,12 +221,12 @@ def learn(fitted: Fitted, chunks: DataFrame) -> int:
     return int(seen)
 
 
-SCORE_SCHEMA = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
+#: log_counts: sum of log10(c + 0.5) over a text's tokens; new: on a chunk's first text, its words listed in no earlier chunk.
+SCORE_SCHEMA = "doc_id long, held_out boolean, n_tokens long, n_known long, log_counts double, score double, new long"
 
 
-def _scores(fitted: Fitted, total: int, kinds: int, ends_seen: int):
+def _scores(fitted: Fitted, ends_seen: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        floor = total + 0.5 * (kinds + 1)
         for batch in batches:
             for i in range(batch.num_rows):
                 row = batch.slice(i, 1)
@@ -226,14 +237,16 @@ def _scores(fitted: Fitted, total: int, kinds: int, ends_seen: int):
                 count[known.field("at").to_numpy()] = known.field("n").to_numpy()
                 n = np.diff(ends)
                 upto = lambda x: np.r_[0, np.cumsum(x)][ends]  # noqa: B023, E731
-                base = np.diff(upto(np.log10((count + 0.5) / floor)[index])) + np.log10((ends_seen + 0.5) / floor)
+                log_counts = np.diff(upto(np.log10(count + 0.5)[index])) + np.log10(ends_seen + 0.5)
+                new = np.zeros(len(n), np.int64)
+                new[0] = row.column("new")[0].as_py()
                 n_known = np.diff(upto((count > 0)[index])) + (ends_seen > 0)
                 flat, close = code_texts(index, ends, fitted.code[ids], offsets, fitted.code[END])
                 rare = np.diff(np.r_[0, np.cumsum(fitted.log_rare[ids])][offsets])
                 score = fitted.net.log10_shares(flat, close) + np.diff(upto(rare[index])) + fitted.log_rare[END]
                 held = ~get("train").astype(bool)
                 give_back()
-                yield pa.record_batch([row.column("doc_ids").flatten(), pa.array(held), pa.array(n + 1), pa.array(n_known.astype(np.int64)), pa.array(base), pa.array(score)], names=[c.split()[0] for c in SCORE_SCHEMA.split(", ")])
+                yield pa.record_batch([row.column("doc_ids").flatten(), pa.array(held), pa.array(n + 1), pa.array(n_known.astype(np.int64)), pa.array(log_counts), pa.array(score), pa.array(new)], names=[c.split()[0] for c in SCORE_SCHEMA.split(", ")])
 
     return run
 
@@ -283,14 +296,15 @@ def lm_scores(docs: DataFrame, path: str | None = None, steps: int = STEPS) -> D
     fitted.start(training_texts(docs), per_pair, steps)
     learn(fitted, chunks)
     give_back()
-    back = materialise(corpus_counts(chunks), "lm-counts")
-    kinds = back.agg(F.coalesce(F.sum("new"), F.lit(0))).first()[0]
     total = chunks.select(F.expr("aggregate(counts, 0L, (a, x) -> a + x)").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     docs_seen = chunks.agg(F.coalesce(F.sum(F.size(F.filter("train", lambda x: x))), F.lit(0))).first()[0]
-    both = chunks.select("chunk", "doc_ids", "train", "codes", "ends", "subwords", "sizes").join(back.select("chunk", "known"), "chunk", "left")
-    ready = both.select("doc_ids", "train", "codes", "ends", "subwords", "sizes", F.coalesce("known", F.array().cast(COUNTS)).alias("known"))
-    scored = ready.mapInArrow(_scores(fitted, total + docs_seen, kinds + (docs_seen > 0), docs_seen), SCORE_SCHEMA)
-    return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(total + docs_seen)).cast("long").alias("train_tokens"), "base_score", "score")
+    # counts go from their grouping by chunk straight into the join; what needs the number of kinds comes after it
+    both = chunks.select("chunk", "doc_ids", "train", "codes", "ends", "subwords", "sizes").join(corpus_counts(chunks), "chunk", "left")
+    ready = both.select("doc_ids", "train", "codes", "ends", "subwords", "sizes", F.coalesce("known", F.array().cast(COUNTS)).alias("known"), F.coalesce("new", F.lit(0)).cast("long").alias("new"))
+    scored = materialise(ready.mapInArrow(_scores(fitted, docs_seen), SCORE_SCHEMA), "lm-scores")
+    total, kinds = int(total + docs_seen), scored.agg(F.coalesce(F.sum("new"), F.lit(0))).first()[0] + (docs_seen > 0)
+    base = F.col("log_counts") - F.col("n_tokens") * F.lit(float(np.log10(total + 0.5 * (kinds + 1))))
+    return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(total).cast("long").alias("train_tokens"), base.alias("base_score"), "score")
 
 
 def op2_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
