@@ -292,3 +292,48 @@ def test_lm_counts_by_window_and_by_join_are_the_same(spark):
     for most in (0, 100):
         got = {r.chunk: ({k.at: k.n for k in r.known}, r.new) for r in lm_scoring.corpus_counts(chunks, most).collect()}
         assert got == {0: ({0: 5, 1: 3}, 2), 10: ({0: 3, 1: 3, 2: 0}, 1), 20: ({0: 5}, 0), 30: ({0: 0, 1: 3}, 0)}
+
+
+def test_lm_gradients_follow_the_mean_log_share():
+    rng = np.random.default_rng(3)
+    net = attention_lm.AttentionLM(rng.permutation(attention_lm.HEAD + 1) // attention_lm.MEMBERS)
+    codes, ends = rng.integers(0, 40, 150).astype(np.int32), np.array([0, 1, 40, 150])
+    starts, owner, _ = attention_lm.windows_of(ends, attention_lm.WINDOW)
+    arrays = net.arrays(codes, net.earlier(codes, ends), ends, starts, owner)
+    grads, _ = net.gradients(*arrays)
+    assert grads.keys() == net.p.keys()
+    for name, grad in grads.items():
+        assert grad.shape == net.p[name].shape and grad.dtype == np.float32
+        way, was, mean = rng.normal(0, 1, grad.shape).astype(np.float32), net.p[name], []
+        for step in (0.003, -0.003):
+            net.p[name] = was + np.float32(step) * way
+            mean.append(net.gradients(*arrays)[1])
+        net.p[name] = was
+        assert abs((mean[1] - mean[0]) / 0.006 - (grad * way).sum(dtype=np.float64)) < 2e-3 + 0.02 * abs(grad * way).sum(), name
+
+
+def test_lm_sums_of_rows_are_those_one_by_one():
+    rng = np.random.default_rng(4)
+    for size in (0, 1, 500):
+        index, rows = rng.zipf(1.3, size) % 90, rng.normal(0, 1, (size, 6)).astype(np.float32)
+        want = np.zeros((100, 6))
+        np.add.at(want, index, rows)
+        assert np.allclose(attention_lm.summed_rows(index, rows, 100), want, atol=1e-4)
+    x = np.array([-70, -1, -1e-3, 0, 0.5, 70], np.float32)
+    assert np.allclose(attention_lm.tanh_of(x.copy()), np.tanh(x), atol=3e-7)
+    assert np.allclose(attention_lm.exp_of(x.copy()), np.exp(np.minimum(x, 60)), rtol=1e-6)
+
+
+def test_lm_places_scored_already_ask_for_no_attention(monkeypatch):
+    """Later windows weigh context for the places they score; the scores are those of window by window."""
+    rng = np.random.default_rng(5)
+    net = attention_lm.AttentionLM(np.arange(attention_lm.HEAD + 1) // attention_lm.MEMBERS)
+    codes, ends = rng.integers(0, 500, 3000).astype(np.int32), np.array([0, 20, 1500, 3000])
+    starts, owner, skip = attention_lm.windows_of(ends)
+    want, before = np.zeros(3), net.earlier(codes, ends)
+    for s, o, k in zip(starts, owner, skip):
+        want[o] += net.forward(*net.arrays(codes, before, ends, np.array([s]), np.array([o])), np.array([k]))[1].sum()
+    asked = []
+    monkeypatch.setattr(attention_lm, "exp_of", lambda x, f=attention_lm.exp_of: (asked.append(x.size) if x.ndim == 3 else None, f(x))[1])
+    assert np.allclose(net.log10_shares(codes, ends), want / np.log(10), rtol=1e-5)
+    assert sum(asked) == (attention_lm.WINDOW - skip).sum() * attention_lm.WINDOW
