@@ -93,3 +93,11 @@ def test_a_cluster_without_a_shared_folder_is_refused():
     fake = SimpleNamespace(sparkContext=context, conf=SimpleNamespace(get=lambda *_: None))
     with pytest.raises(RuntimeError):
         session.shared_folder(fake)
+
+
+def test_extreme_values_that_tie_name_the_first_event(spark, tmp_path):
+    rows = [(i, f"2024-01-0{1 + i % 3} 0{i % 7}:00:00", i % 4, "click", v) for i, v in enumerate([5.0, 1.0, 9.0, 1.0, 9.0, None, 1.0, 9.0])]
+    e = spark.createDataFrame(rows, "event_id long, ts string, user_id long, event_type string, value double")
+    e.withColumn("ts", e.ts.cast("timestamp_ntz")).selectExpr("*", "'' as props").repartition(4).write.parquet(str(tmp_path / "events.parquet"))
+    got = registry.queries()["agg_stats"](spark, str(tmp_path)).first()
+    assert (got.top, got.low) == (2, 1)
