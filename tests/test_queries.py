@@ -101,3 +101,28 @@ def test_extreme_values_that_tie_name_the_first_event(spark, tmp_path):
     e.withColumn("ts", e.ts.cast("timestamp_ntz")).selectExpr("*", "'' as props").repartition(4).write.parquet(str(tmp_path / "events.parquet"))
     got = registry.queries()["agg_stats"](spark, str(tmp_path)).first()
     assert (got.top, got.low) == (2, 1)
+
+
+def test_slots_rank_by_sums_added_in_the_order_of_ids(spark, tmp_path):
+    """0.1 + 0.2 + 0.3 is more than 0.6 only from left to right; a null sum ranks last."""
+    import duckdb
+
+    def rows(start, *values):
+        return [(start + i, f"2024-01-01 {h:02}:00:00", 1, v) for i, (h, v) in enumerate(values)]
+
+    parts = [rows(0, (5, 0.1), (1, 2.0), (2, 1.0), (7, None)), rows(4, (5, 0.2), (5, 0.3), (3, 0.6))]
+    for i, part in enumerate(parts):
+        e = spark.createDataFrame(part, "event_id long, ts string, user_id long, value double").coalesce(1)
+        e = e.selectExpr("event_id", "cast(ts as timestamp_ntz) as ts", "user_id", "'click' as event_type", "value", "'' as props")
+        e.sortWithinPartitions("event_id").write.mode("append").parquet(str(tmp_path / "events.parquet" / f"part={i}"))
+    c = duckdb.connect(config={"threads": 1})
+    c.execute(f"create view events as select * from read_parquet('{tmp_path}/events.parquet/*/*.parquet', hive_partitioning = false)")
+    got = registry.queries()["join_lateral"](spark, str(tmp_path))
+    assert sorted(r.slot for r in got.collect()) == [2, 4, 10]
+    same(got, c.execute(registry.oracle_sql()["join_lateral"]))
+
+
+def test_null_sums_rank_after_others(spark, tmp_path):
+    e = spark.createDataFrame([(i, f"2024-01-01 {i:02}:00:00", 1, v) for i, v in enumerate([None, 1.0, 2.0, 3.0])], "event_id long, ts string, user_id long, value double")
+    e.selectExpr("event_id", "cast(ts as timestamp_ntz) as ts", "user_id", "'click' as event_type", "value", "'' as props").write.parquet(str(tmp_path / "events.parquet"))
+    assert sorted(r.slot for r in registry.queries()["join_lateral"](spark, str(tmp_path)).collect()) == [2, 4, 6]
