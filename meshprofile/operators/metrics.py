@@ -13,7 +13,9 @@ from pyspark.sql import functions as F
 from meshprofile.functions.vectors import l2sq
 from meshprofile.session import discard, settle
 
-BLOCK = 1024
+#: Exact silhouettes: rows of a block, of a tile, and of a part, of which two make a task; parts at most; bytes of
+#: totals that a task holds before it hands them on.
+BLOCK, TILE, PART, MOST_PARTS, HELD = 8192, 256, 65_536, 512, 256 << 20
 
 
 def consensus_error(trace: DataFrame, exact: DataFrame, parties: int, by: tuple[str, ...] = ("kind",)) -> DataFrame:
@@ -77,9 +79,39 @@ def _from_totals(total: np.ndarray, n: np.ndarray, own: np.ndarray) -> np.ndarra
     return np.where(n[own] > 1, (b - inner) / np.maximum(np.maximum(inner, b), 1e-300), 0.0)
 
 
+def _segments(own: np.ndarray) -> list[tuple[int, slice]]:
+    """Of clusters in order: pieces of at most TILE rows of one cluster each."""
+    cuts = np.r_[np.flatnonzero(np.r_[True, own[1:] != own[:-1]]), len(own)]
+    return [(int(own[lo]), slice(i, min(i + TILE, hi))) for lo, hi in zip(cuts[:-1], cuts[1:]) for i in range(lo, hi, TILE)]
+
+
+def _add_distances(x: np.ndarray, own: np.ndarray, z: np.ndarray, other: np.ndarray, to_x: np.ndarray, to_z: np.ndarray | None) -> None:
+    """Add the distances of two blocks' rows, each in the order of its clusters, to (cluster, row) totals: of x to the
+    clusters of z and of z to those of x. A block with itself has no to_z."""
+    middle = x.mean(0)
+    x, z = x - middle, z - middle
+    # squared distances as one product, in tiles that stay in the cache
+    left = np.hstack([-2 * x, (x * x).sum(1)[:, None], np.ones((len(x), 1))])
+    right = np.vstack([z.T, np.ones(len(z)), (z * z).sum(1)])
+    right = [(c, s, np.ascontiguousarray(right[:, s])) for c, s in _segments(other)]
+    ones = np.ones(TILE)
+    for c, s in _segments(own):
+        rows = left[s]
+        for c2, s2, columns in right:
+            d = rows @ columns
+            if d.min() < 0:
+                np.maximum(d, 0, out=d)
+            np.sqrt(d, out=d)
+            if to_z is not None:
+                to_z[c, s2] += ones[: len(d)] @ d
+            elif s == s2:
+                np.fill_diagonal(d, 0)
+            to_x[c2, s] += d @ ones[: d.shape[1]]
+
+
 def _all_pairs(assigned: DataFrame) -> float:
-    """Exact mean silhouette: rows are written in blocks, and each pair of blocks gives the distances of one's
-    rows summed by cluster of the other's."""
+    """Exact mean silhouette: rows are written in blocks, in the order of their clusters. A pair of blocks is gone over
+    once, for the rows of both; a task adds up all its pairs and hands on one total for each row and cluster."""
     per = {r["k"]: r["n"] for r in assigned.groupBy("k").agg(F.count(F.lit(1)).alias("n")).orderBy("k").collect()}  # K rows
     if len(per) < 2:
         return 0.0
@@ -87,38 +119,81 @@ def _all_pairs(assigned: DataFrame) -> float:
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         task, at = TaskContext.get().partitionId(), 0
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+
+        def block() -> pa.RecordBatch:
+            own, y = (np.concatenate(parts) for parts in zip(*held))
+            order = np.argsort(own, kind="stable")
+            # the two colours of a block alternate over a task's blocks and over tasks
+            return pa.record_batch([pa.array([(task << 32) + at]), pa.array([(task + at) % 2]), pa.array([own[order].tobytes()]), pa.array([y[order].tobytes()])], names=["b", "colour", "own", "y"])
+
         for whole in batches:
-            for i in range(0, whole.num_rows, BLOCK):
-                b = whole.slice(i, BLOCK)
-                own = np.array([name[v] for v in b.column("k").to_pylist()], np.int64)
-                y = b.column("y").flatten().to_numpy()
-                yield pa.record_batch([pa.array([(task << 32) + at]), pa.array([own.tobytes()]), pa.array([y.tobytes()])], names=["b", "own", "y"])
-                at += 1
+            i = 0
+            while i < whole.num_rows:
+                b = whole.slice(i, BLOCK - sum(len(own) for own, _ in held))
+                held.append((np.array([name[v] for v in b.column("k").to_pylist()], np.int32), b.column("y").flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1)))
+                i += b.num_rows
+                if sum(len(own) for own, _ in held) == BLOCK:
+                    yield block()
+                    held, at = [], at + 1
+        if held:
+            yield block()
 
     def opened(own: bytes, y: bytes) -> tuple[np.ndarray, np.ndarray]:
-        k = np.frombuffer(own, np.int64)
-        return k, np.frombuffer(y).reshape(len(k), -1)
+        k = np.frombuffer(own, np.int32)
+        return np.frombuffer(y).reshape(len(k), -1), k
 
     def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        totals: dict[int, tuple[bytes, np.ndarray]] = {}
+
+        def given() -> Iterator[pa.RecordBatch]:
+            for b, (own, t) in totals.items():
+                yield pa.record_batch([pa.array([b]), pa.array([own]), pa.array([t.tobytes()])], names=["b", "own", "t"])
+            totals.clear()
+
+        def total(b: int, own: bytes) -> np.ndarray:
+            if b not in totals:
+                totals[b] = own, np.zeros((len(n), len(own) // 4))
+            return totals[b][1]
+
+        for batch in batches:
+            for i in range(batch.num_rows):
+                r = batch.slice(i, 1).to_pylist()[0]
+                same = r["b"] == r["b2"]
+                _add_distances(*opened(r["own"], r["y"]), *opened(r["own2"], r["y2"]), total(r["b"], r["own"]), None if same else total(r["b2"], r["own2"]))
+                if sum(t.nbytes for _, t in totals.values()) > HELD:
+                    yield from given()
+        yield from given()
+
+    def widths(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Of totals in the order of their blocks: for each block, the sum of its rows' widths and their number."""
+        now, own, t = None, None, None
+
+        def scored() -> pa.RecordBatch:
+            w = _from_totals(t.T, n, own)
+            return pa.record_batch([pa.array([float(w.sum())]), pa.array([len(w)])], names=["w", "n"])
+
         for batch in batches:
-            for r in batch.to_pylist():
-                own, x = opened(r["own"], r["y"])
-                other, z = opened(r["own2"], r["y2"])
-                d = np.sqrt(np.maximum((x * x).sum(1)[:, None] - 2 * x @ z.T + (z * z).sum(1), 0))
-                if r["b"] == r["b2"]:
-                    np.fill_diagonal(d, 0)
-                total = d @ (other[:, None] == np.arange(len(n))).astype(float)
-                size = total.size
-                yield pa.record_batch([pa.array(np.full(size, r["b"])), pa.array(np.repeat(np.arange(len(own)), len(n))), pa.array(np.repeat(own, len(n))), pa.array(np.tile(np.arange(len(n)), len(own))), pa.array(total.ravel())], names=["b", "i", "own", "c", "t"])
-
-    left = settle(assigned.select("k", "y").mapInArrow(pack, "b long, own binary, y binary"), "silhouette")
+            for i in range(batch.num_rows):
+                r = batch.slice(i, 1).to_pylist()[0]
+                more = np.frombuffer(r["t"]).reshape(len(n), -1)
+                if r["b"] == now:
+                    t = t + more
+                    continue
+                if now is not None:
+                    yield scored()
+                now, own, t = r["b"], np.frombuffer(r["own"], np.int32), more
+        if now is not None:
+            yield scored()
+
+    left = settle(assigned.select("k", "y").mapInArrow(pack, "b long, colour long, own binary, y binary"), "silhouette")
+    parts = int(min(-(-n.sum() // PART), MOST_PARTS))
     right = left.select(*[F.col(c).alias(f"{c}2") for c in left.columns])
-    per_row = left.crossJoin(right).mapInArrow(pairs, "b long, i long, own long, c long, t double").groupBy("b", "i", "own", "c").agg(F.sum("t").alias("t"))
-    sizes = F.element_at(F.array(*map(F.lit, n.tolist())), (F.col("c") + 1).cast("int"))
-    mine = F.col("own") == F.col("c")
-    ab = per_row.groupBy("b", "i").agg(F.max(F.when(mine, F.col("t") / F.greatest(sizes - 1, F.lit(1.0)))).alias("a"), F.min(F.when(~mine, F.col("t") / sizes)).alias("o"), F.max(F.when(mine, sizes)).alias("n"))
-    width = F.when(F.col("n") > 1, (F.col("o") - F.col("a")) / F.greatest("o", "a", F.lit(1e-300))).otherwise(0.0)
-    out = ab.agg(F.avg(width)).first()[0]
+    # of two blocks, which is the left one depends on their colours, so that all tasks get about as many pairs
+    once = (F.col("b") == F.col("b2")) | ((F.col("b") != F.col("b2")) & ((F.col("b") < F.col("b2")) == (F.col("colour") == F.col("colour2"))))
+    met = left.repartition(parts).join(right.repartition(parts).hint("shuffle_replicate_nl"), once).drop("colour", "colour2")
+    summed = met.mapInArrow(pairs, "b long, own binary, t binary").repartition("b").sortWithinPartitions("b")
+    out = summed.mapInArrow(widths, "w double, n long").agg(F.sum("w") / F.sum("n")).first()[0]
     discard(left)
     return out
 
