@@ -11,7 +11,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from meshprofile.llm import attention_lm, bpe, common, embedding_dedup, lm_scoring, mixing, packing, quality_rules, registry, simhash_dedup, toxicity
+from meshprofile.llm import attention_lm, bpe, common, embedding_dedup, learning, lm_scoring, mixing, packing, quality_rules, registry, simhash_dedup, toxicity
 
 
 @pytest.mark.parametrize("name", sorted(registry.oracle_sql()))
@@ -324,6 +324,37 @@ def test_lm_sums_of_rows_are_those_one_by_one():
     assert np.allclose(attention_lm.exp_of(x.copy()), np.exp(np.minimum(x, 60)), rtol=1e-6)
 
 
+def test_lm_steps_over_all_parameters_are_those_of_adam():
+    rng = np.random.default_rng(6)
+    net = attention_lm.AttentionLM(rng.permutation(attention_lm.HEAD + 1) // attention_lm.MEMBERS)
+    was = {k: v.copy() for k, v in net.p.items()}
+    want, got = learning.Adam(was, 0.002), attention_lm.FlatAdam(net, 0.002)
+    for _ in range(30):
+        grads = {k: rng.normal(0, rng.choice([0, 1e-6, 1]), v.shape).astype(np.float32) for k, v in net.p.items()}
+        want.step(grads)
+        got.step(grads)
+    assert all(np.allclose(net.p[k], was[k], atol=1e-6) for k in was)
+    again = attention_lm.views(attention_lm.pack(net.p), was)
+    assert all((again[k] == net.p[k]).all() for k in was)
+
+
+def test_lm_gradients_hold_the_outputs_of_one_class_at_a_time():
+    """A batch's exponentials are never all held at once: what is held at the peak fits a processor's cache better."""
+    import tracemalloc
+
+    rng = np.random.default_rng(7)
+    net = attention_lm.AttentionLM(rng.permutation(attention_lm.HEAD + 1) // attention_lm.MEMBERS)
+    codes, ends = rng.integers(0, 900, 256 * attention_lm.WINDOW).astype(np.int32), np.array([0, 256 * attention_lm.WINDOW])
+    starts, owner, skip = attention_lm.windows_of(ends, attention_lm.WINDOW)
+    arrays = net.arrays(codes, net.earlier(codes, ends), ends, starts, owner)
+    for run, most in ((lambda: net.gradients(*arrays), 17), (lambda: net.forward(*arrays, skip * 0), 5)):
+        tracemalloc.start()
+        run()
+        peak = tracemalloc.get_traced_memory()[1] / 2**20
+        tracemalloc.stop()
+        assert peak < most
+
+
 def test_lm_places_scored_already_ask_for_no_attention(monkeypatch):
     """Later windows weigh context for the places they score; the scores are those of window by window."""
     rng = np.random.default_rng(5)
