@@ -355,6 +355,30 @@ def test_lm_gradients_hold_the_outputs_of_one_class_at_a_time():
         assert peak < most
 
 
+def test_lm_learning_fetches_its_memory_once():
+    """Batch after batch finds its room where the one before left it: few pages are fetched anew."""
+    code = """
+import resource, numpy as np
+from meshprofile.llm import attention_lm as lm, common
+common.keep_small()
+rng = np.random.default_rng(8)
+codes, ends = rng.integers(0, 900, 256 * lm.WINDOW * 20).astype(np.int32), np.array([0, 256 * lm.WINDOW * 20])
+learner = lm.Learner(lm.AttentionLM(rng.permutation(lm.HEAD + 1) // lm.MEMBERS))
+learner.learn(codes, ends)
+before = resource.getrusage(0).ru_minflt
+learner.learn(codes, ends)
+print((resource.getrusage(0).ru_minflt - before) / 20)
+"""
+    import os
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    root = Path(attention_lm.__file__).parents[2]
+    out = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, cwd=root, env=os.environ | {"OMP_NUM_THREADS": "1"}, check=True)
+    assert float(out.stdout) < 200
+
+
 def test_lm_places_scored_already_ask_for_no_attention(monkeypatch):
     """Later windows weigh context for the places they score; the scores are those of window by window."""
     rng = np.random.default_rng(5)
